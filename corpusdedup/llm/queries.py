@@ -6,6 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from .ngram_join import similar_components
 from .ngram_lm import fit_and_score
 
 
@@ -17,8 +18,12 @@ def op1_deleted_interpolation(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fit_and_score(table(spark, sf_dir, "documents").select("doc_id", "text"))[0]
 
 
+def op3_token_group_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return similar_components(table(spark, sf_dir, "documents").select("doc_id", "text"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_deleted_interpolation,)}
+    return {f.__name__: f for f in (op1_deleted_interpolation, op3_token_group_join)}
 
 
 def oracle_sql() -> dict[str, str]:
