@@ -6,8 +6,13 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from . import sharding
+from .decontaminate import find_matches
 from .ngram_join import similar_components
 from .ngram_lm import fit_and_score
+from .packing import pack, word_lengths
+from .quality import fit, judge
+from .sharding import place
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -22,9 +27,26 @@ def op3_token_group_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return similar_components(table(spark, sf_dir, "documents").select("doc_id", "text"))
 
 
+def op4_isolation_forest(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    return judge(docs, fit(docs, table(spark, sf_dir, "labels")))
+
+
+def op5_variable_best_fit(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pack(word_lengths(table(spark, sf_dir, "documents")))
+
+
+def op7_pigeonhole_edit_match(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return find_matches(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
+def op10_permutation_table(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return place(table(spark, sf_dir, "documents").select("doc_id"), "doc_id")
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_deleted_interpolation, op3_token_group_join)}
+    return {f.__name__: f for f in (op1_deleted_interpolation, op3_token_group_join, op4_isolation_forest, op5_variable_best_fit, op7_pigeonhole_edit_match, op10_permutation_table)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op10_permutation_table": sharding.oracle()}
