@@ -13,6 +13,8 @@ from .ngram_lm import fit_and_score
 from .packing import pack, word_lengths
 from .quality import fit, judge
 from .sharding import place
+from .token_files import read_ids, write_ids
+from .warc import read_archives, write_archives
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -36,16 +38,28 @@ def op5_variable_best_fit(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack(word_lengths(table(spark, sf_dir, "documents")))
 
 
+def op6_segment_reassembly(spark: SparkSession, sf_dir: str) -> DataFrame:
+    folder, files = write_archives(table(spark, sf_dir, "pages"))
+    return read_archives(spark, folder, files, payloads=False).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to", "error")
+
+
 def op7_pigeonhole_edit_match(spark: SparkSession, sf_dir: str) -> DataFrame:
     return find_matches(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
 
+def op9_bit_packed_ids(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import public_tokenizers
+
+    folder, files = write_ids(table(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"))
+    return read_ids(spark, folder, files)
+
+
 def op10_permutation_table(spark: SparkSession, sf_dir: str) -> DataFrame:
     return place(table(spark, sf_dir, "documents").select("doc_id"), "doc_id")
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_deleted_interpolation, op3_token_group_join, op4_isolation_forest, op5_variable_best_fit, op7_pigeonhole_edit_match, op10_permutation_table)}
+    return {f.__name__: f for f in (op1_deleted_interpolation, op3_token_group_join, op4_isolation_forest, op5_variable_best_fit, op6_segment_reassembly, op7_pigeonhole_edit_match, op9_bit_packed_ids, op10_permutation_table)}
 
 
 def oracle_sql() -> dict[str, str]:
