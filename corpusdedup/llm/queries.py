@@ -6,8 +6,9 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import sharding
+from . import perspectives, sharding
 from .decontaminate import find_matches
+from .html_text import extract
 from .ngram_join import similar_components
 from .ngram_lm import fit_and_score
 from .packing import pack, word_lengths
@@ -25,6 +26,10 @@ def op1_deleted_interpolation(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fit_and_score(table(spark, sf_dir, "documents").select("doc_id", "text"))[0]
 
 
+def op2_perspective_rotation(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return perspectives.rotate(table(spark, sf_dir, "conversations"))
+
+
 def op3_token_group_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return similar_components(table(spark, sf_dir, "documents").select("doc_id", "text"))
 
@@ -47,6 +52,10 @@ def op7_pigeonhole_edit_match(spark: SparkSession, sf_dir: str) -> DataFrame:
     return find_matches(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
 
+def op8_template_deduction(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return extract(table(spark, sf_dir, "pages"))
+
+
 def op9_bit_packed_ids(spark: SparkSession, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
@@ -59,8 +68,20 @@ def op10_permutation_table(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_deleted_interpolation, op3_token_group_join, op4_isolation_forest, op5_variable_best_fit, op6_segment_reassembly, op7_pigeonhole_edit_match, op9_bit_packed_ids, op10_permutation_table)}
+    own = (
+        op1_deleted_interpolation,
+        op2_perspective_rotation,
+        op3_token_group_join,
+        op4_isolation_forest,
+        op5_variable_best_fit,
+        op6_segment_reassembly,
+        op7_pigeonhole_edit_match,
+        op8_template_deduction,
+        op9_bit_packed_ids,
+        op10_permutation_table,
+    )
+    return {f.__name__: f for f in own}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op10_permutation_table": sharding.oracle()}
+    return {"op2_perspective_rotation": perspectives.ORACLE, "op10_permutation_table": sharding.oracle()}
