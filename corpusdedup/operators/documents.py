@@ -29,21 +29,24 @@ def words(text: Column) -> Column:
 
 
 def shingles(text: Column, n: int = 5, unit: str = "word") -> Column:
-    """Distinct n-grams of words or characters; a shorter text is one shingle, an empty one has none."""
+    """Distinct n-grams of words or characters; a shorter text is one shingle, an empty one has none.
+
+    A look-ahead that captures gives the overlapping n-grams in one pass; a lambda over
+    positions would split the text anew for each of them.
+    """
     if unit == "char":
-        count = F.length(text)
-        grams = F.transform(F.sequence(F.lit(1), F.greatest(F.lit(1), count - (n - 1))), lambda i: F.substring(text, i, n))
-        return F.when(count > 0, F.array_distinct(grams)).otherwise(F.expr("cast(array() as array<string>)"))
-    w = words(text)
-    grams = F.transform(F.sequence(F.lit(1), F.greatest(F.lit(1), F.size(w) - (n - 1))), lambda i: F.array_join(F.slice(w, i, n), " "))
-    return F.when(F.size(w) > 0, F.array_distinct(grams)).otherwise(F.expr("cast(array() as array<string>)"))
+        plain = text
+        grams = F.regexp_extract_all(text, F.lit(rf"(?s)(?=(.{{{n}}}))"), F.lit(1))
+    else:
+        plain = F.trim(F.regexp_replace(F.lower(text), rf"[{WS}]+", " "))
+        grams = F.regexp_extract_all(plain, F.lit(rf"(?<![^ ])(?=((?:[^ ]+ ){{{n - 1}}}[^ ]+))"), F.lit(1))
+    some = F.array_distinct(F.when(F.size(grams) > 0, grams).otherwise(F.array(plain)))
+    return F.when(F.length(plain) > 0, some).otherwise(F.expr("cast(array() as array<string>)"))
 
 
 def shingle_rows(docs: DataFrame, n: int = 5) -> DataFrame:
     """(doc_id, base): distinct shingles as 28-bit hashes, the first hex digits of their MD5."""
-    x = docs.select("doc_id", words(F.col("text")).alias("w"))
-    grams = F.transform(F.sequence(F.lit(1), F.greatest(F.lit(1), F.size("w") - (n - 1))), lambda i: F.array_join(F.slice("w", i, n), " "))
-    x = x.where(F.size("w") > 0).select("doc_id", F.explode(grams).alias("s"))
+    x = docs.select("doc_id", F.explode(shingles(F.col("text"), n)).alias("s"))
     return x.select("doc_id", F.conv(F.substring(F.md5("s"), 1, BASE_BITS // 4), 16, 10).cast("long").alias("base")).distinct()
 
 

@@ -35,9 +35,8 @@ def kgram_spans(docs: DataFrame, k: int = 50, shard_col: str | None = None, keep
     in order of document and position, does not count.
     """
     shard = F.col(shard_col) if shard_col else F.lit(0)
-    x = docs.select(shard.alias("shard"), "doc_id", "text").where(F.length("text") >= k)
-    pos = F.explode(F.sequence(F.lit(1), F.length("text") - (k - 1))).alias("pos")
-    g = x.select("shard", "doc_id", "text", pos).select("shard", "doc_id", "pos", F.unhex(F.md5(F.substring(F.col("text"), F.col("pos"), F.lit(k)))).alias("g"))
+    grams = F.regexp_extract_all("text", F.lit(rf"(?s)(?=(.{{{k}}}))"), F.lit(1))
+    g = docs.select(shard.alias("shard"), "doc_id", F.posexplode(grams).alias("at", "gram")).select("shard", "doc_id", (F.col("at") + 1).alias("pos"), F.unhex(F.md5("gram")).alias("g"))
     n = g.groupBy("shard", "g").agg(F.count("*").alias("n"), F.min(F.struct("doc_id", "pos")).alias("first")).where("n > 1")
     hit = g.join(n, ["shard", "g"])
     if keep_first:
