@@ -205,9 +205,9 @@ def _values(which: str) -> str:
 
 
 def _averages(name: str, which: str):
-    @query(f"SELECT method, round(avg(score), 3) AS average, round(avg(score) - (SELECT avg(score) FROM {_values(which)} WHERE method = 'raw'), 3) AS gain FROM {_values(which)} GROUP BY method", name=name)
+    @query(f"SELECT method, round(avg(score), 6) AS average, round(avg(score) - (SELECT avg(score) FROM {_values(which)} WHERE method = 'raw'), 6) AS gain FROM {_values(which)} GROUP BY method", name=name)
     def run(spark, d):
-        return M.macro_average(M.score_table(spark, which)).select("method", F.round("average", 3).alias("average"), F.round("gain", 3).alias("gain"))
+        return M.macro_average(M.score_table(spark, which)).select("method", F.round("average", 6).alias("average"), F.round("gain", 6).alias("gain"))
 
 
 _averages("score_averages", "web")
