@@ -31,12 +31,12 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
     Rows without id are kept: nothing says which of them others repeat. Rows that repeat
     an id and its text count as copies, and one stays.
     """
-    away = similar_components(docs.select("doc_id", "text")).where("doc_id != component_id").select(F.col("doc_id").alias("away"))
-    kept = docs.join(away, F.col("doc_id") == F.col("away"), "left_anti")
-    twice = stage(docs.where("doc_id is not null").groupBy("doc_id").count().where("count > 1").select(F.col("doc_id").alias("away")), "pipeline-repeated")
+    away = similar_components(docs.select("doc_id", "text")).where("doc_id != component_id").select(F.col("doc_id").alias("__away"))
+    kept = docs.join(away, docs["doc_id"] == away["__away"], "left_anti")
+    twice = stage(docs.where("doc_id is not null").groupBy("doc_id").agg(F.count("*").alias("__copies")).where("__copies > 1").select(F.col("doc_id").alias("__twice")), "pipeline-repeated")
     if twice.isEmpty():
         return kept
-    again = F.col("doc_id") == F.col("away")
+    again = kept["doc_id"] == twice["__twice"]
     return kept.join(twice, again, "left_anti").unionByName(kept.join(twice, again, "left_semi").dropDuplicates(["doc_id", "text"]))
 
 

@@ -10,7 +10,7 @@ import os
 import uuid
 
 import pyarrow.fs as pafs
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Rows up to which a narrow table may be broadcast; at some 100 bytes a row, 10 MB.
@@ -26,6 +26,12 @@ def open_folder(uri: str) -> tuple[pafs.FileSystem, str]:
     return pafs.FileSystem.from_uri(uri)
 
 
+def make_folder(spark: SparkSession, uri: str) -> None:
+    """Create a folder through Spark's own file systems, so that it is there even if no task writes to it."""
+    path = spark._jvm.org.apache.hadoop.fs.Path(uri)
+    path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).mkdirs(path)
+
+
 def write_whole(folder: str, name: str, data: bytes) -> str:
     """Write one file; returns its URI."""
     fs, path = open_folder(folder)

@@ -7,7 +7,7 @@ equivalence class; a vector is compared by an order-free fingerprint, so any num
 pages is counted without gathering them. A class is valid if it is frequent (on enough
 of the host's pages) and large (two tokens at least), and if it nests: its tokens lie
 below an element of a class that is already part of the template, whose root is the
-class of the tokens that come once on every page. What the template does not fix are
+class of most pages that holds the outermost element. What the template does not fix are
 slots. A slot is passed over if an element on its path says that it is not the article
 (menus, adverts, forms and so on); of the others, those inside article or main elements
 are taken, and where a page has none of these, the host's slot with the most text.
@@ -178,21 +178,28 @@ def page_tokens(pages: DataFrame) -> DataFrame:
     return pages.select(host_of().alias("host"), F.col("page_id").cast("long"), F.col("url").cast("string"), "html").mapInArrow(run, TOKENS)
 
 
-def nest(classes: list[tuple[int, list[tuple[int, str, int]]]], pages: int) -> set[int]:
+def nest(classes: list[tuple[int, list[tuple[int, str, int]]]]) -> set[int]:
     """The tokens of the template: (support, [(token, path, kind)]) classes that hang together from the root down.
 
-    The root is the class of most pages that holds the outermost element. A class joins
-    if each of its tokens stands below an element of the template (or is that of the root).
+    The root is the class of most pages that holds the outermost element. A token nests
+    if the element it stands in, or the one around that (itself perhaps repeated, and so
+    of another class), is the template's or its own class's; a class joins with those of
+    its tokens that nest if they are two or more.
     """
     classes = sorted(classes, key=lambda c: (-c[0], min((len(t[1]) for t in c[1]), default=0)))
-    inside: set[str] = set()
+    inside: set[str] = {""}
     tokens: set[int] = set()
     for _, members in classes:
-        own = {path for _, path, kind in members if kind == KIND_TAG}
-        held = lambda path, kind: (path if kind == KIND_TEXT else path.rpartition("/")[0]) in inside | own | {""}  # noqa: E731,B023
-        if all(held(path, kind) for _, path, kind in members):
-            inside |= own
-            tokens |= {t for t, _, _ in members}
+        near = inside | {path for _, path, kind in members if kind == KIND_TAG}
+
+        def held(path: str, kind: int, near=near) -> bool:
+            over = path if kind == KIND_TEXT else path.rpartition("/")[0]
+            return over in near or over.rpartition("/")[0] in near
+
+        own = [m for m in members if held(m[1], m[2])]
+        if len(own) > 1:
+            inside |= {path for _, path, kind in own if kind == KIND_TAG}
+            tokens |= {t for t, _, _ in own}
     return tokens
 
 
@@ -213,7 +220,7 @@ def deduce_templates(pages: DataFrame, min_pages: int = MIN_PAGES, min_share: fl
         for batch in batches:
             rows = []
             for r in batch.to_pylist():
-                found = nest([(c["support"], [(m["token"], m["path"], m["kind"]) for m in c["members"]]) for c in r["classes"]], r["pages"])
+                found = nest([(c["support"], [(m["token"], m["path"], m["kind"]) for m in c["members"]]) for c in r["classes"]])
                 texts = [m["token"] for c in r["classes"] for m in c["members"] if m["kind"] == KIND_TEXT and m["token"] in found]
                 rows.append((r["host"], sorted(found), sorted(texts)))
             cols = list(zip(*rows, strict=True)) if rows else [[]] * 3

@@ -32,7 +32,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..session import fresh_path, stage
-from .files import small, write_whole
+from .files import make_folder, small, write_whole
 
 SEGMENT_BYTES, CHUNK_BYTES, FILE_BYTES = 65_536, 16_384, 8_000_000
 HTTP = b"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nTransfer-Encoding: chunked\r\n\r\n"
@@ -114,6 +114,7 @@ def page_records(page_id: int | None, url: str | None, payload: bytes, refers_to
 def write_archives(pages: DataFrame, folder: str | None = None, revisit_from: int = 0, segment_bytes: int = SEGMENT_BYTES, chunk_bytes: int = CHUNK_BYTES, file_bytes: int = FILE_BYTES) -> tuple[str, DataFrame]:
     """Write (page_id, url, html) as gzipped archives; returns their folder and the staged list of files."""
     folder = folder or fresh_path(pages.sparkSession, "warc")
+    make_folder(pages.sparkSession, folder)
     html = F.coalesce(F.col("html"), F.lit("")).cast("binary")
     # the digest decides which pages are equal before any html moves
     told = pages.select(F.col("page_id").cast("long").alias("page_id"), F.sha1(html).alias("sha"), F.length(html).alias("n"))
