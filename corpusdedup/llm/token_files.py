@@ -33,13 +33,13 @@ from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
 from ..session import fresh_path, shuffle_partitions, stage
-from .files import small, write_whole
+from .files import make_folder, small, write_whole
 
 MAGIC = b"PACKIDS1"
 BLOCK = 4096
 FILE_IDS = 4_000_000
 #: Distinct words whose ids a worker remembers.
-MEMORY = 400_000
+MEMORY = 300_000
 
 
 def bits_for(vocabulary: int) -> int:
@@ -109,38 +109,47 @@ class PackedFile:
         return self.ids(int(self.first[k]), int(self.first[k + 1]))
 
 
+class _Recent(dict):
+    """Recently used words; a word of the generation before is taken over when it is asked for."""
+
+    def __init__(self, before: dict):
+        self.before = before
+
+    def __missing__(self, word: bytes) -> bytes:
+        self[word] = ids = self.before[word]
+        return ids
+
+
 class WordEncoder:
     """Ids of whole texts from a tokenizer that never joins across white space.
 
-    Such a tokenizer encodes every word between ASCII spaces and line breaks on its
-    own, so the ids of frequent words are remembered; new words of a batch are encoded
-    by the library together.
+    Such a tokenizer encodes every word between ASCII white space on its own, so the
+    packed ids of frequent words are remembered and a text's ids are those of its words
+    in a row; new words of a batch are encoded by the library together. Memory is two
+    generations of ``MEMORY`` words at most, plus a batch's.
     """
 
     def __init__(self, path: str, end_id: int):
-        self.tokenizer, self.end, self.known = Tokenizer.from_file(path), end_id, {}
+        self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True  # their strings in a text are ordinary text
         self.vocabulary = self.tokenizer.get_vocab_size(with_added_tokens=True)
-
-    def encode(self, texts: list[str]) -> list[np.ndarray]:
-        words = [t.replace("\n", " ").split(" ") for t in texts]
-        known = self.known
-        new = list({w for ws in words for w in ws if w not in known})
-        if len(known) + len(new) > MEMORY:
-            known.clear()
-            new = list({w for ws in words for w in ws})
+        self.kind = "<u2" if bits_for(self.vocabulary) <= 16 else "<u4"
+        self.end = np.array([end_id], self.kind).tobytes()
+        self.recent = _Recent({})
+
+    def encode(self, texts: list[bytes | None]) -> list[bytes]:
+        """Packed ids of each UTF-8 text, the end id last."""
+        words = [(t or b"").split() for t in texts]
+        if len(self.recent) > MEMORY:
+            self.recent = _Recent(dict(self.recent))
+        recent, before = self.recent, self.recent.before
+        new = [w for w in set().union(*words).difference(recent) if w not in before]
         for k in range(0, len(new), 20_000):
             part = new[k : k + 20_000]
-            for w, e in zip(part, self.tokenizer.encode_batch_fast(part, add_special_tokens=False), strict=True):
-                known[w] = e.ids
-        out = []
-        for ws in words:
-            ids: list[int] = []
-            for w in ws:
-                ids += known[w]
-            ids.append(self.end)
-            out.append(np.array(ids, np.uint32))
-        return out
+            for w, e in zip(part, self.tokenizer.encode_batch_fast([w.decode() for w in part], add_special_tokens=False), strict=True):
+                recent[w] = np.array(e.ids, self.kind).tobytes()
+        get = recent.__getitem__
+        return [b"".join(map(get, ws)) + self.end for ws in words]
 
 
 _encoders: dict[tuple[str, int], WordEncoder] = {}
@@ -159,7 +168,9 @@ def write_ids(docs: DataFrame, path: str, end_id: int = 2, folder: str | None =
     """Encode (doc_id, text) and write the files; returns their folder and the staged list of files."""
     spark: SparkSession = docs.sparkSession
     folder = folder or fresh_path(spark, "ids")
+    make_folder(spark, folder)
     bits = bits_for(_encoder(path, end_id).vocabulary)
+    kind = "<u2" if bits <= 16 else "<u4"
     parts = 2 * shuffle_partitions(spark)
     cuts = np.array(docs.select(F.col("doc_id").cast("long").alias("doc_id")).where("doc_id is not null").approxQuantile("doc_id", [k / parts for k in range(1, parts)], 0.2 / parts), np.float64)
     cuts = np.unique(cuts.astype(np.int64))
@@ -169,9 +180,9 @@ def write_ids(docs: DataFrame, path: str, end_id: int = 2, folder: str | None =
         for batch in batches:
             for lo in range(0, batch.num_rows, 500):
                 some = batch.slice(lo, 500)
-                ids = code.encode([t or "" for t in some.column(1).to_pylist()])
+                ids = code.encode(some.column(1).to_pylist())
                 part = [0 if d is None else int(np.searchsorted(cuts, d, side="right")) for d in some.column(0).to_pylist()]
-                yield pa.RecordBatch.from_arrays([pa.array(part, pa.int32()), some.column(0), pa.array([shrink.compress(x.astype("<u4" if bits > 16 else "<u2").tobytes()) for x in ids], pa.binary())], names=["part", "doc_id", "ids"])
+                yield pa.RecordBatch.from_arrays([pa.array(part, pa.int32()), some.column(0), pa.array(list(map(shrink.compress, ids)), pa.binary())], names=["part", "doc_id", "ids"])
 
     def write(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         grow = zstandard.ZstdDecompressor()
@@ -190,7 +201,7 @@ def write_ids(docs: DataFrame, path: str, end_id: int = 2, folder: str | None =
                     if state["docs"]:
                         yield close()
                     state.update(part=part, number=0)
-                ids = np.frombuffer(grow.decompress(data), "<u4" if bits > 16 else "<u2").astype(np.uint32)
+                ids = np.frombuffer(grow.decompress(data), kind)
                 if state["size"] and state["size"] + len(ids) > file_ids:
                     yield close()
                 state["docs"].append(doc)
@@ -199,7 +210,7 @@ def write_ids(docs: DataFrame, path: str, end_id: int = 2, folder: str | None =
         if state["docs"]:
             yield close()
 
-    coded = docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(encode, "part int, doc_id long, ids binary")
+    coded = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("binary")).mapInArrow(encode, "part int, doc_id long, ids binary")
     dealt = coded.repartition(parts, "part").sortWithinPartitions("part", F.col("doc_id").asc_nulls_first(), "ids")
     return folder, stage(dealt.mapInArrow(write, FILES), "id-files")
 
