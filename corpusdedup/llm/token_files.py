@@ -22,6 +22,7 @@ other, ordered by their ids.
 from __future__ import annotations
 
 import zlib
+from array import array
 from collections.abc import Iterator
 
 import numpy as np
@@ -135,11 +136,14 @@ class WordEncoder:
         self.vocabulary = self.tokenizer.get_vocab_size(with_added_tokens=True)
         self.kind = "<u2" if bits_for(self.vocabulary) <= 16 else "<u4"
         self.end = np.array([end_id], self.kind).tobytes()
+        # where the tokenizer lower-cases, words that differ in the case of A-Z are one word
+        self.lower = '"Lowercase"' in self.tokenizer.to_str()[:4000]
+        self.code = "H" if self.kind == "<u2" else "I"
         self.recent = _Recent({})
 
     def encode(self, texts: list[bytes | None]) -> list[bytes]:
         """Packed ids of each UTF-8 text, the end id last."""
-        words = [(t or b"").split() for t in texts]
+        words = [(t.lower() if self.lower else t).split() if t else [] for t in texts]
         if len(self.recent) > MEMORY:
             self.recent = _Recent(dict(self.recent))
         recent, before = self.recent, self.recent.before
@@ -147,7 +151,7 @@ class WordEncoder:
         for k in range(0, len(new), 20_000):
             part = new[k : k + 20_000]
             for w, e in zip(part, self.tokenizer.encode_batch_fast([w.decode() for w in part], add_special_tokens=False), strict=True):
-                recent[w] = np.array(e.ids, self.kind).tobytes()
+                recent[w] = array(self.code, e.ids).tobytes()
         get = recent.__getitem__
         return [b"".join(map(get, ws)) + self.end for ws in words]
 
