@@ -12,6 +12,7 @@ that holds it: no key, source or group of copies makes a bucket heavy.
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -30,6 +31,15 @@ BUCKET_KEYS = 2_000_000
 REPLY = "block long, bucket int, counts binary"
 
 
+def trim() -> None:
+    """Give freed memory back to the system: workers live on, and what they hold counts as the executor's."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library: nothing to trim
+        pass
+
+
 def words_of(text: bytes | None) -> list[bytes]:
     """Words of a UTF-8 text: runs without space, tab, newline, VT, FF or CR (what bytes.split takes)."""
     return text.split() if text else []
@@ -128,13 +138,15 @@ def count_in_buckets(requests: DataFrame, columns: int) -> DataFrame:
             at += len(keys)
         told = np.array([int((s > 0).sum()) for s in sums] + [int(s.sum()) for s in sums], np.uint64)
         bucket = table["bucket"][0].as_py()
+        del where, sums, sent, own
+        trim()
         return pa.table({"block": pa.array([*table["block"].to_pylist(), -1], pa.int64()), "bucket": pa.array([bucket] * (len(out) + 1), pa.int32()), "counts": pa.array([*out, squeeze(told)], pa.binary())})
 
     return requests.groupBy("bucket").applyInArrow(count, REPLY)
 
 
 #: Tokens gathered in a block before it is closed; bounds a task's memory.
-BLOCK_TOKENS = 1_500_000
+BLOCK_TOKENS = 1_000_000
 #: Codes of the start and end symbols: words have no white space.
 START_END = hash_words([b"\n start", b"\n end"])
 BLOCKS = "block long, docs binary, seq binary, vocab binary, n_vocab long, n_grams long"
@@ -150,7 +162,7 @@ class WordBlock:
     def add(self, doc_id: int | None, text: bytes | None, role: int = 0) -> None:
         words = words_of(lowered(text))
         local = self.local
-        for w in words:
+        for w in dict.fromkeys(words):
             if w not in local:
                 local[w] = len(local) + 2
         own = np.empty(self.starts + len(words) + self.ends, np.int32)
@@ -199,6 +211,7 @@ def word_blocks(docs: DataFrame, starts: int = 0, ends: int = 0, role: Callable[
                 if block.size >= BLOCK_TOKENS:
                     yield block.batch(part << 24 | number)
                     number, block = number + 1, WordBlock(starts, ends)
+                    trim()
         if block.docs:
             yield block.batch(part << 24 | number)
 

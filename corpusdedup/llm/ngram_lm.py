@@ -24,22 +24,17 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..session import stage
-from .blocks import REQUEST, bucket_count, count_in_buckets, expand, hash_words, lowered, mix, request_batches, squeeze, words_of
+from ..session import drop_stage, release, stage
+from .blocks import REQUEST, bucket_count, count_in_buckets, docs_of, expand, mix, request_batches, squeeze, trim, word_blocks
+from .blocks import places as places_of
 
-#: Tokens gathered in a block before it is closed; bounds a task's memory.
-BLOCK_TOKENS = 3_000_000
 #: Steps for each power of two in which EM distinguishes estimates.
 STEPS = 8
 NEVER = -30_000  # the cell of an estimate of zero
 
-#: Codes that no word can hash to by accident alone: a word has no white space.
-START_END = hash_words([b"\n start", b"\n end"])
-
 
 @dataclass(frozen=True)
 class Mixture:
@@ -68,9 +63,6 @@ def _role(doc_id, held_fold: int) -> int:
     return 2 if crc % 5 == held_fold else int(crc // 5 % 10 == 0)
 
 
-BLOCKS = "block long, docs binary, seq binary, vocab binary, n_vocab long, n_grams long"
-
-
 def _levels(ids: np.ndarray, starts: np.ndarray, order: int, size: int) -> list[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
     """For each order: distinct n-grams as (prefix of one order less, last word) and, by position, which one ends there (-1: none).
 
@@ -111,75 +103,6 @@ def _hashes(levels, vocab: np.ndarray) -> list[np.ndarray]:
     return keys
 
 
-def _places(lengths: np.ndarray) -> np.ndarray:
-    """Each position's place in its document."""
-    first = np.concatenate([[0], np.cumsum(lengths)[:-1]])
-    return np.arange(int(lengths.sum())) - np.repeat(first, lengths)
-
-
-class _Block:
-    """Token ids of several documents; 0 is the start symbol, 1 the end."""
-
-    def __init__(self, order: int):
-        self.order, self.local = order, {}
-        self.docs, self.ids, self.size = [], [], 0
-
-    def add(self, doc_id, text: bytes | None, held_fold: int) -> None:
-        words = words_of(lowered(text))
-        local = self.local
-        for w in set(words).difference(local):
-            local[w] = len(local) + 2
-        own = np.empty(len(words) + self.order, np.int32)
-        own[: self.order - 1] = 0
-        own[self.order - 1 : -1] = np.fromiter(map(local.__getitem__, words), np.int32, len(words))
-        own[-1] = 1
-        self.docs.append((doc_id, _role(doc_id, held_fold), len(own)))
-        self.ids.append(own)
-        self.size += len(own)
-
-    def row(self, number: int) -> list:
-        ids = np.concatenate(self.ids)
-        # ids by frequency, so that the high byte planes are nearly empty
-        freq = np.bincount(ids, minlength=len(self.local) + 2)
-        by = np.argsort(-freq, kind="stable")
-        rank = np.empty(len(by), np.int32)
-        rank[by] = np.arange(len(by), dtype=np.int32)
-        vocab = np.concatenate([START_END, hash_words(list(self.local))])[by]
-        docs = pa.table({"doc_id": pa.array([d[0] for d in self.docs], pa.int64()), "role": pa.array([d[1] for d in self.docs], pa.int8()), "length": pa.array([d[2] for d in self.docs], pa.int64())})
-        sink = pa.BufferOutputStream()
-        with pa.ipc.new_stream(sink, docs.schema) as w:
-            w.write_table(docs)
-        return [number, sink.getvalue().to_pybytes(), squeeze(rank[ids]), squeeze(vocab), len(vocab), self.size]
-
-
-def _docs_of(data: bytes) -> tuple[list, np.ndarray, np.ndarray]:
-    t = pa.ipc.open_stream(data).read_all()
-    return t["doc_id"].to_pylist(), t["role"].to_numpy(), t["length"].to_numpy()
-
-
-def build_blocks(docs: DataFrame, order: int, held_fold: int) -> DataFrame:
-    """Tokenise once; every later pass reads the token ids."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        part, seq, block = TaskContext.get().partitionId(), 0, _Block(order)
-
-        def closed():
-            row = block.row(part << 24 | seq)
-            return pa.RecordBatch.from_arrays([pa.array([v], t) for v, t in zip(row, (pa.int64(), pa.binary(), pa.binary(), pa.binary(), pa.int64(), pa.int64()), strict=True)], names=["block", "docs", "seq", "vocab", "n_vocab", "n_grams"])
-
-        for batch in batches:
-            for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
-                block.add(doc_id, text.as_buffer().to_pybytes() if text.is_valid else None, held_fold)
-                if block.size >= BLOCK_TOKENS:
-                    yield closed()
-                    seq, block = seq + 1, _Block(order)
-        if block.docs:
-            yield closed()
-
-    # string and binary share their bytes; the cast only spares Python the decoding
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("binary")).mapInArrow(run, BLOCKS)
-
-
 def _counts(where: np.ndarray, size: int, role: np.ndarray) -> list[np.ndarray]:
     """By distinct n-gram: occurrences in rows of role 0, and of role 0 or 1."""
     a = np.bincount(where[(where >= 0) & (role == 0)], minlength=size)
@@ -188,8 +111,8 @@ def _counts(where: np.ndarray, size: int, role: np.ndarray) -> list[np.ndarray]:
 
 def _unpack(docs: bytes, seq: bytes, vocab: bytes, order: int):
     ids = expand(seq, np.int32)
-    doc_ids, roles, lengths = _docs_of(docs)
-    places = _places(lengths)
+    doc_ids, roles, lengths = docs_of(docs)
+    places = places_of(lengths)
     levels = _levels(ids, places, order, len(expand(vocab, np.uint64)))
     return doc_ids, roles, lengths, places, levels
 
@@ -206,7 +129,10 @@ def _ask(blocks: DataFrame, order: int, which: list[int], buckets: int) -> DataF
                 key = np.concatenate([keys[k - 1] for k in which])
                 counts = [np.concatenate(c) for c in zip(*(_counts(levels[k - 1][2], len(keys[k - 1]), role) for k in which), strict=True)]
                 by = np.argsort(key)
-                yield request_batches(r["block"], key[by], [c[by] for c in counts], buckets)
+                out = request_batches(r["block"], key[by], [c[by] for c in counts], buckets)
+                del levels, keys, key, counts, by, role
+                trim()
+                yield out
 
     return blocks.mapInArrow(run, REQUEST)
 
@@ -268,7 +194,10 @@ def _join(blocks: DataFrame, replies: DataFrame, order: int, first: tuple[int, i
                 lo += n
         cell, n = _cells(order, levels, np.repeat(roles, lengths), places, a_counts, total_a, distinct_a)
         packed = np.concatenate([cell, n[:, None]], axis=1).astype(np.int64)
-        return pa.table({"docs": pa.array([own["docs"]], pa.binary()), "seq": pa.array([own["seq"]], pa.binary()), "n_vocab": pa.array([own["n_vocab"]], pa.int64()), "counts": pa.array([squeeze(np.concatenate(t_counts))], pa.binary()), "cells": pa.array([packed.tobytes()], pa.binary())})
+        flat_counts = squeeze(np.concatenate(t_counts))
+        del levels, keys, a_counts, t_counts, flat, got, key, by, rows
+        trim()
+        return pa.table({"docs": pa.array([own["docs"]], pa.binary()), "seq": pa.array([own["seq"]], pa.binary()), "n_vocab": pa.array([own["n_vocab"]], pa.int64()), "counts": pa.array([flat_counts], pa.binary()), "cells": pa.array([packed.tobytes()], pa.binary())})
 
     none = F.lit(None).cast("binary")
     asked = replies.where("block >= 0").select("block", "part", "bucket", "counts", none.alias("docs"), none.alias("seq"), none.alias("vocab"), F.lit(0).cast("long").alias("n_vocab"))
@@ -326,8 +255,8 @@ def _score(joined: DataFrame, model: Mixture) -> DataFrame:
         for batch in batches:
             for r in batch.to_pylist():
                 ids = expand(r["seq"], np.int32)
-                doc_ids, roles, lengths = _docs_of(r["docs"])
-                places = _places(lengths)
+                doc_ids, roles, lengths = docs_of(r["docs"])
+                places = places_of(lengths)
                 levels = _levels(ids, places, order, r["n_vocab"])
                 flat, counts = expand(r["counts"], np.uint64), []
                 for x in levels:
@@ -340,6 +269,7 @@ def _score(joined: DataFrame, model: Mixture) -> DataFrame:
                 per = lambda x: np.bincount(doc, weights=x, minlength=len(lengths))  # noqa: E731,B023
                 base = np.log10((c + 0.5) / (model.total + 0.5 * (model.distinct + 1)))
                 n = len(lengths)
+                trim()
                 yield pa.RecordBatch.from_arrays([pa.array(doc_ids, pa.int64()), pa.array(roles == 2), pa.array(lengths - (order - 1), pa.int64()), pa.array(per(c > 0).astype(np.int64)), pa.array(np.full(n, model.total, np.int64)), pa.array(per(base)), pa.array(per(token_log10(f, bucket, model)))], names=["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"])
 
     return joined.select("docs", "seq", "n_vocab", "counts").mapInArrow(run, SCORES)
@@ -354,7 +284,7 @@ def fit_and_score(docs: DataFrame, order: int = 2, held_fold: int = 1) -> tuple[
     if order < 2:
         raise ValueError("order must be 2 or more")
     spark: SparkSession = docs.sparkSession
-    blocks = stage(build_blocks(docs, order, held_fold), "lm-blocks")
+    blocks = stage(word_blocks(docs, order - 1, 1, lambda d: _role(d, held_fold)), "lm-blocks")
     which = [[1], list(range(2, order + 1))]
     words = stage(count_in_buckets(_ask(blocks, order, which[0], bucket_count(blocks, "n_vocab")), 2), "lm-words")
     # of each bucket of words: distinct under deletion and in all training rows, and the totals
@@ -364,9 +294,14 @@ def fit_and_score(docs: DataFrame, order: int = 2, held_fold: int = 1) -> tuple[
     starts = _start_counts(docs, held_fold)
     distinct_a, distinct_t = told[0] - (starts[0] > 0), told[1] - (starts[1] > 0)
     total_a, total_t = told[2] - starts[0], told[3] - starts[1]
-    grams = count_in_buckets(_ask(blocks, order, which[1], bucket_count(blocks, "n_grams")), 2)
+    release(spark)
+    grams = stage(count_in_buckets(_ask(blocks, order, which[1], bucket_count(blocks, "n_grams")), 2), "lm-grams")
+    release(spark)
     replies = words.withColumn("part", F.lit(0)).unionByName(grams.withColumn("part", F.lit(1)))
     joined = stage(_join(blocks, replies, order, (total_a, distinct_a), which), "lm-joined")
+    for used in (blocks, words, grams):
+        drop_stage(used)
+    release(spark)
     cells, numbers = _gather_cells(joined, order)
     model = Mixture(order, learn_weights(cells, numbers, order), total_t, distinct_t)
     return _score(joined, model), model
