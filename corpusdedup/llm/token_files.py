@@ -21,6 +21,8 @@ other, ordered by their ids.
 
 from __future__ import annotations
 
+import json
+import re
 import zlib
 from array import array
 from collections.abc import Iterator
@@ -41,6 +43,12 @@ BLOCK = 4096
 FILE_IDS = 4_000_000
 #: Distinct words whose ids a worker remembers.
 MEMORY = 300_000
+#: So many new words of letters are encoded as one string.
+TOGETHER = 200
+#: Fixed value: a split that always cuts between a letter or digit and punctuation, but for apostrophes.
+LETTERS_OR_PUNCTUATION = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
+#: ASCII punctuation at a word's end, after a letter a-z, a digit or a small letter of Latin-1.
+_TRAILING = re.compile(rb"(?:(?<=[a-z0-9])|(?<=\xc3[\xa0-\xb6\xb8-\xbf]))([!-&(-/:-@\[-`{-~]+)(?=[ \t-\r])")
 
 
 def bits_for(vocabulary: int) -> int:
@@ -126,7 +134,11 @@ class WordEncoder:
 
     Such a tokenizer encodes every word between ASCII white space on its own, so the
     packed ids of frequent words are remembered and a text's ids are those of its words
-    in a row; new words of a batch are encoded by the library together. Memory is two
+    in a row; new words of a batch are encoded by the library together. Where the
+    tokenizer's split is ``LETTERS_OR_PUNCTUATION``, punctuation at a word's end is a word
+    of its own, and words of letters only are encoded many in one string, to be parted
+    after each token that ends a word; if their number is not that of the words (a letter
+    that normalises to a letter and a mark), each word is encoded alone. Memory is two
     generations of ``MEMORY`` words at most, plus a batch's.
     """
 
@@ -139,22 +151,53 @@ class WordEncoder:
         # where the tokenizer lower-cases, words that differ in the case of A-Z are one word
         self.lower = '"Lowercase"' in self.tokenizer.to_str()[:4000]
         self.code = "H" if self.kind == "<u2" else "I"
+        spec = json.loads(self.tokenizer.to_str())
+        first = ((spec["pre_tokenizer"] or {}).get("pretokenizers") or [{}])[0]
+        self.apart = self.lower and first.get("pattern") == {"Regex": LETTERS_OR_PUNCTUATION}
+        suffix = spec["model"].get("end_of_word_suffix") if self.apart else None
+        self.ends = None
+        if suffix:
+            self.ends = np.zeros(self.vocabulary, bool)
+            self.ends[[i for w, i in self.tokenizer.get_vocab(with_added_tokens=False).items() if w.endswith(suffix)]] = True
         self.recent = _Recent({})
 
     def encode(self, texts: list[bytes | None]) -> list[bytes]:
         """Packed ids of each UTF-8 text, the end id last."""
-        words = [(t.lower() if self.lower else t).split() if t else [] for t in texts]
+        words = [self.words(t) if t else [] for t in texts]
         if len(self.recent) > MEMORY:
             self.recent = _Recent(dict(self.recent))
         recent, before = self.recent, self.recent.before
         new = [w for w in set().union(*words).difference(recent) if w not in before]
         for k in range(0, len(new), 20_000):
-            part = new[k : k + 20_000]
-            for w, e in zip(part, self.tokenizer.encode_batch_fast([w.decode() for w in part], add_special_tokens=False), strict=True):
-                recent[w] = array(self.code, e.ids).tobytes()
+            self.learn(new[k : k + 20_000])
         get = recent.__getitem__
         return [b"".join(map(get, ws)) + self.end for ws in words]
 
+    def words(self, text: bytes) -> list[bytes]:
+        if self.apart:
+            return _TRAILING.sub(rb" \1", text.lower()).split()
+        return (text.lower() if self.lower else text).split()
+
+    def learn(self, new: list[bytes]) -> None:
+        """Encode new words and remember their packed ids."""
+        said, alone = [w.decode() for w in new], range(len(new))
+        if self.ends is not None:
+            letters = [k for k, s in enumerate(said) if s.isalpha()]
+            alone = [k for k, s in enumerate(said) if not s.isalpha()]
+            groups = [letters[k : k + TOGETHER] for k in range(0, len(letters), TOGETHER)]
+            for group, e in zip(groups, self.tokenizer.encode_batch_fast([" ".join([said[k] for k in g]) for g in groups], add_special_tokens=False), strict=True):
+                ids = np.array(e.ids, self.kind)
+                cuts = ((np.flatnonzero(self.ends[ids]) + 1) * ids.itemsize).tolist()
+                if len(cuts) != len(group):
+                    alone += group
+                    continue
+                packed, lo = ids.tobytes(), 0
+                for k, hi in zip(group, cuts, strict=True):
+                    self.recent[new[k]] = packed[lo:hi]
+                    lo = hi
+        for k, e in zip(alone, self.tokenizer.encode_batch_fast([said[k] for k in alone], add_special_tokens=False), strict=True):
+            self.recent[new[k]] = array(self.code, e.ids).tobytes()
+
 
 _encoders: dict[tuple[str, int], WordEncoder] = {}
 

@@ -434,3 +434,25 @@ def test_pipeline(spark):
     assert packed.select("doc_id").distinct().count() == len(ids)
     for _, f in corpus_pipeline.STAGES:
         assert f(spark, d.limit(0), SF).count() == 0
+
+
+def test_word_encoder_gives_the_library_s_ids_on_awkward_text():
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    from corpusdedup.llm.token_files import WordEncoder
+
+    path = public_tokenizers.path("word_bpe_49k.json")
+    library = Tokenizer.from_file(path)
+    library.encode_special_tokens = True
+    texts = [
+        None,
+        "",
+        "don't. 'tis' it's, we'll' x'.. ab…. 12.5% a1. !a !!. ab.c. a.\tb.\nc,\x0bd.\x0ce;\rf \x1cab.\x1d <|endoftext|>. É.! ÷÷. ß. ²³. ½,",
+        "İstanbul. İ İ. a̸. ≮ café. café. é, ́. क़ल. ſs. ŉn. ﬁn. Σας. 한국. 가",
+        "".join(f"{chr(i)}. a{chr(i)}, " for i in range(33, 0x3000)),
+        " ".join(chr(i) + chr(i + 1) for i in range(0xA1, 0xD7FE)),
+        "a." * 3000,
+    ]
+    for text, got in zip(texts, WordEncoder(path, 2).encode([t if t is None else t.encode() for t in texts]), strict=True):
+        assert np.frombuffer(got, "<u2").tolist() == [*library.encode(text or "", add_special_tokens=False).ids, 2]
