@@ -1,7 +1,9 @@
 """Main text of web pages by template deduction from equivalence classes.
 
 Tokens of a page are its tags and text blocks, each with the path of open elements it
-stands under, so that equal tags in different roles are different tokens. Tokens of one
+stands under, so that equal tags in different roles are different tokens. Pages of a host
+with equal text outside the elements that are set apart are copies and count as one page,
+so that copies of an article do not make it a part of the template. Tokens of one
 host that have the same occurrence vector (how often each page has them) form an
 equivalence class; a vector is compared by an order-free fingerprint, so any number of
 pages is counted without gathering them. A class is valid if it is frequent (on enough
@@ -15,7 +17,8 @@ are taken, and where a page has none of these, the host's slot with the most tex
 Text: character references decoded, white space inside a block as one space, blocks in
 page order between empty lines. Pages of hosts with too few pages for a template are
 judged by their elements alone. Null or empty html gives an empty text; a null url is a
-host of its own. Repeated rows each get a result. Extra columns are ignored.
+host of its own. Repeated rows each get a result. A page that would lose all its text to
+the template keeps it. Extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -152,15 +155,19 @@ KIND_PAGE, KIND_TAG, KIND_TEXT, KIND_SLOT = 0, 1, 2, 3
 
 
 def page_tokens(pages: DataFrame) -> DataFrame:
-    """Each page's distinct tokens with their numbers, its slots with their characters, and the page itself."""
+    """Each page's distinct tokens with their numbers, its slots with their characters, and the page itself.
+
+    Pages with equal text outside the elements set apart have the same number.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for lo in range(0, batch.num_rows, 200):
                 some, rows = batch.slice(lo, 200), []
-                for host, page_id, url, source in zip(*(some.column(k).to_pylist() for k in range(4)), strict=True):
-                    own = int(np.uint64(xxhash.xxh3_64_intdigest(f"{page_id}\n{url}")).astype(np.int64))
+                for host, source in zip(*(some.column(k).to_pylist() for k in range(2)), strict=True):
                     page = Page(source or "")
+                    said = "\n\n".join(text for _, text, apart, _ in page.blocks if not apart)
+                    own = int(np.uint64(xxhash.xxh3_64_intdigest(said or source or "")).astype(np.int64))
                     rows.append((host, KIND_PAGE, 0, None, own, 1, 0))
                     for (path, tag), n in Counter(page.tags).items():
                         rows.append((host, KIND_TAG, token_of(path, f"<{tag}"), f"{path}/{tag}", own, n, 0))
@@ -175,7 +182,7 @@ def page_tokens(pages: DataFrame) -> DataFrame:
                 kinds = (pa.string(), pa.int8(), pa.int64(), pa.string(), pa.int64(), pa.int32(), pa.int64())
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], names=TOKENS.replace(",", "").split()[::2])
 
-    return pages.select(host_of().alias("host"), F.col("page_id").cast("long"), F.col("url").cast("string"), "html").mapInArrow(run, TOKENS)
+    return pages.select(host_of().alias("host"), F.col("html").cast("string")).mapInArrow(run, TOKENS)
 
 
 def nest(classes: list[tuple[int, list[tuple[int, str, int]]]]) -> set[int]:
@@ -208,8 +215,9 @@ def deduce_templates(pages: DataFrame, min_pages: int = MIN_PAGES, min_share: fl
 
     A host's tokens that are on most of its pages are no more than a page has, about; only these are gathered.
     """
+    once = page_tokens(pages).groupBy("host", "kind", "token", "page").agg(F.max("n").alias("n"), F.max("path").alias("path"), F.max("chars").alias("chars"))
     # xor of a hash of (page, number): equal for tokens with equal occurrence vectors, in any order
-    counted = page_tokens(pages).groupBy("host", "kind", "token").agg(F.bit_xor(F.xxhash64("page", "n")).alias("vector"), F.count("*").alias("support"), F.min("path").alias("path"), F.sum("chars").alias("chars"))
+    counted = once.groupBy("host", "kind", "token").agg(F.bit_xor(F.xxhash64("page", "n")).alias("vector"), F.count("*").alias("support"), F.min("path").alias("path"), F.sum("chars").alias("chars"))
     found = stage(counted.where(F.col("kind").isin(KIND_PAGE, KIND_SLOT) | (F.col("support") >= min_pages)), "html-tokens")
     sizes = found.where(F.col("kind") == KIND_PAGE).select("host", F.col("support").alias("pages"))
     frequent = found.where(F.col("kind").isin(KIND_TAG, KIND_TEXT)).join(sizes, "host").where(F.col("support") >= min_share * F.col("pages"))
@@ -232,8 +240,12 @@ def deduce_templates(pages: DataFrame, min_pages: int = MIN_PAGES, min_share: fl
 
 
 def main_text(source: str | None, texts: frozenset[int] = frozenset(), slot: str | None = None) -> str:
-    """The text of a page's article slots."""
+    """The text of a page's article slots; without the template's texts if anything is left then."""
     page = Page(source or "")
+    return texts and _slot_text(page, texts, slot) or _slot_text(page, frozenset(), slot)
+
+
+def _slot_text(page: Page, texts: frozenset[int], slot: str | None) -> str:
     blocks = [(path, text, main) for path, text, apart, main in page.blocks if not apart and not (texts and token_of(path, text) in texts)]
     if page.has_main:
         return "\n\n".join(text for _, text, main in blocks if main)

@@ -361,6 +361,22 @@ def test_slot_of_pages_without_article(spark):
     assert got[3] == "page 3 body one of this page\n\nand two page 3"
 
 
+def test_copies_of_an_article_are_not_template(spark):
+    rows = [(k, f"http://h/{k}", PAGE.format(max(k, 4))) for k in range(8)]  # rows 0 to 4 hold one article
+    rows += [(10 + k, "http://g/", PAGE.format("same")) for k in range(6)]  # one row six times
+    # copies whose pages differ outside the article, most of a large host
+    rows += [(20 + k, f"http://f/{k}", PAGE.format("x" if k < 15 else k).replace("Side", f"Side {k}")) for k in range(22)]
+    # the furniture alone is left of one page
+    rows += [(60, "http://f/60", "<html><body><article><p>Read our daily letter</p></article></body></html>")]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string")
+    got = {r.page_id: r.text for r in html_text.extract(pages).collect()}
+    own, letter = "Head & line {0}\n\nFirst bold text {0} more\n\nSecond {0} <x>", "\n\nRead our daily letter"
+    assert [got[k] for k in range(8)] == [own.format(max(k, 4)) + letter for k in range(8)]  # four distinct pages have no template
+    assert [got[10 + k] for k in range(6)] == [own.format("same") + letter] * 6
+    assert [got[20 + k] for k in range(22)] == [own.format("x" if k < 15 else k) for k in range(22)]
+    assert got[60] == "Read our daily letter"
+
+
 def test_given_pages(spark):
     for r in html_text.extract(spark.read.parquet(f"{SF}/pages.parquet")).collect():
         assert r.text and "track(" not in r.text and "©" not in r.text
