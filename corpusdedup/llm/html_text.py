@@ -11,8 +11,11 @@ of the host's pages) and large (two tokens at least), and if it nests: its token
 below an element of a class that is already part of the template, whose root is the
 class of most pages that holds the outermost element. What the template does not fix are
 slots. A slot is passed over if an element on its path says that it is not the article
-(menus, adverts, forms and so on); of the others, those inside article or main elements
-are taken, and where a page has none of these, the host's slot with the most text.
+(menus, adverts, forms and so on). Of the others the host's slot is the one with the most
+text that the template does not fix, counted on all pages, and decides on every page that
+has it; if it lies in an article or main element, all of that element is taken. A page
+without it gives its article and main elements if they hold at least half of what the
+template leaves of its text, and else all that is left.
 
 Text: character references decoded, white space inside a block as one space, blocks in
 page order between empty lines. Pages of hosts with too few pages for a template are
@@ -37,6 +40,8 @@ from pyspark.sql import functions as F
 from ..session import stage
 from .files import small
 
+#: Elements of running text; their slot is the element around them.
+FLOW = ("p", "li", "h1", "h2", "h3", "h4", "h5", "h6", "blockquote", "pre")
 #: A template token is on this many pages of its host at least, and on this share of them.
 MIN_PAGES, MIN_SHARE = 5, 0.6
 
@@ -145,6 +150,18 @@ def token_of(path: str, what: str) -> int:
     return int(np.uint64(xxhash.xxh3_64_intdigest(f"{path}\n{what}")).astype(np.int64))
 
 
+def slot_of(path: str) -> str:
+    """The slot that a block's path belongs to."""
+    over, _, last = path.rpartition("/")
+    return over if last in FLOW else path
+
+
+def around(slot: str) -> str:
+    """The outermost article or main element that a slot lies in, or the slot itself."""
+    m = re.match(r".*?/(?:article|main)(?:\.[^/]*)?(?=/|$)", slot, re.S)
+    return m[0] if m else slot
+
+
 def host_of(url: F.Column | str = "url"):
     """The lower-cased host of a URL, or an empty text."""
     return F.lower(F.regexp_extract(F.coalesce(F.col(url) if isinstance(url, str) else url, F.lit("")), r"^[a-zA-Z][a-zA-Z0-9+.-]*://(?:[^/?#@]*@)?([^/:?#]*)", 1))
@@ -172,13 +189,14 @@ def page_tokens(pages: DataFrame) -> DataFrame:
                     for (path, tag), n in Counter(page.tags).items():
                         rows.append((host, KIND_TAG, token_of(path, f"<{tag}"), f"{path}/{tag}", own, n, 0))
                     slots: Counter[str] = Counter()
+                    inside: Counter[tuple[str, str]] = Counter()
+                    for path, text, apart, _ in page.blocks:
+                        inside[path, text] += 0 if apart else len(text)
+                        if not apart:
+                            slots[slot_of(path)] += len(text)
                     for (path, text), n in Counter((b[0], b[1]) for b in page.blocks).items():
-                        rows.append((host, KIND_TEXT, token_of(path, text), path, own, n, len(text)))
-                    for path, text, apart, main in page.blocks:
-                        if not apart and not main:
-                            slots[path.rpartition("/")[0] if path.rpartition("/")[2] in ("p", "li", "h1", "h2", "h3", "h4", "h5", "h6", "blockquote", "pre") else path] += len(text)
-                    if not page.has_main:
-                        rows += [(host, KIND_SLOT, token_of(path, ""), path, own, 1, n) for path, n in slots.items()]
+                        rows.append((host, KIND_TEXT, token_of(path, text), path, own, n, inside[path, text]))
+                    rows += [(host, KIND_SLOT, token_of(path, ""), path, own, 1, n) for path, n in slots.items()]
                 kinds = (pa.string(), pa.int8(), pa.int64(), pa.string(), pa.int64(), pa.int32(), pa.int64())
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], names=TOKENS.replace(",", "").split()[::2])
 
@@ -235,7 +253,11 @@ def deduce_templates(pages: DataFrame, min_pages: int = MIN_PAGES, min_share: fl
             yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.string()), pa.array(cols[1], pa.list_(pa.int64())), pa.array(cols[2], pa.list_(pa.int64()))], names=["host", "tokens", "texts"])
 
     nested = by_host.mapInArrow(run, "host string, tokens array<long>, texts array<long>")
-    slots = found.where(F.col("kind") == KIND_SLOT).groupBy("host").agg(F.max_by("path", F.struct("chars", "path")).alias("slot"))
+    nested = stage(nested, "html-nested")
+    fixed = found.where(F.col("kind") == KIND_TEXT).join(nested.select("host", F.explode("texts").alias("token")), ["host", "token"], "left_semi")
+    fixed = fixed.select("host", F.regexp_replace("path", f"/({'|'.join(FLOW)})$", "").alias("path"), (-F.col("chars")).alias("chars"))
+    free = found.where(F.col("kind") == KIND_SLOT).select("host", "path", "chars").unionByName(fixed).groupBy("host", "path").agg(F.sum("chars").alias("chars"))
+    slots = free.groupBy("host").agg(F.max_by("path", F.struct("chars", "path")).alias("slot"))
     return stage(nested.join(slots, "host", "full").select("host", "tokens", "texts", "slot"), "html-templates")
 
 
@@ -247,11 +269,12 @@ def main_text(source: str | None, texts: frozenset[int] = frozenset(), slot: str
 
 def _slot_text(page: Page, texts: frozenset[int], slot: str | None) -> str:
     blocks = [(path, text, main) for path, text, apart, main in page.blocks if not apart and not (texts and token_of(path, text) in texts)]
-    if page.has_main:
-        return "\n\n".join(text for _, text, main in blocks if main)
-    if slot is not None and any(path == slot or path.startswith(f"{slot}/") for path, _, _ in blocks):
-        blocks = [b for b in blocks if b[0] == slot or b[0].startswith(f"{slot}/")]
-    return "\n\n".join(text for _, text, _ in blocks)
+    whole = slot and around(slot)
+    chosen = [b for b in blocks if b[0] == whole or b[0].startswith(f"{whole}/")] if whole and any(b[0] == slot or b[0].startswith(f"{slot}/") for b in blocks) else []
+    if not chosen:
+        inner = [b for b in blocks if b[2]]
+        chosen = inner if 2 * sum(len(b[1]) for b in inner) >= sum(len(b[1]) for b in blocks) else blocks
+    return "\n\n".join(text for _, text, _ in chosen)
 
 
 TEXTS = "page_id long, url string, text string, n_chars long"

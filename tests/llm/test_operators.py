@@ -377,6 +377,15 @@ def test_copies_of_an_article_are_not_template(spark):
     assert got[60] == "Read our daily letter"
 
 
+def test_body_outside_a_small_article(spark):
+    page = "<html><body><div class=top><p>Menu of the site, the same on every page and longer than any of its bodies put together</p></div><article><p>Card {0}</p></article><div id=x1><p>{0} body one of this page</p><p>and two {0}</p></div><main><p>Go {0}</p></main></body></html>"
+    other = "<html><body><article><p>Article {0} of another layout, {0}</p></article><p>Next {0}</p></body></html>"
+    rows = [(k, "http://h/", (page if k < 9 else other).format("page %d" % k)) for k in range(12)]
+    got = {r.page_id: r.text for r in html_text.extract(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    assert [got[k] for k in range(9)] == [f"page {k} body one of this page\n\nand two page {k}" for k in range(9)]
+    assert got[10] == "Article page 10 of another layout, page 10"
+
+
 def test_given_pages(spark):
     for r in html_text.extract(spark.read.parquet(f"{SF}/pages.parquet")).collect():
         assert r.text and "track(" not in r.text and "©" not in r.text
