@@ -119,6 +119,22 @@ def star_pairs(signatures: DataFrame, bands: int, rows: int) -> DataFrame:
     return k.join(least, ["band", "key"]).where("a < doc_id").select("a", F.col("doc_id").alias("b")).distinct()
 
 
+def cross_pairs(signatures: DataFrame, clusters: DataFrame, bands: int, rows: int) -> DataFrame:
+    """(a, b), a < b: pairs that share a bucket but lie in different components of (doc_id, component).
+
+    Buckets of one component drop out before their members are joined, so only pairs that
+    could still link are made; unlike members of a bucket are compared each with each.
+    """
+    k = band_keys(signatures, bands, rows).join(clusters, "doc_id", "left").select("band", "key", "doc_id", F.coalesce("component", "doc_id").alias("component"))
+    k = stage(k, "buckets")
+    some = k.select("band", "key", "component").distinct()
+    x, y = some.toDF("band", "key", "x"), some.toDF("band", "key", "y")
+    apart = x.join(y, ["band", "key"]).where("x < y")
+    left, right = k.toDF("band", "key", "p", "x"), k.toDF("band", "key", "q", "y")
+    both = apart.join(left, ["band", "key", "x"]).join(right, ["band", "key", "y"])
+    return both.select(F.least("p", "q").alias("a"), F.greatest("p", "q").alias("b")).distinct()
+
+
 def verify_pairs(pairs: DataFrame, signatures: DataFrame, threshold: float = 0.7) -> DataFrame:
     """Pairs whose share of equal slots reaches the threshold, with that share."""
     x, y = signatures.toDF("a", "sa"), signatures.toDF("b", "sb")
@@ -137,11 +153,19 @@ def exact_jaccard_pairs(docs: DataFrame, n: int = 5, threshold: float = 0.7) ->
 
 
 def dup_clusters(docs: DataFrame, n: int = 5, perms: int = 128, threshold: float = 0.7, seed: int = 42, all_pairs: bool = False) -> DataFrame:
-    """(doc_id, component) of documents that MinHash links; stars by default, all pairs of a bucket on demand."""
+    """(doc_id, component) of documents that MinHash links; the components are those of all pairs that share a bucket.
+
+    Stars come first and join what is alike in linear time; then the members of a bucket
+    that they left apart are compared. ``all_pairs`` compares all at once, to check against.
+    """
     bands, rows = choose_bands(perms, threshold)
     sig = stage(minhash_signature_numpy(docs, n, perms, seed), "signatures")
-    pairs = lsh_pairs(sig, bands, rows) if all_pairs else star_pairs(sig, bands, rows)
-    linked = verify_pairs(pairs, sig, threshold)
+    if all_pairs:
+        linked = verify_pairs(lsh_pairs(sig, bands, rows), sig, threshold)
+    else:
+        stars = stage(verify_pairs(star_pairs(sig, bands, rows), sig, threshold), "stars")
+        near = stage(connected_components(stars, "a", "b").toDF("doc_id", "component"), "near")
+        linked = stars.unionByName(verify_pairs(cross_pairs(sig, near, bands, rows), sig, threshold))
     return connected_components(linked, "a", "b").toDF("doc_id", "component")
 
 

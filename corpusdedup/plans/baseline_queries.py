@@ -54,7 +54,7 @@ def verified_pairs(spark, d):
 
 @query(f"WITH RECURSIVE {_PAIRS}, {S.cluster_ctes()} SELECT doc_id, component FROM cl")
 def dup_clusters(spark, d):
-    return D.dup_clusters(docs(spark, d), all_pairs=True)
+    return D.dup_clusters(docs(spark, d))
 
 
 @query(f"WITH {S.shingle_ctes()}, n AS (SELECT doc_id, count(*) AS n FROM sh GROUP BY 1), p AS (SELECT x.doc_id AS a, y.doc_id AS b, count(*) AS o FROM sh x JOIN sh y ON x.base = y.base AND x.doc_id < y.doc_id GROUP BY ALL) SELECT a, b, o / (na.n + nb.n - o)::DOUBLE AS jaccard FROM p JOIN n na ON na.doc_id = a JOIN n nb ON nb.doc_id = b WHERE o / (na.n + nb.n - o)::DOUBLE >= 0.7")
@@ -69,17 +69,17 @@ def lsh_quality(spark, d):
 
 @query(f"WITH RECURSIVE {S.survivor_ctes()} SELECT doc_id, md5(text) AS text_md5, length(text) AS chars FROM surv")
 def minhash_survivors(spark, d):
-    return D.minhash_dedup(docs(spark, d), all_pairs=True).select("doc_id", F.md5("text").alias("text_md5"), F.length("text").alias("chars"))
+    return D.minhash_dedup(docs(spark, d)).select("doc_id", F.md5("text").alias("text_md5"), F.length("text").alias("chars"))
 
 
 @query(f"WITH RECURSIVE {S.survivor_ctes()}, {S.rebuilt_ctes(source='SELECT doc_id, text FROM surv')} SELECT doc_id, md5(text) AS text_md5, length(text) AS chars FROM kept")
 def adaptive_full(spark, d):
-    return P.full_pipeline(docs(spark, d), all_pairs=True).select("doc_id", F.md5("text").alias("text_md5"), F.length("text").alias("chars"))
+    return P.full_pipeline(docs(spark, d)).select("doc_id", F.md5("text").alias("text_md5"), F.length("text").alias("chars"))
 
 
 @query(f"WITH RECURSIVE {S.survivor_ctes()}, {S.rebuilt_ctes(0, budget_sql='1', ties='strict', source='SELECT doc_id, text FROM surv')} SELECT doc_id, md5(text) AS text_md5, length(text) AS chars FROM kept")
 def keep_one_full(spark, d):
-    return P.keep_one_pipeline(docs(spark, d), all_pairs=True).select("doc_id", F.md5("text").alias("text_md5"), F.length("text").alias("chars"))
+    return P.keep_one_pipeline(docs(spark, d)).select("doc_id", F.md5("text").alias("text_md5"), F.length("text").alias("chars"))
 
 
 # --- substring baseline -------------------------------------------------------------
@@ -115,7 +115,7 @@ _removed("substring_global", "0", 1, False)
 
 @query(f"WITH RECURSIVE {S.survivor_ctes()}, {S.kgram_ctes('surv', shard_sql=S.shard(4))}, {S.cut_cte('surv')} SELECT doc_id, md5(text) AS text_md5, length(text) AS chars FROM cutdoc")
 def suffix_pipeline(spark, d):
-    return P.substring_pipeline(docs(spark, d), 4, all_pairs=True).select("doc_id", F.md5("text").alias("text_md5"), F.length("text").alias("chars"))
+    return P.substring_pipeline(docs(spark, d), 4).select("doc_id", F.md5("text").alias("text_md5"), F.length("text").alias("chars"))
 
 
 @query(f"WITH {S.occ_ctes()}, s AS (SELECT *, {S.shard(10)} AS shard FROM occ) SELECT doc_id, pos FROM (SELECT *, count(*) OVER (PARTITION BY shard, h, norm_len) AS n FROM s) WHERE n = 1")
@@ -254,7 +254,7 @@ def proxy_benchmark(spark, d):
 @query(f"WITH RECURSIVE {S.survivor_ctes()}, {S.occ_ctes(source='SELECT doc_id, text FROM surv', tau=0, kinds=('line',))} {_PROFILE}")
 def w_freq_profile(spark, d):
     """The frequency profile of lines after document-level deduplication."""
-    x = stage(D.minhash_dedup(docs(spark, d), all_pairs=True), "survivors")
+    x = stage(D.minhash_dedup(docs(spark, d)), "survivors")
     return M.frequency_profile(P.occurrence_table(x, 0, ("line",))).withColumn("share", F.round("share", 6))
 
 
@@ -299,7 +299,7 @@ _KEPT2 = S.rebuilt_ctes(source="SELECT doc_id, text FROM surv")
 def w_sizes(spark, d):
     """Corpus sizes after the document level and after the sub-document level, relative to the raw corpus."""
     raw = docs(spark, d)
-    doc = stage(D.minhash_dedup(raw, all_pairs=True), "survivors")
+    doc = stage(D.minhash_dedup(raw), "survivors")
     return _rounded(M.retention_report(raw, {"doc_minhash": doc, "minhash_adaptive": stage(P.adaptive_dedup(doc), "s")}))
 
 
@@ -307,7 +307,7 @@ def w_sizes(spark, d):
 def w_policy(spark, d):
     """Keep-one at equal detection: what the adaptive budget is held against."""
     raw = docs(spark, d)
-    doc = stage(D.minhash_dedup(raw, all_pairs=True), "survivors")
+    doc = stage(D.minhash_dedup(raw), "survivors")
     return _rounded(M.retention_report(raw, {"doc_minhash": doc, "minhash_keep_one": stage(P.keep_one(doc), "s")}))
 
 

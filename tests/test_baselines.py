@@ -114,3 +114,25 @@ def test_chain_is_one_component(spark):
     texts = [" ".join(base), " ".join(base[4:] + ["x1", "x2", "x3", "x4"]), " ".join(base[8:] + ["x1", "x2", "x3", "x4", "y1", "y2", "y3", "y4"])]
     docs = spark.createDataFrame([(k, t) for k, t in enumerate(texts)], "doc_id long, text string")
     assert [r.doc_id for r in D.minhash_dedup(docs, all_pairs=True).collect()] == [0]
+
+
+def test_links_beside_a_smaller_dissimilar_document(spark):
+    # document 0 shares boilerplate with 1 and 2, and so every bucket that these two share
+    common = [f"b{k}" for k in range(130)]
+    alike = common + [f"w{k}" for k in range(60)]
+    texts = [common + [f"z{k}" for k in range(60)], alike, alike + ["one", "more"]]
+    sig = [[0] * 64 + [1] * 64, [0] * 64 + [2] * 64, [0] * 64 + [2] * 60 + [3] * 4, [0] * 64 + [4] * 64, [5] * 128]
+    low = spark.createDataFrame(list(enumerate(sig)), "doc_id long, sig array<long>")
+    none = spark.createDataFrame([], "doc_id long, component long")
+    assert {tuple(r) for r in D.cross_pairs(low, none, 32, 4).collect()} == {tuple(r) for r in D.lsh_pairs(low, 32, 4).collect()}
+    docs = spark.createDataFrame([(k, " ".join(t)) for k, t in enumerate(texts)] + [(9, "")], "doc_id long, text string")
+    want = {tuple(r) for r in D.dup_clusters(docs, all_pairs=True).collect()}
+    assert {tuple(r) for r in D.dup_clusters(docs).collect()} == want and want
+
+
+def test_stars_then_the_rest_equal_all_pairs(spark, monkeypatch):
+    sig = [[0] * 64 + [1] * 64, [0] * 64 + [2] * 64, [0] * 64 + [2] * 60 + [3] * 4, [0] * 64 + [4] * 64, [5] * 128]
+    monkeypatch.setattr(D, "minhash_signature_numpy", lambda *_: spark.createDataFrame(list(enumerate(sig)), "doc_id long, sig array<long>"))
+    docs = spark.createDataFrame([(k, "x") for k in range(5)], "doc_id long, text string")
+    assert {tuple(r) for r in D.dup_clusters(docs).where("doc_id < 3").collect()} == {(1, 1), (2, 1)}
+    assert sorted(r.doc_id for r in D.minhash_dedup(docs).collect()) == [0, 1, 3, 4]
