@@ -9,8 +9,9 @@ from pyspark.sql import functions as F
 WS = r" \t\n\r\f\x0B"
 STOPS, WIDE_STOPS = ".!?", "。！？"
 KINDS = ("paragraph", "line", "sentence")
-#: How far back a cut looks over white space for what made it a boundary.
-REACH = 32
+#: How far back a cut looks over white space for what made it a boundary; a farther look
+#: is taken only after a longer run. The last is as far as a pattern of two such runs may reach.
+REACH = (32, 1024, 1_000_000_000)
 
 NUMBER = r"[$€£¥]?[0-9]+(?:[.,:/-][0-9]+)*%?"
 #: Ordered from the most specific form; the last takes what is left.
@@ -31,14 +32,19 @@ def boundary_pattern(kinds: tuple[str, ...] = KINDS) -> str:
     """
     if not kinds or set(kinds) - set(KINDS):
         raise ValueError(f"kinds must be some of {KINDS}")
-    after = []
-    if "line" in kinds:
-        after.append(rf"(?<=\n[{WS}]{{0,{REACH}}})")
-    elif "paragraph" in kinds:
-        after.append(rf"(?<=\n[ \t\r\f\x0B]{{0,{REACH}}}\n[{WS}]{{0,{REACH}}})")
-    if "sentence" in kinds:
-        after.append(rf"(?<=[{STOPS}{WIDE_STOPS}][{WS}]{{1,{REACH}}})")
-    space = rf"(?![{WS}])(?<=[{WS}])(?:{'|'.join(after)})"
+
+    def after(reach: int) -> str:
+        out = []
+        if "line" in kinds:
+            out.append(rf"(?<=\n[{WS}]{{0,{reach}}})")
+        elif "paragraph" in kinds:
+            out.append(rf"(?<=\n[ \t\r\f\x0B]{{0,{reach}}}\n[{WS}]{{0,{reach}}})")
+        if "sentence" in kinds:
+            out.append(rf"(?<=[{STOPS}{WIDE_STOPS}][{WS}]{{1,{reach}}})")
+        return "|".join(out)
+
+    farther = [rf"(?<=[{WS}]{{{least + 1}}})(?:{after(reach)})" for least, reach in zip(REACH, REACH[1:])]
+    space = rf"(?![{WS}])(?<=[{WS}])(?:{'|'.join([after(REACH[0]), *farther])})"
     return rf"(?:{space}|(?<=[{WIDE_STOPS}])(?![{WIDE_STOPS}{WS}]))" if "sentence" in kinds else space
 
 

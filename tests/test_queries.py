@@ -63,3 +63,17 @@ def test_sources(spark, tmp_path):
 
 def test_table_function(spark):
     assert QUERIES["udtf_segment"](spark, SF).count() == QUERIES["seg_merge"](spark, SF).count()
+
+
+@pytest.mark.parametrize("name", ["seg_merge", "adaptive_subdoc"])
+def test_cuts_after_long_white_space(spark, tmp_path, name):
+    words = "some words of a chunk that is long enough to stand alone"
+    gaps = ["\n" + " " * k for k in (31, 32, 33, 40, 1024, 1025, 3000)] + ["." + " \t" * 600, "。" + " " * 50, " " * 2000 + "\n", " " * 40, "\n" + " " * 40 + "\n" + " " * 1100, "| a |" + " " * 90 + "| b |\n"]
+    rows = [(d, "".join(f"{words} {d * (k % 3)}{g}" for k, g in enumerate(gaps)) + words, "en", "s", 1) for d in range(60)]
+    spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long").coalesce(1).write.parquet(f"{tmp_path}/documents.parquet")
+    con = duckdb.connect()
+    con.sql(f"CREATE VIEW documents AS SELECT * FROM '{tmp_path}/documents.parquet/*.parquet'")
+    got = QUERIES[name](spark, str(tmp_path))
+    cols = sorted(got.columns)
+    want = con.sql(f"SELECT {', '.join(cols)} FROM ({ORACLES[name]})").fetchall()
+    assert sorted(map(str, (tuple(plain(r[c]) for c in cols) for r in got.collect()))) == sorted(map(str, (tuple(plain(v) for v in r) for r in want)))
