@@ -59,7 +59,7 @@ def op8_template_deduction(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op9_bit_packed_ids(spark: SparkSession, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
-    folder, files = write_ids(table(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"))
+    folder, files = write_ids(table(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"), added=True)
     return read_ids(spark, folder, files)
 
 

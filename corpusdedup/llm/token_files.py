@@ -138,13 +138,19 @@ class WordEncoder:
     tokenizer's split is ``LETTERS_OR_PUNCTUATION``, punctuation at a word's end is a word
     of its own, and words of letters only are encoded many in one string, to be parted
     after each token that ends a word; if their number is not that of the words (a letter
-    that normalises to a letter and a mark), each word is encoded alone. Memory is two
+    that normalises to a letter and a mark), each word is encoded alone. With ``added`` the
+    strings of added tokens in a text are those tokens, as the library reads them by
+    default: a text that holds one goes through the library whole. Memory is two
     generations of ``MEMORY`` words at most, plus a batch's.
     """
 
-    def __init__(self, path: str, end_id: int):
+    def __init__(self, path: str, end_id: int, added: bool = False):
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True  # their strings in a text are ordinary text
+        self.whole = Tokenizer.from_file(path) if added else None
+        tokens = self.tokenizer.get_added_tokens_decoder().values()
+        self.added = [t.content.encode() for t in tokens if not t.normalized]
+        self.added_later = [self._normal(t.content) for t in tokens if t.normalized]
         self.vocabulary = self.tokenizer.get_vocab_size(with_added_tokens=True)
         self.kind = "<u2" if bits_for(self.vocabulary) <= 16 else "<u4"
         self.end = np.array([end_id], self.kind).tobytes()
@@ -163,7 +169,8 @@ class WordEncoder:
 
     def encode(self, texts: list[bytes | None]) -> list[bytes]:
         """Packed ids of each UTF-8 text, the end id last."""
-        words = [self.words(t) if t else [] for t in texts]
+        whole = {k for k, t in enumerate(texts) if t and self.whole and self.holds_added(t)}
+        words = [self.words(t) if t and k not in whole else [] for k, t in enumerate(texts)]
         if len(self.recent) > MEMORY:
             self.recent = _Recent(dict(self.recent))
         recent, before = self.recent, self.recent.before
@@ -171,7 +178,19 @@ class WordEncoder:
         for k in range(0, len(new), 20_000):
             self.learn(new[k : k + 20_000])
         get = recent.__getitem__
-        return [b"".join(map(get, ws)) + self.end for ws in words]
+        out = [b"".join(map(get, ws)) + self.end for ws in words]
+        for k in whole:
+            out[k] = array(self.code, self.whole.encode(texts[k].decode(), add_special_tokens=False).ids).tobytes() + self.end
+        return out
+
+    def _normal(self, text: str) -> str:
+        return self.tokenizer.normalizer.normalize_str(text) if self.tokenizer.normalizer else text
+
+    def holds_added(self, text: bytes) -> bool:
+        """Whether the string of an added token is in a text, or in its normalised form where that counts."""
+        if any(t in text for t in self.added):
+            return True
+        return bool(self.added_later) and any(t in self._normal(text.decode()) for t in self.added_later)
 
     def words(self, text: bytes) -> list[bytes]:
         if self.apart:
@@ -199,20 +218,23 @@ class WordEncoder:
             self.recent[new[k]] = array(self.code, e.ids).tobytes()
 
 
-_encoders: dict[tuple[str, int], WordEncoder] = {}
+_encoders: dict[tuple[str, int, bool], WordEncoder] = {}
 
 
-def _encoder(path: str, end_id: int) -> WordEncoder:
-    if (path, end_id) not in _encoders:
-        _encoders[path, end_id] = WordEncoder(path, end_id)
-    return _encoders[path, end_id]
+def _encoder(path: str, end_id: int, added: bool = False) -> WordEncoder:
+    if (path, end_id, added) not in _encoders:
+        _encoders[path, end_id, added] = WordEncoder(path, end_id, added)
+    return _encoders[path, end_id, added]
 
 
 FILES = "file string, part int, number int, n_docs long, n_ids long"
 
 
-def write_ids(docs: DataFrame, path: str, end_id: int = 2, folder: str | None = None, file_ids: int = FILE_IDS) -> tuple[str, DataFrame]:
-    """Encode (doc_id, text) and write the files; returns their folder and the staged list of files."""
+def write_ids(docs: DataFrame, path: str, end_id: int = 2, folder: str | None = None, file_ids: int = FILE_IDS, added: bool = False) -> tuple[str, DataFrame]:
+    """Encode (doc_id, text) and write the files; returns their folder and the staged list of files.
+
+    With ``added`` the strings of added tokens in a text are those tokens, the library's default.
+    """
     spark: SparkSession = docs.sparkSession
     folder = folder or fresh_path(spark, "ids")
     make_folder(spark, folder)
@@ -223,7 +245,7 @@ def write_ids(docs: DataFrame, path: str, end_id: int = 2, folder: str | None =
     cuts = np.unique(cuts.astype(np.int64))
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        code, shrink = _encoder(path, end_id), zstandard.ZstdCompressor(level=1)
+        code, shrink = _encoder(path, end_id, added), zstandard.ZstdCompressor(level=1)
         for batch in batches:
             for lo in range(0, batch.num_rows, 500):
                 some = batch.slice(lo, 500)

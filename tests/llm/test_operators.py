@@ -416,6 +416,23 @@ def test_token_files(spark):
     assert token_files.read_ids(spark, folder, files).count() == 0
 
 
+def test_query_gives_the_ids_of_the_library_as_loaded(spark, tmp_path):
+    import zlib
+
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    from corpusdedup.llm.queries import op9_bit_packed_ids
+
+    texts = ["a <|endoftext|> b", "x<|startoftext|>Y.", "<|ENDOFTEXT|> <|endoftext|", "<|endoftext|><|endoftext|>", "it's plain, text 12.", "", None]
+    spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    library = Tokenizer.from_file(public_tokenizers.path("word_bpe_49k.json"))
+    want = [[*library.encode(t or "", add_special_tokens=False).ids, 2] for t in texts]
+    assert want[0] == [320, 49407, 321, 2]
+    got = sorted(op9_bit_packed_ids(spark, str(tmp_path)).collect(), key=lambda r: r.doc_id)
+    assert [(r.n_tokens, r.ids_crc32) for r in got] == [(len(x), zlib.crc32(np.array(x, "<u4").tobytes())) for x in want]
+
+
 @pytest.mark.parametrize("bits", [1, 3, 8, 11, 16, 17, 20])
 def test_bit_packing(bits):
     a = np.random.default_rng(bits).integers(0, 2**bits, 20_000).astype(np.uint32)
