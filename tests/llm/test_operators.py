@@ -478,6 +478,14 @@ def test_pipeline(spark):
         assert f(spark, d.limit(0), SF).count() == 0
 
 
+def test_an_id_with_two_texts(spark):
+    text = lambda w: " ".join(f"{w}{k}" for k in range(60))
+    rows = [(1, text("b")), (2, text("a")), (2, text("b")), (3, text("c")), (3, text("C")), (4, text("d")), (4, text("d"))]
+    got = corpus_pipeline.near_duplicates(spark, docs(spark, rows), SF)
+    assert got.columns == docs(spark, []).columns
+    assert Counter((r.doc_id, r.text[0].lower()) for r in got.collect()) == Counter([(1, "b"), (2, "a"), (3, "c"), (4, "d")])
+
+
 def test_word_encoder_gives_the_library_s_ids_on_awkward_text():
     import public_tokenizers
     from tokenizers import Tokenizer
