@@ -131,7 +131,8 @@ def test_links_beside_a_smaller_dissimilar_document(spark):
 
 
 def test_stars_then_the_rest_equal_all_pairs(spark, monkeypatch):
-    sig = [[0] * 64 + [1] * 64, [0] * 64 + [2] * 64, [0] * 64 + [2] * 60 + [3] * 4, [0] * 64 + [4] * 64, [5] * 128]
+    # 1 and 2 are alike, but every bucket that they share holds 0
+    sig = [[0] * 32 + [1] * 96, [0] * 32 + [2] * 96, [0] * 32 + [2, 2, 2, 3] * 24, [0] * 32 + [4] * 96, [5] * 128]
     monkeypatch.setattr(D, "minhash_signature_numpy", lambda *_: spark.createDataFrame(list(enumerate(sig)), "doc_id long, sig array<long>"))
     docs = spark.createDataFrame([(k, "x") for k in range(5)], "doc_id long, text string")
     assert {tuple(r) for r in D.dup_clusters(docs).where("doc_id < 3").collect()} == {(1, 1), (2, 1)}
