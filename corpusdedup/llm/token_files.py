@@ -15,13 +15,15 @@ The corpus is cut into ranges of doc_id of nearly equal numbers of rows; one tas
 writes a range, in files of at most about ``FILE_IDS`` ids, whose names sort like the
 ids. Only the files that a finished task has listed are read, so what a lost attempt
 left behind does not count. Null texts are empty and a document always ends with ``end_id``, so none has no
-ids. A null doc_id sorts first. Repeated doc_ids stay separate documents, next to each
-other, ordered by their ids.
+ids; bytes that are not UTF-8 are read as U+FFFD. A null doc_id sorts first. Repeated
+doc_ids stay separate documents, next to each other, in an order that their ids decide;
+an id that many rows repeat has several tasks.
 """
 
 from __future__ import annotations
 
 import json
+import os
 import re
 import zlib
 from array import array
@@ -29,7 +31,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-import zstandard
+import pyarrow.compute as pc
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -42,13 +44,18 @@ MAGIC = b"PACKIDS1"
 BLOCK = 4096
 FILE_IDS = 4_000_000
 #: Distinct words whose ids a worker remembers.
-MEMORY = 300_000
+MEMORY = 400_000
 #: So many new words of letters are encoded as one string.
-TOGETHER = 200
+TOGETHER = 50
+#: Bytes of text that are encoded at a time, and words whose ids are gathered at a time.
+SLICE, GATHER = 6_000_000, 500_000
 #: Fixed value: a split that always cuts between a letter or digit and punctuation, but for apostrophes.
 LETTERS_OR_PUNCTUATION = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
-#: ASCII punctuation at a word's end, after a letter a-z, a digit or a small letter of Latin-1.
-_TRAILING = re.compile(rb"(?:(?<=[a-z0-9])|(?<=\xc3[\xa0-\xb6\xb8-\xbf]))([!-&(-/:-@\[-`{-~]+)(?=[ \t-\r])")
+#: ASCII punctuation that is a word of its own at a word's end, after one of the letters and digits.
+PUNCTUATION = "!\"#$%&()*+,-./:;<=>?@[\\]^_`{|}~"
+BEFORE_PUNCTUATION = frozenset("abcdefghijklmnopqrstuvwxyz0123456789àáâãäåæçèéêëìíîïðñòóôõöøùúûüýþÿ")
+#: Letters of Latin-1, whose only normal form is their small letter; A-Z are lowered before.
+_LATIN = re.compile("[a-zß-öø-ÿÀ-ÖØ-Þ]+").fullmatch
 
 
 def bits_for(vocabulary: int) -> int:
@@ -119,37 +126,34 @@ class PackedFile:
 
 
 class _Recent(dict):
-    """Recently used words; a word of the generation before is taken over when it is asked for."""
+    """Recently used words, and those of the generation before."""
 
     def __init__(self, before: dict):
         self.before = before
 
-    def __missing__(self, word: bytes) -> bytes:
-        self[word] = ids = self.before[word]
-        return ids
-
 
 class WordEncoder:
     """Ids of whole texts from a tokenizer that never joins across white space.
 
-    Such a tokenizer encodes every word between ASCII white space on its own, so the
-    packed ids of frequent words are remembered and a text's ids are those of its words
-    in a row; new words of a batch are encoded by the library together. Where the
-    tokenizer's split is ``LETTERS_OR_PUNCTUATION``, punctuation at a word's end is a word
-    of its own, and words of letters only are encoded many in one string, to be parted
-    after each token that ends a word; if their number is not that of the words (a letter
-    that normalises to a letter and a mark), each word is encoded alone. With ``added`` the
-    strings of added tokens in a text are those tokens, as the library reads them by
-    default: a text that holds one goes through the library whole. Memory is two
-    generations of ``MEMORY`` words at most, plus a batch's.
+    Such a tokenizer encodes every word between ASCII white space on its own, so a batch
+    of texts becomes a dictionary of its distinct words; the packed ids of frequent words
+    are remembered, new ones are encoded by the library, and the ids of all texts are
+    gathered from those of the words. Where the tokenizer's split is
+    ``LETTERS_OR_PUNCTUATION``, a new word with punctuation at its end is two words, and
+    words of letters only are encoded many in one string, to be parted after each token
+    that ends a word; if their number is not that of the words (a letter that normalises to
+    a letter and a mark), each word is encoded alone. With ``added`` the strings of added
+    tokens in a text are those tokens, as the library reads them by default: a text that
+    holds one goes through the library whole. Memory is two generations of ``MEMORY`` words
+    at most, plus a batch's.
     """
 
-    def __init__(self, path: str, end_id: int, added: bool = False):
+    def __init__(self, path: str, end_id: int, added: bool = True):
         self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True  # their strings in a text are ordinary text
+        self.tokenizer.encode_special_tokens = True  # their strings in a word are ordinary text
         self.whole = Tokenizer.from_file(path) if added else None
         tokens = self.tokenizer.get_added_tokens_decoder().values()
-        self.added = [t.content.encode() for t in tokens if not t.normalized]
+        self.added = [t.content for t in tokens if not t.normalized]
         self.added_later = [self._normal(t.content) for t in tokens if t.normalized]
         self.vocabulary = self.tokenizer.get_vocab_size(with_added_tokens=True)
         self.kind = "<u2" if bits_for(self.vocabulary) <= 16 else "<u4"
@@ -158,103 +162,220 @@ class WordEncoder:
         self.lower = '"Lowercase"' in self.tokenizer.to_str()[:4000]
         self.code = "H" if self.kind == "<u2" else "I"
         spec = json.loads(self.tokenizer.to_str())
-        first = ((spec["pre_tokenizer"] or {}).get("pretokenizers") or [{}])[0]
-        self.apart = self.lower and first.get("pattern") == {"Regex": LETTERS_OR_PUNCTUATION}
+        splits = (spec["pre_tokenizer"] or {}).get("pretokenizers") or [{}]
+        self.apart = self.lower and splits[0].get("pattern") == {"Regex": LETTERS_OR_PUNCTUATION}
         suffix = spec["model"].get("end_of_word_suffix") if self.apart else None
-        self.ends = None
+        self.ends = self.plain = None
         if suffix:
             self.ends = np.zeros(self.vocabulary, bool)
             self.ends[[i for w, i in self.tokenizer.get_vocab(with_added_tokens=False).items() if w.endswith(suffix)]] = True
+            # for words that no normaliser changes: the same model, cut at blanks alone
+            blanks = {"type": "CharDelimiterSplit", "delimiter": " "}
+            self.plain = Tokenizer.from_str(json.dumps(spec | {"added_tokens": [], "normalizer": None, "pre_tokenizer": {"type": "Sequence", "pretokenizers": [blanks, *splits[1:]]}}))
         self.recent = _Recent({})
 
-    def encode(self, texts: list[bytes | None]) -> list[bytes]:
-        """Packed ids of each UTF-8 text, the end id last."""
-        whole = {k for k, t in enumerate(texts) if t and self.whole and self.holds_added(t)}
-        words = [self.words(t) if t and k not in whole else [] for k, t in enumerate(texts)]
+    def encode(self, texts: pa.Array) -> pa.Array:
+        """Packed ids of each text as binary, the end id last."""
+        texts = pc.fill_null(texts, "")
+        whole = self.holding_added(texts) if self.whole else []
+        if whole:
+            mask = np.ones(len(texts), bool)
+            mask[whole] = False
+            own = [texts[k].as_py() for k in whole]
+            texts = pc.if_else(pa.array(mask), texts, "")
+        split = pc.ascii_split_whitespace(pc.ascii_lower(texts) if self.lower else texts)
+        coded = split.flatten().dictionary_encode()
+        parts = self.lookup(coded.dictionary.to_numpy(zero_copy_only=False).tolist())
+        offsets = split.offsets.to_numpy().astype(np.int64)
+        # after a text's words comes the end, numbered after all words
+        words = np.insert(coded.indices.to_numpy(), offsets[1:], len(parts))
+        ids, ends = self.gather(words, [*parts, self.end])
+        stops = np.append(0, ends[offsets[1:] + np.arange(len(texts))]) * ids.itemsize
+        out = pa.Array.from_buffers(pa.binary(), len(texts), [None, pa.py_buffer(stops.astype("<i4")), pa.py_buffer(ids)])
+        if not whole:
+            return out
+        held = out.to_pylist()
+        for k, text in zip(whole, own, strict=True):
+            held[k] = array(self.code, self.whole.encode(text, add_special_tokens=False).ids).tobytes() + self.end
+        return pa.array(held, pa.binary())
+
+    def gather(self, words: np.ndarray, parts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        """The ids of numbered words in a row, and where each word's end."""
+        flat = np.frombuffer(b"".join(parts), self.kind)
+        n = np.fromiter(map(len, parts), np.int64, len(parts)) // flat.itemsize
+        first = np.cumsum(n) - n
+        ends = np.cumsum(n[words])
+        out = np.empty(int(ends[-1]) if len(ends) else 0, self.kind)
+        for lo in range(0, len(words), GATHER):
+            some = words[lo : lo + GATHER]
+            at = int(ends[lo - 1]) if lo else 0
+            stop = int(ends[lo + len(some) - 1])
+            k = n[some]
+            out[at:stop] = flat[np.repeat(first[some] - (ends[lo : lo + len(some)] - k), k) + np.arange(at, stop)]
+        return out, ends
+
+    def lookup(self, words: list[str]) -> list[bytes]:
+        """Packed ids of distinct words."""
         if len(self.recent) > MEMORY:
             self.recent = _Recent(dict(self.recent))
-        recent, before = self.recent, self.recent.before
-        new = [w for w in set().union(*words).difference(recent) if w not in before]
-        for k in range(0, len(new), 20_000):
-            self.learn(new[k : k + 20_000])
-        get = recent.__getitem__
-        out = [b"".join(map(get, ws)) + self.end for ws in words]
-        for k in whole:
-            out[k] = array(self.code, self.whole.encode(texts[k].decode(), add_special_tokens=False).ids).tobytes() + self.end
-        return out
+        get = self.recent.get
+        parts = list(map(get, words))
+        older = self.recent.before.get
+        new = []
+        for k, ids in enumerate(parts):
+            if ids is None:
+                w = words[k]
+                if (ids := older(w)) is None:
+                    new.append(k)
+                else:
+                    self.recent[w] = parts[k] = ids
+        self.learn([words[k] for k in new])
+        for k in new:
+            parts[k] = get(words[k])
+        return parts
 
     def _normal(self, text: str) -> str:
         return self.tokenizer.normalizer.normalize_str(text) if self.tokenizer.normalizer else text
 
-    def holds_added(self, text: bytes) -> bool:
-        """Whether the string of an added token is in a text, or in its normalised form where that counts."""
-        if any(t in text for t in self.added):
-            return True
-        return bool(self.added_later) and any(t in self._normal(text.decode()) for t in self.added_later)
-
-    def words(self, text: bytes) -> list[bytes]:
-        if self.apart:
-            return _TRAILING.sub(rb" \1", text.lower()).split()
-        return (text.lower() if self.lower else text).split()
+    def holding_added(self, texts: pa.Array) -> list[int]:
+        """Numbers of the texts that hold the string of an added token, or hold it once normalised where that counts."""
+        found = np.zeros(len(texts), bool)
+        for t in self.added:
+            found |= pc.match_substring(texts, t).to_numpy(zero_copy_only=False)
+        if self.added_later:
+            found |= np.array([any(t in self._normal(x) for t in self.added_later) for x in texts.to_pylist()], bool)
+        return np.flatnonzero(found).tolist()
 
-    def learn(self, new: list[bytes]) -> None:
+    def learn(self, new: list[str]) -> None:
         """Encode new words and remember their packed ids."""
-        said, alone = [w.decode() for w in new], range(len(new))
-        if self.ends is not None:
-            letters = [k for k, s in enumerate(said) if s.isalpha()]
-            alone = [k for k, s in enumerate(said) if not s.isalpha()]
-            groups = [letters[k : k + TOGETHER] for k in range(0, len(letters), TOGETHER)]
-            for group, e in zip(groups, self.tokenizer.encode_batch_fast([" ".join([said[k] for k in g]) for g in groups], add_special_tokens=False), strict=True):
+        recent, older = self.recent, self.recent.before
+        cut, plain, letters, alone = [], [], [], []
+        seen = set()
+
+        def sort(w: str) -> None:
+            if self.ends is None:
+                alone.append(w)
+            elif _LATIN(w):
+                plain.append(w)
+            elif w.isalpha():
+                letters.append(w)
+            else:
+                alone.append(w)
+
+        for w in new:
+            b = w.rstrip(PUNCTUATION) if self.apart else w
+            if b == w or not b or b[-1] not in BEFORE_PUNCTUATION:
+                if w not in seen:
+                    seen.add(w)
+                    sort(w)
+                continue
+            e = w[len(b) :]
+            cut.append((w, b, e))
+            for x in (b, e):
+                if x not in seen and x not in recent:
+                    seen.add(x)
+                    if x in older:
+                        recent[x] = older[x]
+                    else:
+                        sort(x)
+        alone += self.learn_together(self.plain, plain) + self.learn_together(self.tokenizer, letters)
+        for lo in range(0, len(alone), 20_000):
+            some = alone[lo : lo + 20_000]
+            for w, e in zip(some, self.tokenizer.encode_batch_fast(some, add_special_tokens=False), strict=True):
+                recent[w] = array(self.code, e.ids).tobytes()
+        for w, b, e in cut:
+            recent[w] = recent[b] + recent[e]
+
+    def learn_together(self, tokenizer: Tokenizer, words: list[str]) -> list[str]:
+        """Encode words of letters, many in one string; returns those that could not be told apart."""
+        left = []
+        for lo in range(0, len(words), 100 * TOGETHER):
+            groups = [words[k : k + TOGETHER] for k in range(lo, min(lo + 100 * TOGETHER, len(words)), TOGETHER)]
+            for group, e in zip(groups, tokenizer.encode_batch_fast([" ".join(g).lower() if tokenizer is self.plain else " ".join(g) for g in groups], add_special_tokens=False), strict=True):
                 ids = np.array(e.ids, self.kind)
                 cuts = ((np.flatnonzero(self.ends[ids]) + 1) * ids.itemsize).tolist()
                 if len(cuts) != len(group):
-                    alone += group
+                    left += group
                     continue
-                packed, lo = ids.tobytes(), 0
-                for k, hi in zip(group, cuts, strict=True):
-                    self.recent[new[k]] = packed[lo:hi]
-                    lo = hi
-        for k, e in zip(alone, self.tokenizer.encode_batch_fast([said[k] for k in alone], add_special_tokens=False), strict=True):
-            self.recent[new[k]] = array(self.code, e.ids).tobytes()
+                packed, at = ids.tobytes(), 0
+                for w, stop in zip(group, cuts, strict=True):
+                    self.recent[w] = packed[at:stop]
+                    at = stop
+        return left
 
 
 _encoders: dict[tuple[str, int, bool], WordEncoder] = {}
 
 
-def _encoder(path: str, end_id: int, added: bool = False) -> WordEncoder:
+def _encoder(path: str, end_id: int, added: bool = True) -> WordEncoder:
+    os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")  # a task has one core
     if (path, end_id, added) not in _encoders:
         _encoders[path, end_id, added] = WordEncoder(path, end_id, added)
     return _encoders[path, end_id, added]
 
 
+def slices(batch: pa.RecordBatch, column: int, size: int) -> Iterator[pa.RecordBatch]:
+    """Parts of a batch of about ``size`` bytes of a column each, of one row at least."""
+    ends = np.cumsum(pc.fill_null(pc.binary_length(batch.column(column)), 0).to_numpy(zero_copy_only=False).astype(np.int64))
+    lo = 0
+    while lo < batch.num_rows:
+        hi = max(lo + 1, int(np.searchsorted(ends, (ends[lo - 1] if lo else 0) + size, side="right")))
+        yield batch.slice(lo, hi - lo)
+        lo = hi
+
+
+class Ranges:
+    """Parts of the corpus in the order of doc_id, a null id first.
+
+    ``cuts`` are ids at equal steps of all rows. An id that is several cuts has as many
+    parts, and null ids have ``nulls``: their documents are dealt by a checksum of their ids.
+    """
+
+    def __init__(self, cuts: np.ndarray, nulls: int):
+        self.cuts, self.nulls = cuts, nulls
+
+    def part(self, doc_id: pa.Array, ids: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """(part, checksum) of each document; the checksum is 0 where the id alone decides."""
+        null = doc_id.is_null().to_numpy(zero_copy_only=False)
+        doc = pc.fill_null(doc_id, 0).to_numpy()
+        low, high = (np.searchsorted(self.cuts, doc, side=s) for s in ("left", "right"))
+        first, room = np.where(null, 0, self.nulls + high), np.where(null, self.nulls, high - low)
+        first = np.where(~null & (room > 1), self.nulls + low + 1, first)
+        check = np.zeros(len(doc), np.int64)
+        for k in np.flatnonzero(room > 1):
+            check[k] = zlib.crc32(ids[int(k)].as_buffer())
+        return (first + (check * room >> 32)).astype(np.int32), check
+
+
 FILES = "file string, part int, number int, n_docs long, n_ids long"
 
 
-def write_ids(docs: DataFrame, path: str, end_id: int = 2, folder: str | None = None, file_ids: int = FILE_IDS, added: bool = False) -> tuple[str, DataFrame]:
+def write_ids(docs: DataFrame, path: str, end_id: int = 2, folder: str | None = None, file_ids: int = FILE_IDS, added: bool = True) -> tuple[str, DataFrame]:
     """Encode (doc_id, text) and write the files; returns their folder and the staged list of files.
 
-    With ``added`` the strings of added tokens in a text are those tokens, the library's default.
+    With ``added`` the strings of added tokens in a text are those tokens, the library's
+    default; else they are ordinary text.
     """
     spark: SparkSession = docs.sparkSession
     folder = folder or fresh_path(spark, "ids")
     make_folder(spark, folder)
-    bits = bits_for(_encoder(path, end_id).vocabulary)
+    bits = bits_for(_encoder(path, end_id, added).vocabulary)
     kind = "<u2" if bits <= 16 else "<u4"
     parts = 2 * shuffle_partitions(spark)
-    cuts = np.array(docs.select(F.col("doc_id").cast("long").alias("doc_id")).where("doc_id is not null").approxQuantile("doc_id", [k / parts for k in range(1, parts)], 0.2 / parts), np.float64)
-    cuts = np.unique(cuts.astype(np.int64))
+    keys = docs.select(F.col("doc_id").cast("long").alias("doc_id"))
+    rows, known = keys.agg(F.count("*"), F.count("doc_id")).first()
+    cuts = np.array(keys.where("doc_id is not null").approxQuantile("doc_id", [k / parts for k in range(1, parts)], max(0.2 / parts, 1e-5)), np.float64).astype(np.int64)
+    ranges = Ranges(cuts, max(1, round(parts * (rows - known) / max(rows, 1))))
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        code, shrink = _encoder(path, end_id, added), zstandard.ZstdCompressor(level=1)
+        code = _encoder(path, end_id, added)
         for batch in batches:
-            for lo in range(0, batch.num_rows, 500):
-                some = batch.slice(lo, 500)
-                ids = code.encode(some.column(1).to_pylist())
-                part = [0 if d is None else int(np.searchsorted(cuts, d, side="right")) for d in some.column(0).to_pylist()]
-                yield pa.RecordBatch.from_arrays([pa.array(part, pa.int32()), some.column(0), pa.array(list(map(shrink.compress, ids)), pa.binary())], names=["part", "doc_id", "ids"])
+            for some in slices(batch, 1, SLICE):
+                ids = code.encode(some.column(1))
+                part, check = ranges.part(some.column(0), ids)
+                yield pa.RecordBatch.from_arrays([pa.array(part), some.column(0), pa.array(check), ids], names=["part", "doc_id", "check", "ids"])
 
     def write(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        grow = zstandard.ZstdDecompressor()
         state = {"part": None, "number": 0, "docs": [], "ids": [], "size": 0}
 
         def close() -> pa.RecordBatch:
@@ -270,7 +391,7 @@ def write_ids(docs: DataFrame, path: str, end_id: int = 2, folder: str | None =
                     if state["docs"]:
                         yield close()
                     state.update(part=part, number=0)
-                ids = np.frombuffer(grow.decompress(data), kind)
+                ids = np.frombuffer(data, kind)
                 if state["size"] and state["size"] + len(ids) > file_ids:
                     yield close()
                 state["docs"].append(doc)
@@ -279,8 +400,9 @@ def write_ids(docs: DataFrame, path: str, end_id: int = 2, folder: str | None =
         if state["docs"]:
             yield close()
 
-    coded = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("binary")).mapInArrow(encode, "part int, doc_id long, ids binary")
-    dealt = coded.repartition(parts, "part").sortWithinPartitions("part", F.col("doc_id").asc_nulls_first(), "ids")
+    text = F.make_valid_utf8(F.col("text").cast("string"))
+    coded = docs.select(F.col("doc_id").cast("long"), text).mapInArrow(encode, "part int, doc_id long, check long, ids binary")
+    dealt = coded.repartition(ranges.nulls + parts, "part").sortWithinPartitions("part", F.col("doc_id").asc_nulls_first(), "check", "ids").select("part", "doc_id", "ids")
     return folder, stage(dealt.mapInArrow(write, FILES), "id-files")
 
 

@@ -5,6 +5,7 @@ import random
 from collections import Counter, defaultdict
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -405,7 +406,6 @@ def test_token_files(spark):
     folder, files = token_files.write_ids(docs(spark, rows), path, file_ids=100)
     got = sorted(token_files.read_ids(spark, folder, files).collect(), key=lambda x: x.start)
     t = Tokenizer.from_file(path)
-    t.encode_special_tokens = True
     crc = lambda ids: zlib.crc32(np.array(ids, "<u4").tobytes())
     want = [(i, t.encode(s or "", add_special_tokens=False).ids + [2]) for i, s in rows]
     key = lambda x: (x[0] is not None, x[0] or 0, x[2])
@@ -493,8 +493,8 @@ def test_word_encoder_gives_the_library_s_ids_on_awkward_text():
     from corpusdedup.llm.token_files import WordEncoder
 
     path = public_tokenizers.path("word_bpe_49k.json")
-    library = Tokenizer.from_file(path)
-    library.encode_special_tokens = True
+    library, ordinary = Tokenizer.from_file(path), Tokenizer.from_file(path)
+    ordinary.encode_special_tokens = True
     texts = [
         None,
         "",
@@ -504,5 +504,43 @@ def test_word_encoder_gives_the_library_s_ids_on_awkward_text():
         " ".join(chr(i) + chr(i + 1) for i in range(0xA1, 0xD7FE)),
         "a." * 3000,
     ]
-    for text, got in zip(texts, WordEncoder(path, 2).encode([t if t is None else t.encode() for t in texts]), strict=True):
-        assert np.frombuffer(got, "<u2").tolist() == [*library.encode(text or "", add_special_tokens=False).ids, 2]
+    for added, t in ((True, library), (False, ordinary)):
+        code = WordEncoder(path, 2, added)
+        for _ in range(2):  # the second time every word is remembered
+            for text, got in zip(texts, code.encode(pa.array(texts, pa.string())).to_pylist(), strict=True):
+                assert np.frombuffer(got, "<u2").tolist() == [*t.encode(text or "", add_special_tokens=False).ids, 2]
+
+
+def test_word_encoder_forgets_words(monkeypatch):
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    monkeypatch.setattr(token_files, "MEMORY", 5)
+    path = public_tokenizers.path("word_bpe_49k.json")
+    library, code = Tokenizer.from_file(path), token_files.WordEncoder(path, 2)
+    rng = random.Random(3)
+    for _ in range(60):
+        texts = [" ".join(rng.choice(["and", "and,", "Été", "été.", "x-y", "12.", "ж", "Ω;", "don't", "the"]) for _ in range(rng.randrange(6))) for _ in range(3)]
+        assert [np.frombuffer(x, "<u2").tolist() for x in code.encode(pa.array(texts)).to_pylist()] == [[*library.encode(t, add_special_tokens=False).ids, 2] for t in texts]
+
+
+def test_ids_of_repeated_and_null_doc_ids(spark):
+    rows = [(None, f"null {k} here") for k in range(60)] + [(7, f"hot word{k}") for k in range(60)] + [(7, "same")] * 20 + [(k, f"text {k}") for k in range(40)]
+    path = __import__("public_tokenizers").path("word_bpe_49k.json")
+    folder, files = token_files.write_ids(docs(spark, rows).repartition(3), path, file_ids=50)
+    got = sorted(token_files.read_ids(spark, folder, files).collect(), key=lambda x: x.start)
+    assert [x.start for x in got] == np.concatenate([[0], np.cumsum([x.n_tokens for x in got])[:-1]]).tolist()
+    assert [x.doc_id for x in got] == sorted((i for i, _ in rows), key=lambda i: (i is not None, i or 0))
+    # the rows of one id lie in several parts
+    part = {r.file: r.part for r in files.collect()}
+    held = defaultdict(set)
+    for r in spark.read.format("binaryFile").load(f"{folder}/ids-*.bin").collect():
+        for d in token_files.PackedFile(bytes(r.content)).doc_ids:
+            held[d].add(part[r.path.rpartition("/")[2]])
+    assert len(held[7]) > 2 and len(held[None]) > 1
+
+
+def test_ids_of_bytes_that_are_no_text(spark):
+    bad = spark.sql("SELECT 1L AS doc_id, cast(X'61FF62' AS string) AS text")
+    path = __import__("public_tokenizers").path("word_bpe_49k.json")
+    assert token_files.read_ids(spark, *token_files.write_ids(bad, path)).first().n_tokens > 1
