@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.text import KINDS, chunks_of
@@ -27,26 +27,36 @@ def rank_occurrences(occ: DataFrame) -> DataFrame:
     return occ.withColumn("rank", F.rank().over(w).cast("long")).withColumn("row", F.row_number().over(w.orderBy("doc_id", "pos")).cast("long"))
 
 
+def first_places(occ: DataFrame, top: int, strict: bool) -> DataFrame:
+    """(h, norm_len, doc_id, pos, place) of the copies of each group whose place is ``top`` at most.
+
+    A place is the strict one by document and position, or one more than the copies in
+    earlier documents, which a document's copies share. The limit is a literal and stands
+    before any join, so Spark applies it in each task before the shuffle and again after it:
+    a text with a billion copies sends each task's first few rows.
+    """
+    order = ("doc_id", "pos") if strict else ("doc_id",)
+    w = Window.partitionBy(*KEY).orderBy(*order)
+    place = F.row_number() if strict else F.rank()
+    return occ.select(*KEY, "doc_id", "pos").withColumn("place", place.over(w)).where(F.col("place") <= top)
+
+
 def cutoffs(occ: DataFrame, active: DataFrame, policy) -> DataFrame:
     """(h, norm_len, last_doc, last_pos): the last copy that each active group's budget keeps.
 
-    No group keeps more than ``policy.max_budget()`` ranks, a literal, so Spark's window
-    group limit drops the rest of a group before the shuffle and again before the sort:
-    a text with a billion copies costs each task a few rows.
+    No group keeps more than ``policy.max_budget()`` places. Rows without an id come first.
     """
-    top = policy.max_budget()
-    x = occ.join(active.select(*KEY, "budget"), KEY, "left_semi")
-    if policy.ties == "strict":
-        w = Window.partitionBy(*KEY).orderBy("doc_id", "pos")
-        x = x.select(*KEY, "doc_id", "pos").withColumn("row", F.row_number().over(w)).where(F.col("row") <= top)
-        x = x.join(active.select(*KEY, "budget"), KEY).where(F.col("row") == F.col("budget"))
-        return x.select(*KEY, F.col("doc_id").alias("last_doc"), F.col("pos").alias("last_pos"))
-    w = Window.partitionBy(*KEY).orderBy("doc_id")
-    x = x.groupBy(*KEY, "doc_id").agg(F.count("*").alias("copies"))
-    x = x.withColumn("row", F.row_number().over(w)).where(F.col("row") <= top)
-    before = F.coalesce(F.sum("copies").over(w.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    x = x.withColumn("before", before).join(active.select(*KEY, "budget"), KEY).where(F.col("before") < F.col("budget"))
-    return x.groupBy(*KEY).agg(F.max("doc_id").alias("last_doc")).withColumn("last_pos", F.lit(2147483647))
+    strict = policy.ties == "strict"
+    x = first_places(occ, policy.max_budget(), strict).join(active.select(*KEY, "budget"), KEY)
+    if strict:
+        return x.where(F.col("place") == F.col("budget")).select(*KEY, F.col("doc_id").alias("last_doc"), F.col("pos").alias("last_pos"))
+    return x.where(F.col("place") <= F.col("budget")).groupBy(*KEY).agg(F.max("doc_id").alias("last_doc")).withColumn("last_pos", F.lit(2147483647))
+
+
+def past() -> Column:
+    """Whether a copy comes after the last that its group keeps; a row without id never does."""
+    doc, pos, last = F.col("doc_id"), F.col("pos"), F.col("last_doc")
+    return doc.isNotNull() & (last.isNull() | (doc > last) | ((doc == last) & (pos > F.col("last_pos"))))
 
 
 def initial_decision(occ: DataFrame, groups: DataFrame, policy) -> DataFrame:
@@ -56,16 +66,14 @@ def initial_decision(occ: DataFrame, groups: DataFrame, policy) -> DataFrame:
     if it comes after its group's last kept copy.
     """
     active = with_budget(groups, policy).where(F.col("budget") < F.col("freq"))
-    last = cutoffs(occ, active, policy)
-    past = (F.col("doc_id") > F.col("last_doc")) | ((F.col("doc_id") == F.col("last_doc")) & (F.col("pos") > F.col("last_pos")))
-    return occ.join(last, KEY).where(past).drop("last_doc", "last_pos")
+    return occ.join(cutoffs(occ, active, policy), KEY).where(past()).drop("last_doc", "last_pos")
 
 
-def candidate_runs(candidates: DataFrame) -> DataFrame:
-    """(doc_id, first_pos, last_pos, run_chars) of maximal runs of neighbouring candidates."""
-    w = Window.partitionBy("doc_id").orderBy("pos")
-    x = candidates.select("doc_id", "pos", "raw_len").withColumn("island", F.col("pos") - F.row_number().over(w))
-    return x.groupBy("doc_id", "island").agg(F.min("pos").alias("first_pos"), F.max("pos").alias("last_pos"), F.sum("raw_len").alias("run_chars")).drop("island")
+def candidate_runs(candidates: DataFrame, *by: str) -> DataFrame:
+    """(doc_id, first_pos, last_pos, run_chars) of maximal runs of neighbouring candidates, for each value of ``by``."""
+    w = Window.partitionBy("doc_id", *by).orderBy("pos")
+    x = candidates.select("doc_id", *by, "pos", "raw_len").withColumn("island", F.col("pos") - F.row_number().over(w))
+    return x.groupBy("doc_id", *by, "island").agg(F.min("pos").alias("first_pos"), F.max("pos").alias("last_pos"), F.sum("raw_len").alias("run_chars")).drop("island")
 
 
 def coherent_delete(runs: DataFrame, tau_del: int = 100) -> DataFrame:
@@ -84,17 +92,18 @@ def decide(occ: DataFrame, policy, groups: DataFrame | None = None) -> DataFrame
     return coherent_delete(candidate_runs(initial_decision(occ, groups, policy)), policy.tau_del)
 
 
-def rebuild(docs: DataFrame, runs: DataFrame, tau_seg: int = 32, kinds: tuple[str, ...] = KINDS, empty_docs: str = "drop", chunks: bool = False) -> DataFrame:
+def rebuild(docs: DataFrame, runs: DataFrame, tau_seg: int = 32, kinds: tuple[str, ...] = KINDS, empty_docs: str = "drop", chunks: str | None = None) -> DataFrame:
     """The documents without the runs, in order, with original text.
 
     Only positions travel: they meet the documents in one join, and the text is cut
-    again there. ``chunks``: take the column chunks instead of cutting.
+    again there. ``chunks`` names a column of chunks to take instead of cutting. All other
+    columns pass as they are; rows whose text or id is null are kept whole.
     """
-    gone = runs.groupBy("doc_id").agg(F.collect_list(F.struct("first_pos", "last_pos")).alias("gone"))
-    pieces = F.transform("chunks", lambda c: c["text"]) if chunks else chunks_of(F.col("text"), tau_seg, kinds)
-    kept = F.filter(pieces, lambda c, i: ~F.exists("gone", lambda r: (i >= r["first_pos"]) & (i <= r["last_pos"])))
-    out = docs.join(gone, "doc_id", "left").withColumn("text", F.when(F.col("gone").isNull(), F.col("text")).otherwise(F.array_join(kept, "")))
-    out = out.drop("gone")
+    gone = runs.groupBy(F.col("doc_id").alias("__doc")).agg(F.collect_list(F.struct("first_pos", "last_pos")).alias("__gone"))
+    pieces = F.transform(chunks, lambda c: c["text"]) if chunks else chunks_of(F.col("text"), tau_seg, kinds)
+    kept = F.filter(pieces, lambda c, i: ~F.exists("__gone", lambda r: (i >= r["first_pos"]) & (i <= r["last_pos"])))
+    out = docs.join(gone, docs["doc_id"] == gone["__doc"], "left").withColumn("text", F.when(F.col("__gone").isNull(), F.col("text")).otherwise(F.array_join(kept, "")))
+    out = out.drop("__doc", "__gone")
     return out.where("text is null or text != ''") if empty_docs == "drop" else out
 
 

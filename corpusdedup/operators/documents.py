@@ -14,13 +14,19 @@ from ..session import stage
 from .components import connected_components
 
 PRIME = 2_147_483_647
-BASE_BITS = 28
+#: Hex digits of a shingle's MD5 that are its key: 60 bits fit a long.
+BASE_DIGITS = 15
 
 
 def exact_doc_dedup(docs: DataFrame) -> DataFrame:
-    """One row of each text, that with the smallest id."""
-    first = docs.groupBy(F.md5("text").alias("text_md5")).agg(F.min("doc_id").alias("doc_id"))
-    return docs.join(first.select("doc_id"), "doc_id", "left_semi")
+    """The rows of each text that have its smallest id.
+
+    Null texts are nobody's copies and stay. A row without id goes if a row with an id has
+    its text; equal rows, and rows of one text that all lack ids, cannot be told apart and stay.
+    """
+    key = F.coalesce(F.md5("text"), F.concat(F.lit("-"), F.col("doc_id").cast("string")))
+    first = docs.groupBy(key.alias("__text")).agg(F.min("doc_id").alias("__first"))
+    return docs.join(first, key.eqNullSafe(F.col("__text")) & docs["doc_id"].eqNullSafe(F.col("__first")), "left_semi")
 
 
 def words(text: Column) -> Column:
@@ -45,9 +51,9 @@ def shingles(text: Column, n: int = 5, unit: str = "word") -> Column:
 
 
 def shingle_rows(docs: DataFrame, n: int = 5) -> DataFrame:
-    """(doc_id, base): distinct shingles as 28-bit hashes, the first hex digits of their MD5."""
+    """(doc_id, base): distinct shingles as 60-bit hashes, the first hex digits of their MD5."""
     x = docs.select("doc_id", F.explode(shingles(F.col("text"), n)).alias("s"))
-    return x.select("doc_id", F.conv(F.substring(F.md5("s"), 1, BASE_BITS // 4), 16, 10).cast("long").alias("base")).distinct()
+    return x.select("doc_id", F.conv(F.substring(F.md5("s"), 1, BASE_DIGITS), 16, 10).cast("long").alias("base")).distinct()
 
 
 def permutations(perms: int = 128, seed: int = 42) -> tuple[list[int], list[int]]:
@@ -62,28 +68,55 @@ def minhash_signature(docs: DataFrame, n: int = 5, perms: int = 128, seed: int =
     Shingles are rows, so the minima are partial aggregates; documents without words have no signature.
     """
     a, b = permutations(perms, seed)
-    mins = [F.min(F.pmod(F.lit(x) * F.col("base") + F.lit(y), F.lit(PRIME))).alias(f"m{k}") for k, (x, y) in enumerate(zip(a, b, strict=True))]
-    return shingle_rows(docs, n).groupBy("doc_id").agg(*mins).select("doc_id", F.array(*(f"m{k}" for k in range(perms))).alias("sig"))
+    mins = [F.min((F.lit(x) * F.col("low") + F.lit(y)) % F.lit(PRIME)).alias(f"m{k}") for k, (x, y) in enumerate(zip(a, b, strict=True))]
+    low = (F.col("base") % F.lit(PRIME)).alias("low")
+    return shingle_rows(docs, n).select("doc_id", low).groupBy("doc_id").agg(*mins).select("doc_id", F.array(*(f"m{k}" for k in range(perms))).alias("sig"))
+
+
+def _modulo(x: np.ndarray) -> np.ndarray:
+    """x mod PRIME, a Mersenne prime, for x below 2**62: two folds instead of a division."""
+    for _ in range(2):
+        x = (x & PRIME) + (x >> 31)
+    return np.where(x >= PRIME, x - PRIME, x)
 
 
 def minhash_signature_numpy(docs: DataFrame, n: int = 5, perms: int = 128, seed: int = 42) -> DataFrame:
-    """The same signatures from an Arrow UDF: no shuffle, one matrix for each text."""
+    """The same signatures from an Arrow UDF: no shuffle, shingles of many texts in one matrix."""
     a, b = (np.array(x, np.int64) for x in permutations(perms, seed))
+    md5, drop = hashlib.md5, 64 - 4 * BASE_DIGITS
 
     @F.pandas_udf("array<long>")
     def sign(texts: pd.Series) -> pd.Series:
-        def one(text: str | None):
+        out: list[np.ndarray | None] = []
+        base, sizes, at = [], [], []
+
+        def flush() -> None:
+            low = np.full((len(sizes), perms), PRIME, np.int64)
+            x = np.frombuffer(b"".join(base), ">u8").astype(np.uint64) >> np.uint64(drop)
+            x = (x % np.uint64(PRIME)).astype(np.int64)
+            of = np.repeat(np.arange(len(sizes)), sizes)
+            for k in range(0, len(x), 4096):
+                part = _modulo(x[k : k + 4096, None] * a + b)
+                starts = np.flatnonzero(np.diff(of[k : k + 4096], prepend=-1))
+                rows = of[k + starts]
+                low[rows] = np.minimum(low[rows], np.minimum.reduceat(part, starts, axis=0))
+            for row, place in zip(low, at, strict=True):
+                out[place] = row
+            base.clear(), sizes.clear(), at.clear()
+
+        for text in texts:
+            out.append(None)
             w = text.split() if text else []
             if not w:
-                return None
-            grams = {" ".join(w[k : k + n]) for k in range(max(1, len(w) - n + 1))}
-            base = np.array([int(hashlib.md5(g.encode()).hexdigest()[: BASE_BITS // 4], 16) for g in grams], np.int64)
-            low = np.full(perms, PRIME, np.int64)
-            for k in range(0, len(base), 4096):
-                low = np.minimum(low, ((base[k : k + 4096, None] * a + b) % PRIME).min(axis=0))
-            return low
-
-        return texts.map(one)
+                continue
+            grams = set(map(" ".join, zip(*(w[k:] for k in range(n)), strict=False))) or {" ".join(w)}
+            base += [md5(g.encode()).digest()[:8] for g in grams]
+            sizes.append(len(grams))
+            at.append(len(out) - 1)
+            if len(base) > 50_000:
+                flush()
+        flush()
+        return pd.Series(out, dtype=object)
 
     # only the white space of words() may cut
     text = F.regexp_replace(F.lower("text"), rf"[{WS}]+", " ")
@@ -170,7 +203,7 @@ def dup_clusters(docs: DataFrame, n: int = 5, perms: int = 128, threshold: float
 
 
 def minhash_dedup(docs: DataFrame, n: int = 5, perms: int = 128, threshold: float = 0.7, seed: int = 42, all_pairs: bool = False) -> DataFrame:
-    """Documents without the near copies of smaller ids."""
+    """Documents without the near copies of smaller ids; rows without id stay."""
     away = dup_clusters(docs, n, perms, threshold, seed, all_pairs).where("doc_id != component").select("doc_id")
     return docs.join(away, "doc_id", "left_anti")
 

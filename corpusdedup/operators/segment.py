@@ -76,15 +76,15 @@ def cut_with_spans(text: str, spans: list[tuple[int, int]], tau_seg: int, kinds:
     return out
 
 
-def segment(df: DataFrame, text_col: str = "text", tau_seg: int = 32, kinds: tuple[str, ...] = KINDS, protect_code: bool = False, braces: bool = False, max_unit_chars: int | None = None) -> DataFrame:
-    """``df`` with a column chunks: array of (text, kind), in order.
+def segment(df: DataFrame, text_col: str = "text", tau_seg: int = 32, kinds: tuple[str, ...] = KINDS, protect_code: bool = False, braces: bool = False, max_unit_chars: int | None = None, out: str = "chunks") -> DataFrame:
+    """``df`` with a column ``out``: array of (text, kind), in order.
 
     Prose is cut by one built-in expression. With ``protect_code`` only rows that hold a
     fence or a brace pass through Python; the others keep the built-in path.
     """
     prose = F.transform(chunks_of(F.col(text_col), tau_seg, kinds), lambda c: F.struct(c.alias("text"), F.lit("prose").alias("kind")))
     if not protect_code:
-        return df.withColumn("chunks", prose)
+        return df.withColumn(out, prose)
 
     @F.pandas_udf(CHUNK)
     def with_code(texts: pd.Series) -> pd.Series:
@@ -94,17 +94,17 @@ def segment(df: DataFrame, text_col: str = "text", tau_seg: int = 32, kinds: tup
     held = t.contains("```") | t.contains("~~~")
     if braces:
         held = held | (t.contains("{") & t.contains("}"))
-    coded = df.where(held).withColumn("chunks", with_code(t))
-    return df.where(~held | t.isNull()).withColumn("chunks", prose).unionByName(coded)
+    coded = df.where(held).withColumn(out, with_code(t))
+    return df.where(~held | t.isNull()).withColumn(out, prose).unionByName(coded)
 
 
-def occurrences(segmented: DataFrame, id_col: str = "doc_id", placeholders: str | None = "single", algo: str = "md5", **options) -> DataFrame:
+def occurrences(segmented: DataFrame, id_col: str = "doc_id", placeholders: str | None = "single", algo: str = "md5", chunks: str = "chunks", **options) -> DataFrame:
     """Narrow rows (doc_id, pos, h, norm_len, raw_len, kind); the text stays behind.
 
     The outer explode keeps Catalyst from naming the pattern twice; its null rows go.
     Code is hashed as it is.
     """
-    x = segmented.select(F.col(id_col).alias("doc_id"), F.posexplode_outer("chunks").alias("pos", "chunk")).where("pos is not null")
+    x = segmented.select(F.col(id_col).alias("doc_id"), F.posexplode_outer(chunks).alias("pos", "chunk")).where("pos is not null")
     norm = F.when(F.col("chunk.kind") == "code", F.col("chunk.text")).otherwise(normalize_text(F.col("chunk.text"), placeholders, **options))
     x = x.select("doc_id", "pos", norm.alias("norm"), F.length("chunk.text").alias("raw_len"), (F.col("chunk.kind") == "code").cast("byte").alias("kind"))
     return x.select("doc_id", "pos", content_hash(F.col("norm"), algo).alias("h"), F.length("norm").alias("norm_len"), "raw_len", "kind")

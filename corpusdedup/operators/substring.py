@@ -2,18 +2,22 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..session import stage
 from .counting import KEY
 
 SPANS = "doc_id long, start int, stop int"
 
 
-def assign_shard(df: DataFrame, n: int, by: str = "hash", seed: int = 0, id_col: str = "doc_id") -> DataFrame:
-    """A column shard in 0..n-1: by a hash of the id, the id's remainder, or the source's hash."""
+def assign_shard(df: DataFrame, n: int, by: str = "hash", seed: int = 0, id_col: str = "doc_id", out: str = "shard") -> DataFrame:
+    """A column ``out`` in 0..n-1: by a hash of the id, the id's remainder, or the source's hash."""
     hexed = lambda c: F.pmod(F.conv(F.substring(F.md5(c), 1, 8), 16, 10).cast("long"), F.lit(n)).cast("int")
     if by == "hash":
         shard = hexed(F.concat(F.lit(f"{seed}-"), F.col(id_col).cast("string")))
@@ -23,7 +27,51 @@ def assign_shard(df: DataFrame, n: int, by: str = "hash", seed: int = 0, id_col:
         shard = hexed(F.coalesce(F.col("source"), F.lit("")))
     else:
         raise ValueError("by must be hash, mod or source")
-    return df.withColumn("shard", shard)
+    return df.withColumn(out, shard)
+
+
+#: Odd multipliers of the two rolling hashes.
+ROLL = (0x9E3779B97F4A7C15, 0xD6E8FEB86659FD93)
+#: Places of a text that are hashed at a time.
+PLACES = 200_000
+
+
+def rolling_hashes(text: str, k: int, start: int, stop: int) -> tuple[np.ndarray, np.ndarray]:
+    """Two 64-bit hashes of the k-grams of a text at the places start to stop; equal k-grams have equal ones."""
+    codes = np.frombuffer(text[start : stop + k - 1].encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.uint64)
+    out = []
+    for m in ROLL:
+        x = (codes + np.uint64(1)) * np.uint64(m)
+        x = (x ^ (x >> np.uint64(29))) * np.uint64(ROLL[0] ^ m | 1)
+        h = np.zeros(stop - start, np.uint64)
+        # Horner's rule by doubling: hashes of 2^j characters make those of 2^(j+1)
+        width, power, done = 1, np.array([m], np.uint64), 0
+        part = x ^ (x >> np.uint64(32))
+        while width <= k:
+            if k & width:
+                h = h * power + part[done : done + len(h)]
+                done += width
+            part = part[: len(part) - width] * power + part[width:] if len(part) > width else part[:0]
+            width, power = 2 * width, power * power
+        out.append((h ^ (h >> np.uint64(31))).astype(np.int64))
+    return out[0], out[1]
+
+
+def kgram_rows(docs: DataFrame, k: int = 50, shard_col: str | None = None) -> DataFrame:
+    """(shard, doc_id, pos, g, g2): each k-gram's place and 128-bit hash, in bounded pieces however long a text."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for shard, doc, text in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                n = len(text) - k + 1
+                for lo in range(0, n, PLACES):
+                    hi = min(n, lo + PLACES)
+                    g, g2 = rolling_hashes(text, k, lo, hi)
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(hi - lo, shard, np.int32)), pa.array(np.full(hi - lo, doc, np.int64)), pa.array(np.arange(lo, hi, dtype=np.int32)), pa.array(g), pa.array(g2)], names=["shard", "doc_id", "pos", "g", "g2"])
+
+    shard = F.col(shard_col) if shard_col else F.lit(0)
+    long = docs.where((F.length("text") >= k) & F.col("doc_id").isNotNull())
+    return long.select(shard.cast("int").alias("shard"), F.col("doc_id").cast("long"), F.make_valid_utf8("text").alias("text")).mapInArrow(run, "shard int, doc_id long, pos int, g long, g2 long")
 
 
 def kgram_spans(docs: DataFrame, k: int = 50, shard_col: str | None = None, keep_first: bool = False) -> DataFrame:
@@ -32,16 +80,14 @@ def kgram_spans(docs: DataFrame, k: int = 50, shard_col: str | None = None, keep
     A character lies in a repeated substring of k characters or more exactly if it lies in
     a repeated k-gram, so counting k-grams by hash, spread over all tasks, gives what a
     suffix array of the shard gives on one. ``keep_first``: the first place of a k-gram,
-    in order of document and position, does not count.
+    in order of document and position, does not count. Rows without id or text have no spans.
     """
-    shard = F.col(shard_col) if shard_col else F.lit(0)
-    grams = F.regexp_extract_all("text", F.lit(rf"(?s)(?=(.{{{k}}}))"), F.lit(1))
-    g = docs.select(shard.alias("shard"), "doc_id", F.posexplode(grams).alias("at", "gram")).select("shard", "doc_id", (F.col("at") + 1).alias("pos"), F.unhex(F.md5("gram")).alias("g"))
-    n = g.groupBy("shard", "g").agg(F.count("*").alias("n"), F.min(F.struct("doc_id", "pos")).alias("first")).where("n > 1")
-    hit = g.join(n, ["shard", "g"])
+    g = kgram_rows(docs, k, shard_col)
+    n = g.groupBy("shard", "g", "g2").agg(F.count("*").alias("n"), F.min(F.struct("doc_id", "pos")).alias("first")).where("n > 1")
+    hit = g.join(n, ["shard", "g", "g2"])
     if keep_first:
         hit = hit.where(F.struct("doc_id", "pos") != F.col("first"))
-    return merge_spans(hit.select("doc_id", (F.col("pos") - 1).alias("start"), (F.col("pos") - 1 + k).alias("stop")))
+    return merge_spans(hit.select("doc_id", F.col("pos").alias("start"), (F.col("pos") + k).alias("stop")))
 
 
 def merge_spans(spans: DataFrame) -> DataFrame:
@@ -131,15 +177,15 @@ def suffix_array_spans(docs: DataFrame, min_len: int = 50, shard_col: str = "sha
 
 def remove_spans(docs: DataFrame, spans: DataFrame, empty_docs: str = "keep") -> DataFrame:
     """Documents without their spans; these are few, so each document's are gathered and applied to its text."""
-    gone = spans.groupBy("doc_id").agg(F.array_sort(F.collect_list(F.struct("start", "stop"))).alias("gone"))
+    gone = spans.groupBy(F.col("doc_id").alias("__doc")).agg(F.array_sort(F.collect_list(F.struct("start", "stop"))).alias("__gone"))
     start = F.struct(F.lit("").alias("kept"), F.lit(0).alias("at"))
 
     def step(acc, s):
         return F.struct(F.concat(acc["kept"], F.substring(F.col("text"), acc["at"] + 1, s["start"] - acc["at"])).alias("kept"), s["stop"].alias("at"))
 
-    end = F.aggregate("gone", start, step)
+    end = F.aggregate("__gone", start, step)
     cut = F.concat(end["kept"], F.substring(F.col("text"), end["at"] + 1, F.length("text")))
-    out = docs.join(gone, "doc_id", "left").withColumn("text", F.when(F.col("gone").isNull(), F.col("text")).otherwise(cut)).drop("gone")
+    out = docs.join(gone, docs["doc_id"] == gone["__doc"], "left").withColumn("text", F.when(F.col("__gone").isNull(), F.col("text")).otherwise(cut)).drop("__doc", "__gone")
     return out.where("text is null or text != ''") if empty_docs == "drop" else out
 
 
@@ -150,12 +196,21 @@ def singleton_only(occ: DataFrame, shard_col: str = "shard") -> DataFrame:
 
 
 def shard_sensitivity(occ: DataFrame, docs: DataFrame, ns: tuple[int, ...] = (1, 2, 5, 10, 33), bys: tuple[str, ...] = ("hash", "source")) -> DataFrame:
-    """Kept chunks and characters of the model for each number and kind of shards; sums of each group, then totals."""
-    x = occ.join(docs.select("doc_id", "source"), "doc_id")
-    plans = F.explode(F.array(*(F.struct(F.lit(b).alias("assigned_by"), F.lit(n).alias("n_shards"), assign_shard_expr(n, b).alias("shard")) for b in bys for n in ns)))
+    """Kept chunks and characters of the model for each number and kind of shards.
+
+    A chunk that occurs once is alone in any shard and is only summed; what occurs more
+    often is dealt to the shards of every plan.
+    """
+    groups = stage(occ.groupBy(*KEY).agg(F.count("*").alias("n"), F.sum("raw_len").alias("chars")), "groups")
+    plan = [(b, n) for b in bys for n in ns]
+    alone = groups.where("n = 1").agg(F.count("*").alias("n"), F.coalesce(F.sum("chars"), F.lit(0)).alias("chars"))
+    alone = alone.select(F.explode(F.array(*(F.struct(F.lit(b).alias("assigned_by"), F.lit(n).alias("n_shards")) for b, n in plan))).alias("p"), "n", "chars").select("p.*", F.col("n").alias("kept_chunks"), F.col("chars").alias("kept_chars"), F.col("n").alias("chunks"))
+    x = occ.join(groups.where("n > 1"), KEY, "left_semi").select(*KEY, "doc_id", "raw_len").join(docs.select("doc_id", "source"), "doc_id")
+    plans = F.explode(F.array(*(F.struct(F.lit(b).alias("assigned_by"), F.lit(n).alias("n_shards"), assign_shard_expr(n, b).alias("shard")) for b, n in plan)))
     x = x.select(*KEY, "raw_len", plans.alias("p")).select("p.*", *KEY, "raw_len")
     g = x.groupBy("assigned_by", "n_shards", "shard", *KEY).agg(F.count("*").alias("n"), F.sum("raw_len").alias("chars"))
-    return g.groupBy("assigned_by", "n_shards").agg(F.count_if(F.col("n") == 1).alias("kept_chunks"), F.sum(F.when(F.col("n") == 1, F.col("chars")).otherwise(0)).alias("kept_chars"), F.sum("n").alias("chunks"))
+    many = g.groupBy("assigned_by", "n_shards").agg(F.count_if(F.col("n") == 1).alias("kept_chunks"), F.sum(F.when(F.col("n") == 1, F.col("chars")).otherwise(0)).alias("kept_chars"), F.sum("n").alias("chunks"))
+    return many.unionByName(alone).groupBy("assigned_by", "n_shards").agg(*(F.sum(c).alias(c) for c in ("kept_chunks", "kept_chars", "chunks")))
 
 
 def assign_shard_expr(n: int, by: str):

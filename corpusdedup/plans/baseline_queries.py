@@ -244,7 +244,7 @@ def proxy_benchmark(spark, d):
     x = docs(spark, d)
     out = stage(P.subdocument(x, TIGHT), "tight")
     b = table(spark, d, "benchmark")
-    here = lambda df, name: b.join(df.select("text").toDF("t"), F.col("t").contains(F.col("text")), "left_semi").select("item_id", F.lit(1).alias(name))
+    here = lambda df, name: M.contained_items(df, b).select("item_id", F.lit(1).alias(name))
     return b.join(here(x, "raw"), "item_id", "left").join(here(out, "kept"), "item_id", "left").agg(F.count("*").alias("items"), F.count("raw").alias("in_raw"), F.count("kept").alias("in_kept"))
 
 

@@ -10,7 +10,7 @@ from ..functions.text import normalize_text
 from ..operators.counting import approx_group_count, count_groups, count_groups_with_docs, duplicate_groups, group_doc_counts, merge_counts
 from ..operators.deletion import attach_groups, candidate_runs, coherent_delete, explain_decisions, initial_decision, rank_occurrences, rebuild, with_budget
 from ..operators.segment import chunk_rows, hexed, occurrences, segment
-from ..session import stage
+from ..session import spread, stage
 from ..sources.io import table
 from . import pipelines as P
 from . import sql as S
@@ -25,7 +25,7 @@ FIXTURE_SQL = "SELECT * FROM (VALUES " + ", ".join(f"({i}, {'NULL' if t is None
 
 
 def docs(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return table(spark, sf_dir, "documents")
+    return spread(table(spark, sf_dir, "documents"))
 
 
 def occ_of(spark: SparkSession, sf_dir: str, **options) -> DataFrame:

@@ -83,17 +83,17 @@ def words(col: str = "text") -> str:
 
 
 def shingle_ctes(source: str = "documents", n: int = 5) -> str:
-    """sh(doc_id, base): distinct word n-grams as 28-bit hashes."""
+    """sh(doc_id, base): distinct word n-grams as 60-bit hashes."""
     return f"""wd AS (SELECT doc_id, {words()} AS w FROM {source}),
 gr AS (SELECT doc_id, unnest(list_transform(range(1, greatest(1, len(w) - {n - 1}) + 1), lambda i: array_to_string(w[i:i + {n - 1}], ' '))) AS s FROM wd WHERE len(w) > 0),
-sh AS MATERIALIZED (SELECT DISTINCT doc_id, ('0x' || substr(md5(s), 1, 7))::BIGINT AS base FROM gr)"""
+sh AS MATERIALIZED (SELECT DISTINCT doc_id, ('0x' || substr(md5(s), 1, 15))::BIGINT AS base FROM gr)"""
 
 
 def signature_cte(perms: int = 128) -> str:
     from ..operators.documents import PRIME, permutations
 
     a, b = permutations(perms)
-    slots = ", ".join(f"min(({x} * base + {y}) % {PRIME})" for x, y in zip(a, b, strict=True))
+    slots = ", ".join(f"min(({x} * (base % {PRIME}) + {y}) % {PRIME})" for x, y in zip(a, b, strict=True))
     return f"sg AS MATERIALIZED (SELECT doc_id, [{slots}] AS sig FROM sh GROUP BY doc_id)"
 
 

@@ -10,7 +10,7 @@ from ..session import fresh_path
 from ..sources.io import table
 from ..streaming import streams as T
 from . import sql as S
-from .core_queries import docs, occ_of
+from .core_queries import TIGHT, docs, occ_of
 from .registry import query
 
 
@@ -27,15 +27,19 @@ def stream_counts(spark, d):
     return hexed(T.stream_counts(_split(spark, d)))
 
 
-@query(f"WITH {S.occ_ctes()} SELECT h, count(*) AS seen FROM occ GROUP BY h")
+_STEP = f"CASE WHEN a < greatest(1, least(n, ceil(1.0::DOUBLE + (n * pow(1.0::DOUBLE - 1.0::DOUBLE / {2.0!r}::DOUBLE, n - 1) - 1) * {S.alpha('len')}))) THEN 1 ELSE 0 END"
+
+
+@query(f"WITH {S.occ_ctes()} SELECT h, freq AS seen, list_reduce(list_prepend(0, range(1, freq + 1)), lambda a, n: a + {_STEP.replace('len', 'norm_len')})::BIGINT AS admitted FROM grp")
 def stream_admit(spark, d):
-    """All copies are seen once; how many are admitted depends on arrival and is tested apart."""
-    return T.stream_admit(_split(spark, d)).select("h", "seen")
+    """Copies are admitted one after another; the copies of a group are alike, so only their number decides."""
+    return T.stream_admit(_split(spark, d), TIGHT)
 
 
-@query("SELECT count(DISTINCT text) AS texts FROM documents")
+@query("SELECT count(*) AS texts FROM (SELECT DISTINCT text FROM documents)")
 def stream_doc_dedup(spark, d):
-    stream = _split(spark, d).withColumn("arrived", F.timestamp_seconds(F.col("doc_id") % 1800))
+    # all arrive within half an hour of a day, far above the watermark's start at the epoch
+    stream = _split(spark, d).withColumn("arrived", F.timestamp_seconds(F.lit(1_700_000_000) + F.pmod("doc_id", F.lit(1800))))
     return T.run_to_table(T.stream_doc_dedup(stream), "stream-docs").agg(F.count("*").alias("texts"))
 
 

@@ -72,6 +72,16 @@ def release(spark: SparkSession) -> None:
         time.sleep(0.5)
 
 
+def spread(df: DataFrame) -> DataFrame:
+    """A scan whose rows are dealt over the session's cores if it has far fewer partitions.
+
+    A small file in one row group is one partition, and a text costs far more to cut or
+    encode than to move. A scan that already fills the cores is left as it is.
+    """
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    return df.repartition(cores) if 2 * df.rdd.getNumPartitions() <= cores else df
+
+
 def shuffle_partitions(spark: SparkSession) -> int:
     """The session's number of shuffle partitions."""
     return int(spark.conf.get("spark.sql.shuffle.partitions"))

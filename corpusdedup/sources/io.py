@@ -43,5 +43,6 @@ def write_manifest(spark: SparkSession, path: str, **facts) -> None:
 
 
 def assert_unique_ids(df: DataFrame, id_col: str = "doc_id") -> None:
-    if not df.groupBy(id_col).count().where("count > 1").limit(1).isEmpty():
+    """Raise ValueError if an id repeats; rows without one do not count."""
+    if not df.where(F.col(id_col).isNotNull()).groupBy(id_col).count().where("count > 1").isEmpty():
         raise ValueError(f"{id_col} is not unique")

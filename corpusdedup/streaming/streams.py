@@ -6,9 +6,11 @@ budget depends on the final frequency, so what a stream admits is another policy
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupStateTimeout
@@ -55,28 +57,46 @@ def stream_counts(stream: DataFrame, old: DataFrame | None = None) -> DataFrame:
 ADMITTED = "h string, seen long, admitted long"
 
 
+def admit_copies(seen: int, kept: int, copies: int, length: int, n: float, full_length: float) -> tuple[int, int]:
+    """Copies seen and admitted after ``copies`` more of one group.
+
+    A copy is admitted while fewer are than the budget of the frequency seen so far. That
+    budget falls once n copies are seen, so a group that is full then stays so.
+    """
+    q, a = 1 - 1 / n, max(0.0, 1 - length / full_length)
+    for seen in range(seen + 1, seen + copies + 1):  # noqa: B020
+        allowed = max(1, min(seen, math.ceil(1 + (seen * q ** (seen - 1) - 1) * a)))
+        if kept < allowed:
+            kept += 1
+        elif seen > n:
+            break
+    return seen, kept
+
+
 def stream_admit(stream: DataFrame, policy: RetentionPolicy | None = None) -> DataFrame:
     """Copies seen and admitted so far by group, with state of two numbers a key.
 
-    A copy is admitted while fewer are admitted than the budget of the frequency seen so far.
+    Copies are counted in each task before the shuffle, so a frequent text is a few rows.
     """
     policy = policy or RetentionPolicy()
-    q, full = 1 - 1 / policy.n, policy.full_length
+    n, full = policy.n, policy.full_length
 
-    def admit(key, pdfs: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
-        import math
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            got = pa.Table.from_batches([batch]).group_by(["h", "norm_len"]).aggregate([([], "count_all")])
+            yield from got.select(["h", "norm_len", "count_all"]).rename_columns(["h", "norm_len", "copies"]).to_batches()
 
+    def admit(key, pdfs: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
         seen, kept = state.get if state.exists else (0, 0)
         for pdf in pdfs:
-            for length in pdf["norm_len"]:
-                seen += 1
-                t = math.ceil(1 + (seen * q ** (seen - 1) - 1) * max(0.0, 1 - length / full))
-                kept += kept < max(1, min(seen, t))
+            for length, copies in zip(pdf["norm_len"].tolist(), pdf["copies"].tolist(), strict=True):
+                _, kept = admit_copies(seen, kept, copies, length, n, full)
+                seen += copies
         state.update((seen, kept))
         yield pd.DataFrame({"h": [key[0]], "seen": [seen], "admitted": [kept]})
 
     spark = stream.sparkSession
-    occ = occurrences_stream(stream).select(F.lower(F.hex("h")).alias("h"), "norm_len")
+    occ = occurrences_stream(stream).select(F.lower(F.hex("h")).alias("h"), "norm_len").mapInArrow(count, "h string, norm_len int, copies long")
     out = occ.groupBy("h").applyInPandasWithState(admit, ADMITTED, "seen long, kept long", "update", GroupStateTimeout.NoTimeout)
     path = fresh_path(spark, "stream-admitted")
     _drain(out.writeStream.outputMode("update").foreachBatch(lambda b, n: b.write.mode("overwrite").parquet(f"{path}/batch={n}")).option("checkpointLocation", fresh_path(spark, "stream-state")).trigger(availableNow=True).start())
@@ -84,7 +104,11 @@ def stream_admit(stream: DataFrame, policy: RetentionPolicy | None = None) -> Da
 
 
 def stream_doc_dedup(stream: DataFrame, time_col: str = "arrived", within: str = "1 hour") -> DataFrame:
-    """The stream without texts that came before within the watermark; later copies come through."""
+    """The stream without texts that came before within the watermark; later copies come through.
+
+    A row whose time is not after the watermark is late and dropped, also where it is at
+    the epoch, at which the watermark starts; null texts are one text.
+    """
     return stream.withColumn("text_md5", F.md5("text")).withWatermark(time_col, within).dropDuplicatesWithinWatermark(["text_md5"])
 
 

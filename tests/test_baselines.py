@@ -6,6 +6,7 @@ import numpy as np
 from pyspark.sql import functions as F
 
 from corpusdedup.operators import documents as D
+from corpusdedup.operators import measures as M
 from corpusdedup.operators import substring as B
 from corpusdedup.operators.components import connected_components
 
@@ -88,6 +89,42 @@ def test_substring_toy(spark):
     assert [tuple(r) for r in B.kgram_spans(one, 3).select("start", "stop").collect()] == [(0, 6)]
 
 
+def test_rolling_hashes_are_those_of_equal_strings():
+    rng = random.Random(8)
+    text = "".join(rng.choice("abé漢😀") for _ in range(3000))
+    for k in (1, 2, 3, 5, 8, 50):
+        n = len(text) - k + 1
+        g, g2 = B.rolling_hashes(text, k, 0, n)
+        number = {}
+        of = [number.setdefault(text[p : p + k], len(number)) for p in range(n)]
+        assert len(set(zip(of, g.tolist(), g2.tolist(), strict=True))) == len(number) == len(set(g.tolist()))
+        part = B.rolling_hashes(text, k, 100, 200)
+        assert (part[0] == g[100:200]).all() and (part[1] == g2[100:200]).all()
+
+
+def test_spans_of_a_text_in_pieces(spark, monkeypatch):
+    monkeypatch.setattr(B, "PLACES", 7)
+    texts = ["x" * 5 + "the repeated words" + "y" * 40, "z" * 33 + "the repeated words" + "0123456789"]
+    docs = spark.createDataFrame([(k, t) for k, t in enumerate(texts)] + [(7, None), (None, "the repeated words")], "doc_id long, text string")
+    want = [(d, a, b) for d, spans in enumerate(brute_spans(texts, 6)) for a, b in spans]
+    assert sorted(tuple(r) for r in B.kgram_spans(docs, 6).collect()) == want
+
+
+def test_exact_copies_without_ids_or_texts(spark):
+    rows = [(None, None), (1, None), (2, None), (2, "a"), (1, "a"), (1, "a"), (None, "a"), (None, "b"), (None, "b"), (3, "")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = [tuple(r) for r in D.exact_doc_dedup(docs).collect()]
+    key = lambda r: tuple((v is not None, v) for v in r)
+    assert sorted(got, key=str) == sorted([(None, None), (1, None), (2, None), (1, "a"), (1, "a"), (None, "b"), (None, "b"), (3, "")], key=str), key
+
+
+def test_contained_items(spark):
+    items = spark.createDataFrame([(1, "needle"), (2, "needle"), (3, ""), (4, "gone"), (5, None), (6, "nee")], "item_id long, text string")
+    docs = spark.createDataFrame([(1, "a needle here"), (2, None)], "doc_id long, text string")
+    assert sorted(r[0] for r in M.contained_items(docs, items).collect()) == [1, 2, 3, 6]
+    assert M.contained_items(docs, items.limit(0)).count() == 0
+
+
 def test_simulation_agrees_with_the_closed_form(spark):
     for r in B.simulate_sharding(spark, (1, 2, 5, 10), 5, 400).collect():
         assert abs(r.mean_kept - r.expected_kept) <= 4 * (r.sd_kept or 0) / np.sqrt(400) + 1e-9

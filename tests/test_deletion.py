@@ -5,7 +5,7 @@ from pyspark.sql import functions as F
 
 from corpusdedup.functions.retention import KeepAll, KeepK, KeepOne, RetentionPolicy
 from corpusdedup.operators.counting import count_groups
-from corpusdedup.operators.deletion import attach_groups, candidate_runs, coherent_delete, initial_decision, rank_occurrences, rebuild, with_budget
+from corpusdedup.operators.deletion import attach_groups, candidate_runs, coherent_delete, first_places, initial_decision, rank_occurrences, rebuild, with_budget
 from corpusdedup.plans import pipelines as P
 
 SF = "/root/testdata/sf0.001"
@@ -49,6 +49,57 @@ def test_cutoffs_equal_ranks(spark, policy):
     assert cands(df, policy) == {(r.doc_id, r.pos) for r in want.collect()}
 
 
+@pytest.mark.parametrize("policy", [RetentionPolicy(), KeepOne()])
+def test_groups_are_limited_before_their_shuffle(spark, policy):
+    """Without broadcasts, as on large tables, the rows of a group are cut to the budget's maximum below the exchange."""
+    df = P.occurrence_table(spark.read.parquet(f"{SF}/documents.parquet"))
+    before = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        places = first_places(df, policy.max_budget(), policy.ties == "strict")
+        lines = places._jdf.queryExecution().executedPlan().toString().splitlines()
+        at = lambda what: next(k for k, x in enumerate(lines) if what in x)
+        assert at("Window [") < at(", Final") < at("Exchange hashpartitioning") < at(", Partial")
+        # every text in every document: what the shuffle carries is bounded by tasks, not by copies
+        hot = occ(spark, [(d, 0, "a", 40, 40) for d in range(5_000)]).repartition(3)
+        got = {r.doc_id for r in first_places(hot, policy.max_budget(), policy.ties == "strict").collect()}
+        assert got == set(range(policy.max_budget()))
+        kept = RetentionPolicy().max_budget() if policy.ties != "strict" else 1
+        assert len(cands(hot, policy)) >= 5_000 - kept
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", before)
+
+
+def test_columns_of_any_name_pass(spark):
+    names = ["gone", "chunks", "shard", "budget", "place", "freq", "h", "pos", "first_pos", "last_doc", "run_chars", "n"]
+    same = "The same sentence stands in each of these documents and is long enough to be cut from them all. "
+    docs = spark.createDataFrame([(k, f"Document {'abcdefghij'[k]} opens with words of its own here. {same}") for k in range(10)] + [(99, None)], "doc_id long, text string").withColumns({c: F.lit(f"own {c}") for c in names})
+    for out in (P.subdocument(docs, KeepOne()), P.adaptive_dedup(docs), P.substring_pipeline(docs, 1, 30), P.code_pipeline(docs, RetentionPolicy(n=2.0)), P.full_pipeline(docs)):
+        rows = out.collect()
+        assert out.columns == docs.columns and rows
+        assert all(r[c] == f"own {c}" for r in rows for c in names)
+        assert any(r.doc_id == 99 and r.text is None for r in rows)
+    assert sum(same.strip() in (r.text or "") for r in P.subdocument(docs, KeepOne()).collect()) == 1
+
+
+def test_null_and_repeated_ids(spark):
+    same = "The same sentence stands in each of these documents and is long enough to be cut from them all. "
+    docs = spark.createDataFrame([(None, same), (None, same), (1, same), (2, same)], "doc_id long, text string")
+    out = P.subdocument(docs, KeepOne()).collect()
+    assert sorted((r.doc_id is not None, r.text) for r in out) == [(False, same)] * 2
+    with pytest.raises(ValueError):
+        P.subdocument(docs.unionByName(docs), KeepOne())
+
+
+def test_ablations_in_one_plan_equal_single_policies(spark):
+    docs = spark.read.parquet(f"{SF}/documents.parquet")
+    grid = {r.policy: (r.deleted_chunks, r.deleted_chars) for r in P.ablation_grid(docs).collect()}
+    table = P.occurrence_table(docs)
+    for name, policy in P.ablations().items():
+        runs = P.runs_of(table, policy).collect()
+        assert grid[name] == (sum(r.last_pos - r.first_pos + 1 for r in runs), sum(r.run_chars for r in runs)), name
+
+
 def test_plan_limits_windows_and_keeps_text_out_of_shuffles(spark):
     df = P.occurrence_table(spark.read.parquet(f"{SF}/documents.parquet"))
     plan = initial_decision(df, count_groups(df), RetentionPolicy())._jdf.queryExecution().toString()

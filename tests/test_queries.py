@@ -4,6 +4,7 @@ import datetime
 
 import duckdb
 import pytest
+from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
 from corpusdedup.plans.all_queries import ORACLES, QUERIES
@@ -11,7 +12,7 @@ from corpusdedup.sources import io
 
 SF = "/root/testdata/sf0.001"
 #: One query or two of each kind; all run in the driver's comparison.
-PICKED = ["seg_merge", "seg_edge", "norm_typed", "norm_code_identity", "group_counts", "budget_grid", "policy_sweep", "keep0_ties", "keep0_strict", "deleted_runs", "rebuilt_docs", "decision_audit", "adaptive_subdoc", "keep_one", "verified_pairs", "dup_clusters", "shard_sensitivity", "retention_report", "freq_profile_line", "deletion_report", "fragmentation", "score_averages", "score_ranks", "html_text", "asof_events", "cube_retention", "win_session", "stream_counts", "stream_doc_dedup"]
+PICKED = ["seg_merge", "seg_edge", "norm_typed", "norm_code_identity", "group_counts", "budget_grid", "policy_sweep", "keep0_ties", "keep0_strict", "deleted_runs", "rebuilt_docs", "decision_audit", "adaptive_subdoc", "keep_one", "verified_pairs", "dup_clusters", "shard_sensitivity", "retention_report", "freq_profile_line", "deletion_report", "fragmentation", "score_averages", "score_ranks", "html_text", "asof_events", "cube_retention", "win_session", "stream_counts", "stream_admit", "stream_doc_dedup", "ablation_grid", "exact_doc_dedup", "minhash_sig_arrow", "kgram_spans", "substring_keep_first", "proxy_benchmark"]
 
 
 def plain(v):
@@ -61,6 +62,44 @@ def test_sources(spark, tmp_path):
         io.assert_unique_ids(rows.unionByName(rows))
 
 
+def test_admission_against_one_copy_after_another():
+    import math
+
+    from corpusdedup.streaming.streams import admit_copies
+
+    for n, full, length in ((2.0, 512, 40), (100 / 3, 512, 0), (100 / 3, 512, 300), (5.0, 128, 500)):
+        seen = kept = 0
+        for k in range(1, 400):
+            budget = max(1, min(k, math.ceil(1 + (k * (1 - 1 / n) ** (k - 1) - 1) * max(0.0, 1 - length / full))))
+            kept += kept < budget
+            seen += 1
+            assert admit_copies(0, 0, k, length, n, full)[1] == kept
+            half = admit_copies(0, 0, k // 2, length, n, full)[1]
+            assert admit_copies(k // 2, half, k - k // 2, length, n, full)[1] == kept
+
+
+def test_late_rows_of_a_stream_are_dropped(spark, tmp_path):
+    from corpusdedup.streaming import streams
+
+    rows = [(1, "a", 7200), (2, "b", 7300), (3, "a", 7400)], [(4, "late", 100), (5, "b", 9000), (6, "c", 9001)]
+    for k, part in enumerate(rows):
+        spark.createDataFrame(part, "doc_id long, text string, t long").coalesce(1).write.mode("append").parquet(f"{tmp_path}/in")
+        if k == 0:
+            __import__("time").sleep(1.1)  # files are read in order of their times
+    stream = streams.read_documents(spark, f"{tmp_path}/in", "doc_id long, text string, t long").withColumn("arrived", F.timestamp_seconds("t"))
+    got = {r.text for r in streams.run_to_table(streams.stream_doc_dedup(stream), "late").collect()}
+    assert got == {"a", "b", "c"}
+
+
+def test_spread(spark):
+    from corpusdedup.session import spread
+
+    one = spark.range(100).coalesce(1)
+    assert spread(one).rdd.getNumPartitions() == spark.sparkContext.defaultParallelism and spread(one).count() == 100
+    many = spark.range(0, 100, 1, 4)
+    assert spread(many) is many
+
+
 def test_table_function(spark):
     assert QUERIES["udtf_segment"](spark, SF).count() == QUERIES["seg_merge"](spark, SF).count()
 
