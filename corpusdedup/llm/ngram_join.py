@@ -11,7 +11,8 @@ Every pair of documents whose shingle sets reach the threshold is found:
 3. Components, cut into groups of bounded size, form the token-group matrix: rows
    (token, group) of each group's token union, of which only the rarest tokens that
    any qualifying pair must share are kept. Two groups of different components that
-   share such a token become candidates; a document's overlap with the other group's
+   share such a token become candidates (a token of many groups is cut by document size and
+   dealt further, so its groups meet in many tasks); a document's overlap with the other group's
    union bounds its overlap with every member, and only a group that this bound lets
    through is opened. Links between documents of one component need no second look.
 
@@ -20,7 +21,9 @@ group of copies or near copies costs a linear number of rows.
 
 Null and empty texts have no shingles and link with nothing; texts shorter than the
 shingle have one, their whole word sequence. Repeated rows are linked with each other.
-A null id is never a component's name unless it is alone. Other columns are ignored.
+A row without id links like any other, and two documents may be joined through it alone;
+a component's name is the least id in it, null only if none of its rows has an id. Other
+columns are ignored.
 """
 
 from __future__ import annotations
@@ -41,6 +44,8 @@ from .blocks import REQUEST, bucket_count, count_in_buckets, docs_of, expand, mi
 GROUP = 128
 #: Columns of a token matrix multiplied at a time.
 SLICE = 8192
+#: Groups that one token brings to a task; a token of more is cut.
+LIST = 2000
 
 SETS = "doc_id long, n_shingles long, set_hash binary, n_own long, tokens binary"
 
@@ -232,12 +237,17 @@ def _token_group_matrix(groups: DataFrame, percent: int) -> DataFrame:
 
 def _candidates(matrix: DataFrame, percent: int) -> DataFrame:
     """Pairs of groups of different components that share a token which a link between them would share."""
-    live = matrix.groupBy("token").agg(F.min("comp").alias("a"), F.max("comp").alias("b"), F.max("index").alias("i")).where("a != b and i").select("token")
-    m = matrix.join(live, "token", "left_semi")
-    x, y = m.where("index").alias("x"), m.alias("y")
+    live = matrix.groupBy("token").agg(F.min("comp").alias("a"), F.max("comp").alias("b"), F.max("index").alias("i"), F.count("*").alias("n")).where("a != b and i")
+    m = matrix.join(live.select("token", F.ceil(F.col("n") / F.lit(LIST)).cast("long").alias("cuts")), "token")
+    # a hot token's cells: partners' sizes differ by the ratio at most, so by one step of its powers; then dealt by group
+    step = lambda size: F.log(F.col(size)) / F.lit(float(np.log(100 / percent)))
+    cells = lambda low, high: F.explode(F.when(F.col("cuts") > 1, F.sequence(F.floor(low).cast("int"), F.floor(high).cast("int"))).otherwise(F.array(F.lit(-1))))
+    x = m.where("index").withColumn("cell", cells(step("low"), step("high") + 1 + 1e-6)).withColumn("deal", F.pmod(F.xxhash64("grp"), F.col("cuts")).cast("int")).alias("x")
+    y = m.withColumn("cell", cells(step("low"), step("high"))).withColumn("deal", F.explode(F.sequence(F.lit(0), F.col("cuts").cast("int") - 1))).alias("y")
     # the smaller document is on the index side; its partner is at most 100/percent times as large
     near = (F.col("x.comp") != F.col("y.comp")) & (F.col("y.high") >= F.col("x.low")) & (percent * F.col("y.low") <= 100 * F.col("x.high"))
-    return x.join(y, (F.col("x.token") == F.col("y.token")) & near).select(F.least("x.grp", "y.grp").alias("g"), F.greatest("x.grp", "y.grp").alias("h")).distinct()
+    same = (F.col("x.token") == F.col("y.token")) & (F.col("x.cell") == F.col("y.cell")) & (F.col("x.deal") == F.col("y.deal"))
+    return x.join(y, same & near).select(F.least("x.grp", "y.grp").alias("g"), F.greatest("x.grp", "y.grp").alias("h")).distinct()
 
 
 def _open(candidates: DataFrame, groups: DataFrame, percent: int) -> DataFrame:
@@ -291,7 +301,9 @@ def similar_components(docs: DataFrame, width: int = 5, percent: int = 75) -> Da
     sets = stage(_shared(blocks, count_in_buckets(_ask(blocks, width, bucket_count(blocks, "n_grams")), 1), width, percent), "join-sets")
     drop_stage(blocks)
     release(spark)
-    classes = stage(sets.where("set_hash is not null and doc_id is not null").groupBy("set_hash").agg(F.min("doc_id").alias("node"), F.first("n_shingles").alias("n_shingles"), F.first("n_own").alias("n_own"), F.first("tokens").alias("tokens")), "join-classes")
+    # a class may have no id, so classes are numbered; the stage fixes the numbers
+    classes = sets.where("set_hash is not null").groupBy("set_hash").agg(F.min("doc_id").alias("least"), F.first("n_shingles").alias("n_shingles"), F.first("n_own").alias("n_own"), F.first("tokens").alias("tokens"))
+    classes = stage(classes.withColumn("node", F.monotonically_increasing_id()), "join-classes")
     members = classes.select("node", "n_shingles", "tokens")
     links = stage(_minimum_groups(members, 0x5D1, percent).unionByName(_minimum_groups(members, 0xA37, percent)), "join-links")
     comps = stage(connected_components(links), "join-components")
@@ -304,7 +316,9 @@ def similar_components(docs: DataFrame, width: int = 5, percent: int = 75) -> Da
     candidates = stage(_candidates(_token_group_matrix(groups, percent), percent), "join-candidates")
     more = _open(candidates, groups, percent)
     final = stage(connected_components(stage(comps.select(F.col("node").alias("src"), F.col("component").alias("dst")).unionByName(more), "join-links")), "join-components")
-    by_set = classes.select("set_hash", "node").join(final, "node", "left").select("set_hash", F.coalesce("component", "node").alias("component_id"))
+    of = classes.select("set_hash", "least", "node").join(final, "node", "left")
+    names = of.where("component is not null").groupBy("component").agg(F.min("least").alias("name"))
+    by_set = of.join(names, "component", "left").select("set_hash", F.when(F.col("component").isNull(), F.col("least")).otherwise(F.col("name")).alias("component_id"))
     apart = F.col("set_hash").isNull()
-    linked = sets.where(~apart).select("doc_id", "n_shingles", "set_hash").join(by_set, "set_hash", "left").select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"))
+    linked = sets.where(~apart).select("doc_id", "n_shingles", "set_hash").join(by_set, "set_hash", "left").select("doc_id", "n_shingles", "component_id")
     return linked.unionByName(sets.where(apart).select("doc_id", "n_shingles", F.col("doc_id").alias("component_id")))
