@@ -148,7 +148,7 @@ def item_slices(benchmark: DataFrame, limit: int = SLICE_CHARS) -> Iterator[list
     """The items in plain form, in slices of at most ``limit`` characters (one item may be longer)."""
     own: list[Item] = []
     size = 0
-    for r in benchmark.select(F.col("item_id").cast("long"), "text").orderBy("item_id", "text").toLocalIterator():
+    for r in benchmark.select(F.col("item_id").cast("long"), F.make_valid_utf8(F.col("text").cast("string")).alias("text")).orderBy("item_id", "text").toLocalIterator():
         t = plain(r[1])
         if not t:
             continue
@@ -160,6 +160,11 @@ def item_slices(benchmark: DataFrame, limit: int = SLICE_CHARS) -> Iterator[list
     yield own
 
 
+def _read(text: pa.StringScalar) -> str:
+    """A text; bytes that are not UTF-8 are read as U+FFFD."""
+    return text.as_buffer().to_pybytes().decode("utf-8", "replace")
+
+
 MATCHES = "doc_id long, item_id long, budget int, distance int, match_start long, match_end long"
 
 
@@ -172,7 +177,7 @@ def find_matches(docs: DataFrame, benchmark: DataFrame, rate: float = RATE, limi
         def run(batches: Iterator[pa.RecordBatch], items=items, key=key) -> Iterator[pa.RecordBatch]:
             matcher = _matcher(key, items, rate)
             for batch in batches:
-                rows = [(d, *m) for d, t in zip(batch.column(0).to_pylist(), batch.column(1), strict=True) if t.is_valid for m in matcher.matches(plain(t.as_py()))]
+                rows = [(d, *m) for d, t in zip(batch.column(0).to_pylist(), batch.column(1), strict=True) if t.is_valid for m in matcher.matches(plain(_read(t)))]
                 cols = list(zip(*rows, strict=True)) if rows else [[]] * 6
                 kinds = (pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.int64())
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], names=["doc_id", "item_id", "budget", "distance", "match_start", "match_end"])
@@ -192,7 +197,7 @@ def drop_contaminated(docs: DataFrame, benchmark: DataFrame, rate: float = RATE,
         def run(batches: Iterator[pa.RecordBatch], items=items, key=key) -> Iterator[pa.RecordBatch]:
             matcher = _matcher(key, items, rate)
             for batch in batches:
-                yield batch.filter(pa.array([not (t.is_valid and matcher.matches(plain(t.as_py()))) for t in batch.column(at)], pa.bool_()))
+                yield batch.filter(pa.array([not (t.is_valid and matcher.matches(plain(_read(t)))) for t in batch.column(at)], pa.bool_()))
 
         docs = docs.mapInArrow(run, schema)
     return docs
