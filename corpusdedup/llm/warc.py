@@ -25,6 +25,7 @@ import hashlib
 import io
 import uuid
 from collections.abc import Iterator
+from typing import BinaryIO
 
 import pyarrow as pa
 from pyspark import TaskContext
@@ -34,7 +35,8 @@ from pyspark.sql import functions as F
 from ..session import fresh_path, stage
 from .files import make_folder, small, write_whole
 
-SEGMENT_BYTES, CHUNK_BYTES, FILE_BYTES = 65_536, 16_384, 8_000_000
+SEGMENT_BYTES, CHUNK_BYTES, FILE_BYTES = 4_096, 2_048, 8_000_000
+DATE = "2000-01-01T00:00:00Z"
 HTTP = b"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nTransfer-Encoding: chunked\r\n\r\n"
 IDENTICAL = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 
@@ -73,27 +75,42 @@ def record(fields: list[tuple[str, str]], block: bytes) -> bytes:
     return b"WARC/1.1\r\n" + head.encode() + b"\r\n" + block + b"\r\n\r\n"
 
 
-def records_of(data: bytes) -> Iterator[tuple[dict[str, str], bytes]]:
-    """(header fields in lower case, block) of each record of an uncompressed archive."""
-    at = 0
-    while at < len(data):
-        end = data.index(b"\r\n\r\n", at)
-        lines = data[at:end].decode("utf-8").split("\r\n")
-        if not lines[0].startswith("WARC/"):
-            raise ValueError(f"no record begins at byte {at}")
-        fields = {k.strip().lower(): v.strip() for k, _, v in (x.partition(":") for x in lines[1:])}
+def records_of(archive: BinaryIO) -> Iterator[tuple[dict[str, str], bytes]]:
+    """(header fields in lower case, block) of each record of an uncompressed archive, one record in memory at a time."""
+    while line := archive.readline():
+        if not line.startswith(b"WARC/"):
+            raise ValueError("no record begins where one should")
+        fields = {}
+        while (line := archive.readline()) not in (b"\r\n", b""):
+            k, _, v = line.decode("utf-8").partition(":")
+            fields[k.strip().lower()] = v.strip()
         n = int(fields["content-length"])
-        yield fields, data[end + 4 : end + 4 + n]
-        at = end + 4 + n + 4
+        block = archive.read(n)
+        if len(block) != n or archive.read(4) != b"\r\n\r\n":
+            raise ValueError("a record does not end where its length says")
+        yield fields, block
 
 
-def page_records(page_id: int | None, url: str | None, payload: bytes, refers_to: int | None, name: str, segment: int, chunk: int) -> Iterator[bytes]:
-    """The record of a page, or its segments."""
-    identifier = f"<urn:uuid:{uuid.uuid5(uuid.NAMESPACE_URL, name)}>"
-    # line breaks in a URI would end the header
-    fields = [("WARC-Record-ID", identifier), ("WARC-Date", "2000-01-01T00:00:00Z"), ("WARC-Target-URI", "".join((url or "").split())), ("WARC-Payload-Digest", "sha1:" + digest_of(payload)), ("WARC-Page-ID", "" if page_id is None else str(page_id))]
+def urn(name: str) -> str:
+    return f"<urn:uuid:{uuid.uuid5(uuid.NAMESPACE_URL, name)}>"
+
+
+def uri(url: str | None) -> str:
+    """A URL without white space: a line break would end the header."""
+    return "".join((url or "").split())
+
+
+def page_records(page_id: int | None, url: str | None, payload: bytes, refers_to: int | None, name: str, segment: int, chunk: int, target: str | None = None, target_url: str | None = None) -> Iterator[bytes]:
+    """The record of a page, or its segments.
+
+    A revisit names its response by the standard's fields (record id where there is one
+    such record, URI and date) and by page; the page and the payload's length are fields of
+    their own, for the standard has none.
+    """
+    identifier = urn(name)
+    fields = [("WARC-Record-ID", identifier), ("WARC-Date", DATE), ("WARC-Target-URI", uri(url)), ("WARC-Payload-Digest", "sha1:" + digest_of(payload)), ("WARC-Page-ID", "" if page_id is None else str(page_id))]
     if refers_to is not None:
-        yield record([("WARC-Type", "revisit"), *fields, ("WARC-Profile", IDENTICAL), ("WARC-Refers-To-Page", str(refers_to)), ("WARC-Payload-Length", str(len(payload))), ("Content-Type", "application/http;msgtype=response")], HTTP)
+        yield record([("WARC-Type", "revisit"), *fields, ("WARC-Profile", IDENTICAL), *([("WARC-Refers-To", urn(target))] if target else []), ("WARC-Refers-To-Target-URI", uri(target_url)), ("WARC-Refers-To-Date", DATE), ("WARC-Refers-To-Page", str(refers_to)), ("WARC-Payload-Length", str(len(payload))), ("Content-Type", "application/http;msgtype=response")], HTTP)
         return
     block = HTTP + frame(payload, chunk)
     fields += [("Content-Type", "application/http;msgtype=response")]
@@ -117,10 +134,14 @@ def write_archives(pages: DataFrame, folder: str | None = None, revisit_from: in
     make_folder(pages.sparkSession, folder)
     html = F.coalesce(F.col("html"), F.lit("")).cast("binary")
     # the digest decides which pages are equal before any html moves
-    told = pages.select(F.col("page_id").cast("long").alias("page_id"), F.sha1(html).alias("sha"), F.length(html).alias("n"))
-    firsts = stage(told.where(F.col("n") >= revisit_from).groupBy("sha").agg(F.min("page_id").alias("first"), F.count("*").alias("copies")).where("copies > 1 and first is not null").select("sha", "first"), "warc-firsts")
+    told = pages.select(F.col("page_id").cast("long").alias("page_id"), F.sha1(html).alias("sha"), F.length(html).alias("n"), F.coalesce(F.col("url").cast("string"), F.lit("")).alias("url"))
+    firsts = told.where((F.col("n") >= revisit_from) & F.col("page_id").isNotNull()).groupBy("sha", "page_id").agg(F.min("url").alias("url"), F.count("*").alias("rows"))
+    copies = told.where(F.col("n") >= revisit_from).groupBy("sha").agg(F.count("*").alias("copies")).where("copies > 1")
+    firsts = firsts.join(copies, "sha").groupBy("sha").agg(F.min(F.struct("page_id", "url", "rows")).alias("f"))
+    firsts = stage(firsts.select("sha", F.col("f.page_id").alias("first"), F.col("f.url").alias("first_url"), (F.col("f.rows") == 1).alias("sole")), "warc-firsts")
     rows = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), html.alias("payload"), F.sha1(html).alias("sha")).join(small(firsts), "sha", "left")
-    rows = rows.select("page_id", "url", "payload", F.when(~F.col("page_id").eqNullSafe(F.col("first")), F.col("first")).alias("refers_to"))
+    # a response that is alone has a name which its revisits can make from the payload
+    rows = rows.select("page_id", "url", "payload", F.when(~F.col("page_id").eqNullSafe(F.col("first")), F.col("first")).alias("refers_to"), F.when(F.col("sole"), F.concat(F.lit(f"{folder}/response/"), "sha")).alias("target"), "first_url")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         task = TaskContext.get()
@@ -134,8 +155,9 @@ def write_archives(pages: DataFrame, folder: str | None = None, revisit_from: in
             return pa.RecordBatch.from_arrays([pa.array([name], pa.string()), pa.array([size], pa.int64())], names=["file", "bytes"])
 
         for batch in batches:
-            for page_id, url, payload, refers_to in zip(*(batch.column(k).to_pylist() for k in range(4)), strict=True):
-                for data in page_records(page_id, url, payload, refers_to, f"{salt}/{count}", segment_bytes, chunk_bytes):
+            for page_id, url, payload, refers_to, target, target_url in zip(*(batch.column(k).to_pylist() for k in range(6)), strict=True):
+                name = target if target and refers_to is None else f"{salt}/{count}"
+                for data in page_records(page_id, url, payload, refers_to, name, segment_bytes, chunk_bytes, target, target_url):
                     if parts and size >= file_bytes:
                         yield close()
                         number, size, parts = number + 1, 0, []
@@ -206,7 +228,7 @@ def read_archives(spark: SparkSession, folder: str, files: DataFrame | None = No
             for data in batch.column(0):
                 out: list[dict] = []
                 size = 0
-                for f, block in records_of(gzip.GzipFile(fileobj=io.BytesIO(data.as_buffer())).read()):
+                for f, block in records_of(io.BufferedReader(gzip.GzipFile(fileobj=io.BytesIO(data.as_buffer())), 1 << 20)):
                     kind = f["warc-type"]
                     if kind not in ("response", "revisit", "continuation"):
                         continue
