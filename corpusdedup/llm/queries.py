@@ -6,6 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from ..session import spread
 from . import perspectives, sharding
 from .decontaminate import find_matches
 from .html_text import extract
@@ -22,8 +23,13 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def texts(spark: SparkSession, sf_dir: str, name: str = "documents") -> DataFrame:
+    """A table of long texts, worth dealing over idle cores where it is one small file."""
+    return spread(table(spark, sf_dir, name))
+
+
 def op1_deleted_interpolation(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return fit_and_score(table(spark, sf_dir, "documents").select("doc_id", "text"))[0]
+    return fit_and_score(texts(spark, sf_dir).select("doc_id", "text"))[0]
 
 
 def op2_perspective_rotation(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -31,35 +37,35 @@ def op2_perspective_rotation(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op3_token_group_join(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return similar_components(table(spark, sf_dir, "documents").select("doc_id", "text"))
+    return similar_components(texts(spark, sf_dir).select("doc_id", "text"))
 
 
 def op4_isolation_forest(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    docs = texts(spark, sf_dir).select("doc_id", "text")
     return judge(docs, fit(docs, table(spark, sf_dir, "labels")))
 
 
 def op5_variable_best_fit(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return pack(word_lengths(table(spark, sf_dir, "documents")))
+    return pack(word_lengths(texts(spark, sf_dir)))
 
 
 def op6_segment_reassembly(spark: SparkSession, sf_dir: str) -> DataFrame:
-    folder, files = write_archives(table(spark, sf_dir, "pages"))
+    folder, files = write_archives(texts(spark, sf_dir, "pages"))
     return read_archives(spark, folder, files, payloads=False).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to", "error")
 
 
 def op7_pigeonhole_edit_match(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return find_matches(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+    return find_matches(texts(spark, sf_dir), table(spark, sf_dir, "benchmark"))
 
 
 def op8_template_deduction(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return extract(table(spark, sf_dir, "pages"))
+    return extract(texts(spark, sf_dir, "pages"))
 
 
 def op9_bit_packed_ids(spark: SparkSession, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
-    folder, files = write_ids(table(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"))
+    folder, files = write_ids(texts(spark, sf_dir), public_tokenizers.path("word_bpe_49k.json"))
     return read_ids(spark, folder, files)
 
 

@@ -67,6 +67,35 @@ def test_scores_equal_brute_force(spark, order):
     assert np.allclose(model.weights.sum(axis=1), 1)
 
 
+@pytest.mark.parametrize("order", [2, 3])
+def test_held_out_cells_equal_brute_force(spark, monkeypatch, order):
+    """What expectation-maximisation sees: the deleted rows' tokens under counts without them."""
+    rows = [(r.doc_id, r.text) for r in spark.read.parquet(f"{SF}/documents.parquet").select("doc_id", "text").collect()][:120] + AWKWARD[:-1]
+    seen, own = [], ngram_lm._gather_cells
+    monkeypatch.setattr(ngram_lm, "_gather_cells", lambda *a: seen.append(own(*a)) or seen[0])
+    ngram_lm.fit_and_score(docs(spark, rows), order)
+    seqs = [(ngram_lm._role(i, 1), [0] * (order - 1) + blocks.words_of(blocks.lowered((t or "").encode())) + [1]) for i, t in rows]
+    grams, contexts = [Counter() for _ in range(order + 1)], Counter()
+    for role, s in seqs:
+        if role == 0:
+            for p in range(order - 1, len(s)):
+                for k in range(1, order + 1):
+                    grams[k][tuple(s[p - k + 1 : p + 1])] += 1
+                    contexts[tuple(s[p - k + 1 : p])] += 1
+    uniform, want = 1 / (len(grams[1]) + 1), Counter()
+    for role, s in seqs:
+        for p in range(order - 1, len(s)) if role == 1 else ():
+            n = contexts[tuple(s[p - order + 1 : p])]
+            cell = [0 if n == 0 else 1 + int(math.log2(n))]
+            for k in range(1, order + 1):
+                x, y = contexts[tuple(s[p - k + 1 : p])], grams[k][tuple(s[p - k + 1 : p + 1])]
+                cell.append(int(np.rint(ngram_lm.STEPS * np.log2(y / x / uniform))) if y else ngram_lm.NEVER)
+            want[tuple(cell)] += 1
+    cells, n = seen[0]
+    got = Counter({tuple(c): int(k) for c, k in zip(cells.tolist(), n, strict=True)})
+    assert got == want and len(want) > 20
+
+
 def test_weights_equal_unquantised_em():
     rng = np.random.default_rng(1)
     ratios = np.exp2(rng.uniform(0, 12, (4000, 2)))
@@ -159,6 +188,28 @@ def test_join_equals_brute_force(spark, monkeypatch, group):
     assert got == brute_components(rows)
 
 
+def test_join_over_common_passages(spark, monkeypatch):
+    """Documents made of the same few passages: every shingle is frequent, and tokens are cut into cells."""
+    monkeypatch.setattr(ngram_join, "LIST", 3)
+    monkeypatch.setattr(ngram_join, "GROUP", 4)
+    rng = random.Random(11)
+    passages = [" ".join(f"p{k}w{j}" for j in range(rng.randrange(6, 30))) for k in range(9)]
+    rows = [(i, " ".join(rng.choice(passages) for _ in range(rng.randrange(1, 9)))) for i in range(220)]
+    rows += [(300 + k, " ".join([*passages, f"own{k}"])) for k in range(20)]
+    got = {r.doc_id: (r.n_shingles, r.component_id) for r in ngram_join.similar_components(docs(spark, rows)).collect()}
+    assert got == brute_components(rows)
+
+
+def test_documents_joined_by_one_without_id(spark):
+    base = [f"w{k}" for k in range(60)]
+    left, right = base[:52] + [f"a{k}" for k in range(8)], [f"b{k}" for k in range(8)] + base[8:]
+    for bridge in (3, None):
+        rows = [(1, " ".join(left)), (2, " ".join(right)), (bridge, " ".join(base)), (None, "only without an id here"), (None, "only without an id here"), (9, None)]
+        assert len({c for _, c in brute_components([rows[0], rows[1]]).values()}) == 2
+        got = sorted(((r.doc_id, r.component_id) for r in ngram_join.similar_components(docs(spark, rows)).collect()), key=str)
+        assert got == sorted([(1, 1), (2, 1), (bridge, 1), (None, None), (None, None), (9, 9)], key=str)
+
+
 def test_join_of_awkward_rows(spark):
     got = [(r.doc_id, r.n_shingles, r.component_id) for r in ngram_join.similar_components(docs(spark, AWKWARD)).collect()]
     assert len(got) == len(AWKWARD)
@@ -201,6 +252,60 @@ def test_forest_separates_and_keeps_columns(spark):
     assert kept.columns == [*d.columns, "kept"] and kept.count() == quality.judge(d, model).where("kept").count()
 
 
+def brute_path(forest, node, x, depth=0):
+    """Path length of one row by walking one node at a time; a leaf adds what its rows would still need."""
+    if forest.feature[node] < 0:
+        return forest.path[node]
+    side = forest.left if x[forest.feature[node]] < forest.value[node] else forest.right
+    return brute_path(forest, side[node], x, depth + 1)
+
+
+def test_path_lengths_and_scores_equal_brute_force():
+    rng = np.random.default_rng(4)
+    rows = rng.normal(0.5, 0.1, (300, 3))
+    box = np.stack([np.zeros(3), np.ones(3)])
+    forest = quality.grow(rows, box, trees=20, per_tree=64)
+    seen = np.vstack([rows[:40], rng.uniform(0, 1, (40, 3))])
+    want = [2 ** -(np.mean([brute_path(forest, r, x) for r in forest.roots]) / quality.expected_path(64)) for x in seen]
+    assert np.allclose(forest.scores(seen), want)
+    assert forest.scores(np.array([[0.99, 0.01, 0.99]]))[0] > forest.scores(np.array([[0.5, 0.5, 0.5]]))[0] + 0.1
+    # every leaf's path is its depth and what a random tree of its rows adds; splits lie in the node's box
+    for k, root in enumerate(forest.roots[:5]):
+        sample = rows[_picks(300, 64, k)]
+
+        def walk(node, x, low, high, depth):
+            if forest.feature[node] < 0:
+                assert np.isclose(forest.path[node], depth + quality.expected_path(len(x)))
+                return
+            f, v = forest.feature[node], forest.value[node]
+            assert low[f] <= v <= high[f]
+            up, down = high.copy(), low.copy()
+            up[f] = down[f] = v
+            walk(forest.left[node], x[x[:, f] < v], low, up, depth + 1)
+            walk(forest.right[node], x[x[:, f] >= v], down, high, depth + 1)
+
+        if sample is not None and k == 0:
+            walk(root, sample, box[0], box[1], 0)
+    harmonic = sum(1 / i for i in range(1, 256))
+    assert quality.expected_path(256) == pytest.approx(2 * harmonic - 2 * 255 / 256, abs=0.01)
+
+
+def _picks(n, size, tree):
+    """The rows of the first tree; later trees draw after the splits of the ones before."""
+    return np.random.default_rng(7).choice(n, size, replace=False) if tree == 0 else slice(0)
+
+
+def test_quality_of_bytes_that_are_no_text_and_of_repeated_labels(spark):
+    good = [(k, " ".join(f"word{(k * 7 + j) % 97}" for j in range(40 + k % 9))) for k in range(40)]
+    rows = good + [(1, good[1][1])] * 3000
+    labels = spark.createDataFrame([(k, int(k % 4 > 0), 0) for k in range(40)], "doc_id long, quality int, toxic int")
+    d = docs(spark, rows)
+    assert len(quality._rates(d.select("doc_id", "text").withColumn("quality", F.lit(1)))) == 40
+    model = quality.fit(d, labels)
+    bad = spark.sql("SELECT 1L AS doc_id, cast(X'61FF62' AS string) AS text UNION ALL SELECT 2L, concat(cast(X'FF' AS string), repeat(' some words of text that go on', 3))")
+    assert quality.keep_good(bad, model).count() == quality.judge(bad, model).where("kept").count()
+
+
 def test_forest_on_awkward_rows(spark):
     d, none = docs(spark, AWKWARD), spark.createDataFrame([], "doc_id long, quality int, toxic int")
     out = quality.judge(d, quality.fit(d, none)).collect()
@@ -249,6 +354,37 @@ def test_one_capacity_is_plain_best_fit():
     assert sorted(100 - u for u in used.values()) == naive_best_fit(lengths, 100)
 
 
+def naive_variable_best_fit(lengths, caps, charge):
+    """The same rule over plain lists: the fullest open bin, else the length of least cost for each token it can expect."""
+    bins = []  # [capacity, pieces], the last changed one last
+    for i, n in enumerate(lengths):
+        fits = [b for b in bins if b[0] - sum(b[1]) >= n]
+        if fits:
+            room = min(b[0] - sum(b[1]) for b in fits)
+            best = [b for b in fits if b[0] - sum(b[1]) == room][-1]  # of equal ones the last changed
+            bins = [b for b in bins if b is not best] + [[best[0], [*best[1], n]]]
+            continue
+        costs = []
+        for c in caps:
+            if c >= n:
+                beside = sum(x for x in lengths[i + 1 :] if x <= c - n)
+                costs.append(((c + charge) / (n + min(c - n, beside)), c))
+        bins.append([min(costs)[1], [n]])
+    return sorted((min(c for c in caps if c >= sum(p)), sum(p)) for _, p in bins)
+
+
+@pytest.mark.parametrize("seed", range(12))
+def test_several_capacities_equal_the_plain_rule(seed):
+    rng = random.Random(seed)
+    caps, charge = ((8, 16, 32, 64), (10, 25, 100), (5, 6, 7))[seed % 3], rng.choice((0, 2, 9))
+    lengths = sorted((rng.randrange(1, caps[-1] + 1) if rng.random() < 0.4 else rng.randrange(1, caps[0] + 1) for _ in range(rng.randrange(1, 120))), reverse=True)
+    bins, _, final = packing.pack_lengths(lengths, caps, charge)
+    used = Counter()
+    for n, b in zip(lengths, bins, strict=True):
+        used[b] += n
+    assert sorted((final[b], u) for b, u in used.items()) == naive_variable_best_fit(lengths, caps, charge)
+
+
 def test_packing_of_awkward_rows(spark):
     rows = packing.pack(packing.word_lengths(docs(spark, AWKWARD)), group_tokens=1000).collect()
     got = Counter()
@@ -277,6 +413,36 @@ def test_warc_round_trip(spark):
     assert warc.read_archives(spark, folder, files).count() == 0
 
 
+def test_revisits_by_the_standard_s_fields(spark, tmp_path):
+    import gzip
+    import io
+
+    rows = [(k, f"http://h/{k}", "a page of its own %d " % k * 300) for k in range(4)] + [(k, f"http://h/{k}", "one text") for k in range(10, 14)] + [(20, "http://t", "twice"), (20, "http://t", "twice"), (21, "http://u", "twice")]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string")
+    folder, files = warc.write_archives(pages, folder=f"file://{tmp_path}/w")
+    found = []
+    for f in files.collect():
+        data = open(f"{tmp_path}/w/{f.file}", "rb").read()
+        found += [r for r, _ in warc.records_of(io.BytesIO(gzip.decompress(data)))]
+    of = defaultdict(list)
+    for r in found:
+        of[r.get("warc-page-id"), r["warc-type"]].append(r)
+    first = of["10", "response"][0]
+    for k in (11, 12, 13):
+        r = of[str(k), "revisit"][0]
+        assert r["warc-refers-to"] == first["warc-record-id"] and r["warc-refers-to-target-uri"] == "http://h/10" and r["warc-refers-to-date"] == first["warc-date"]
+    assert len(of["20", "response"]) == 2 and len({r["warc-record-id"] for r in found}) == len(found)
+    assert "warc-refers-to" not in of["21", "revisit"][0] and of["21", "revisit"][0]["warc-refers-to-target-uri"] == "http://t"
+    # production sizes cut these pages into segments
+    assert sum(r["warc-type"] == "continuation" for r in found) >= 4
+    assert all(r.error is None for r in warc.read_archives(spark, folder, files).collect())
+    whole = warc.record([("WARC-Type", "response")], b"abcdef")
+    assert [b for _, b in warc.records_of(io.BytesIO(whole * 2))] == [b"abcdef"] * 2
+    for broken in (whole[:-5], b"x" + whole, whole.replace(b"Length: 6", b"Length: 5")):
+        with pytest.raises(ValueError):
+            list(warc.records_of(io.BytesIO(broken)))
+
+
 def test_segments_and_framing():
     assert warc.unframe(b"3;x=y\r\nabc\r\n0\r\nTrailer: 1\r\n\r\n") == b"abc" == warc.unframe(warc.frame(b"abc", 2))
     part = lambda n, b, total=None: {"number": n, "block": b, "total": total}
@@ -333,8 +499,56 @@ def test_matches_equal_brute_force(spark):
     assert decontaminate.find_matches(docs(spark, rows), bench.limit(0)).count() == 0
 
 
+def test_matches_in_bytes_that_are_no_text(spark):
+    bench = spark.createDataFrame([(1, "the item that is looked for here")], "item_id long, text string")
+    bad = spark.sql("SELECT 1L AS doc_id, concat(cast(X'61FF62' AS string), ' the item that is looked for here') AS text UNION ALL SELECT 2L, cast(X'FF' AS string)")
+    assert [r.doc_id for r in decontaminate.find_matches(bad, bench).collect()] == [1]
+    assert [r.doc_id for r in decontaminate.drop_contaminated(bad, bench).collect()] == [2]
+
+
 # 8 -----------------------------------------------------------------------------------
 
+
+def brute_templates(rows):
+    """Templates from whole occurrence vectors in memory: {host: (tokens, texts)} of hosts that have one."""
+    hosts = defaultdict(dict)
+    for _, url, source in rows:
+        page = html_text.Page(source or "")
+        said = tuple(t for _, t, apart, _ in page.blocks if not apart)
+        m = __import__("re").match(r"[a-zA-Z][a-zA-Z0-9+.-]*://(?:[^/?#@]*@)?([^/:?#]*)", url or "")
+        pages = hosts[m[1].lower() if m else ""]
+        key = said or source or ""
+        tokens = Counter({("tag", p, t): n for (p, t), n in Counter(page.tags).items()}) + Counter({("text", b[0], b[1]): n for b, n in Counter((b[0], b[1]) for b in page.blocks).items()})
+        pages[key] = {t: max(n, pages.get(key, {}).get(t, 0)) for t, n in (Counter(pages.get(key, {})) | tokens).items()}
+    out = {}
+    for host, pages in hosts.items():
+        vectors = defaultdict(list)
+        for t in {t for p in pages.values() for t in p}:
+            v = tuple(p.get(t, 0) for p in pages.values())
+            support = sum(n > 0 for n in v)
+            if support >= html_text.MIN_PAGES and support >= html_text.MIN_SHARE * len(pages):
+                vectors[v].append(t)
+        number = lambda t: html_text.token_of(t[1], f"<{t[2]}" if t[0] == "tag" else t[2])
+        member = lambda t: (number(t), f"{t[1]}/{t[2]}" if t[0] == "tag" else t[1], html_text.KIND_TAG if t[0] == "tag" else html_text.KIND_TEXT)
+        classes = [(sum(n > 0 for n in v), [member(t) for t in own]) for v, own in vectors.items() if len(own) > 1]
+        if classes:
+            tokens = html_text.nest(classes)
+            out[host] = (tokens, {m[0] for _, own in classes for m in own if m[2] == html_text.KIND_TEXT} & tokens)
+    return out
+
+
+def test_templates_equal_whole_vectors(spark):
+    page = "<html><body><div class=top><p>Menu</p><p>Menu</p></div><div id=x1><p>{0} body of this page</p>{1}</div><div class=low><p>Imprint</p></div></body></html>"
+    rows = [(k, f"http://h{k % 3}.org/{k}", page.format(f"page {k}", "<p>Letter</p>" * (k % 4) if k % 3 else "<ul><li>Card</li></ul>")) for k in range(40)]
+    rows += rows[:20] + rows[:5] + [(99, None, None), (98, None, "")]
+    given = [tuple(r) for r in spark.read.parquet(f"{SF}/pages.parquet").select("page_id", "url", "html").collect()]
+    for some in (rows, given * 2):
+        pages = spark.createDataFrame(some, "page_id long, url string, html string").repartition(5)
+        got = {r.host: (set(r.tokens or ()), set(r.texts or ())) for r in html_text.deduce_templates(pages).collect() if r.tokens is not None}
+        assert got == brute_templates(some)
+    once, twice = ({r.page_id: r.text for r in html_text.extract(spark.createDataFrame(x, "page_id long, url string, html string")).collect()} for x in (given, given * 3))
+    assert once == twice
+
 PAGE = """<!DOCTYPE html><html><head><title>T</title><style>p{{a:b}}</style><script>var x="</p>";</script></head><body><header><h1>Site</h1></header>
 <nav><ul><li><a href=/>Home</a></ul></nav><div class="cookie-notice">We use cookies</div><article><header><h2>Head &amp; line {0}</h2></header><p>First <b>bold</b>
   text&nbsp;{0}<br>more<p>Second {0} &lt;x&gt;<div class="share">Share</div><p>Read our daily letter</p></article><aside>Side</aside>
