@@ -14,7 +14,7 @@ from corpusdedup.llm.decontaminate import drop_contaminated
 from corpusdedup.llm.ngram_join import similar_components
 from corpusdedup.llm.packing import pack, word_lengths
 from corpusdedup.llm.quality import fit, keep_good
-from corpusdedup.session import stage
+from corpusdedup.session import spread, stage
 
 #: No SQL grows an isolation forest or packs bins.
 ORACLE_SQL = None
@@ -81,7 +81,7 @@ STAGES = [("quality_rules", quality_rules), ("near_duplicates", near_duplicates)
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All stages over documents, each written and read again."""
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    docs = spread(spark.read.parquet(f"{sf_dir}/documents.parquet"))
     for name, function in STAGES[:-1]:
         docs = stage(function(spark, docs, sf_dir), f"pipeline-{name}")
     return STAGES[-1][1](spark, docs, sf_dir)
