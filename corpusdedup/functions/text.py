@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import unicodedata
+
+import pandas as pd
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -59,8 +62,13 @@ def chunks_of(text: Column | str, tau_seg: int = 32, kinds: tuple[str, ...] = KI
     return F.regexp_extract_all(text, F.lit(rf"(?s).{{{least},}}?{boundary_pattern(kinds)}|(?s).+"), F.lit(0))
 
 
-def normalize_text(text: Column, placeholders: str | None = "single", trim_edges: bool = False, lowercase: bool = False) -> Column:
-    """Replace numeric expressions by placeholders; None leaves the text as it is."""
+def normalize_text(text: Column, placeholders: str | None = "single", trim_edges: bool = False, lowercase: bool = False, unicode_nfc: bool = False) -> Column:
+    """Replace numeric expressions by placeholders; None leaves the text as it is.
+
+    Composing (``unicode_nfc``) comes first; Spark has no function for it, so it is an Arrow UDF.
+    """
+    if unicode_nfc:
+        text = _composed(text)
     if placeholders == "single":
         text = F.regexp_replace(text, NUMBER, "<NUM>")
     elif placeholders == "typed":
@@ -73,6 +81,14 @@ def normalize_text(text: Column, placeholders: str | None = "single", trim_edges
     return F.lower(text) if lowercase else text
 
 
+def _composed(text: Column) -> Column:
+    @F.pandas_udf("string")
+    def nfc(texts: pd.Series) -> pd.Series:
+        return texts.map(lambda t: None if t is None else unicodedata.normalize("NFC", t))
+
+    return nfc(text)
+
+
 def content_hash(text: Column, algo: str = "md5") -> Column:
     """The key that stands for a normalised text; with ``none`` the text itself."""
     if algo == "md5":

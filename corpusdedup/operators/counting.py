@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -32,6 +34,21 @@ def merge_counts(old: DataFrame, new: DataFrame) -> DataFrame:
     return old.unionByName(new).groupBy(*KEY).agg(F.sum("freq").alias("freq"))
 
 
+def heavy_hitters(occ: DataFrame, share: float = 0.001, room: int = 20_000) -> DataFrame:
+    """(h, norm_len, freq) of all groups that hold at least ``share`` of the occurrences.
+
+    A sketch of ``room`` counters in each task keeps every text of more than 1/room of the
+    rows, so it names all heavy groups and some others; a second pass over the narrow rows
+    counts just these. No group table is made. ``room`` must be above 1/share.
+    """
+    if room * share <= 1:
+        raise ValueError("room must be above 1 / share")
+    total = occ.count()
+    named = occ.agg(F.expr(f"approx_top_k(hex(h), {math.ceil(1 / share)}, {room})").alias("top")).select(F.explode("top").alias("t")).select(F.unhex("t.item").alias("h"))
+    counted = occ.join(F.broadcast(named.distinct()), "h", "left_semi").groupBy(*KEY).agg(F.count("*").alias("freq"))
+    return counted.where(F.col("freq") >= share * total)
+
+
 def approx_group_count(occ: DataFrame, rsd: float = 0.02) -> DataFrame:
     """An estimate of the number of groups and the exact number of occurrences, in one pass."""
     return occ.agg(F.approx_count_distinct(F.struct(*KEY), rsd).alias("approx_groups"), F.count("*").alias("occurrences"))

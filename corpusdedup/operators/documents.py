@@ -208,6 +208,21 @@ def minhash_dedup(docs: DataFrame, n: int = 5, perms: int = 128, threshold: floa
     return docs.join(away, "doc_id", "left_anti")
 
 
+def ml_minhash_pairs(docs: DataFrame, n: int = 5, threshold: float = 0.7, tables: int = 64, features: int = 1 << 20, seed: int = 42) -> DataFrame:
+    """(a, b) by Spark's own MinHash: any one equal hash makes a candidate, distances are exact up to hashed features.
+
+    A cross-check of the banded signatures; without bands its candidates grow with every
+    shared frequent shingle, so it is not used elsewhere.
+    """
+    from pyspark.ml.feature import HashingTF, MinHashLSH
+
+    x = docs.select("doc_id", shingles(F.col("text"), n).alias("grams")).where(F.size("grams") > 0)
+    x = HashingTF(inputCol="grams", outputCol="features", numFeatures=features, binary=True).transform(x).select("doc_id", "features")
+    model = MinHashLSH(inputCol="features", outputCol="hashes", numHashTables=tables, seed=seed).fit(x)
+    pairs = model.approxSimilarityJoin(x, x, 1 - threshold + 1e-9, "distance")
+    return pairs.select(F.col("datasetA.doc_id").alias("a"), F.col("datasetB.doc_id").alias("b")).where("a < b").distinct()
+
+
 def lsh_quality(docs: DataFrame, n: int = 5, perms: int = 128, threshold: float = 0.7) -> DataFrame:
     """Candidates, true pairs and recall of banding schemes, beside the share that theory expects at the threshold."""
     spark = docs.sparkSession

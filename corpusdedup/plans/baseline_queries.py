@@ -9,12 +9,13 @@ from ..operators import documents as D
 from ..operators import measures as M
 from ..operators import substring as B
 from ..operators.counting import count_groups, count_groups_with_docs
+from ..functions.retention import KeepOne
 from ..operators.segment import hexed
 from ..session import stage
 from ..sources.io import table
 from . import pipelines as P
 from . import sql as S
-from .core_queries import FINAL, TIGHT, TIGHT_SQL, docs, occ_of
+from .core_queries import CODE_KEPT, CODE_PAGES, FINAL, TIGHT, TIGHT_SQL, code_pages, docs, occ_of
 from .registry import query
 
 _SIG = f"{S.shingle_ctes()}, {S.signature_cte()}"
@@ -62,9 +63,22 @@ def exact_jaccard(spark, d):
     return D.exact_jaccard_pairs(docs(spark, d))
 
 
-@query()
+_TRUE = "na AS (SELECT doc_id, count(*) AS n FROM sh GROUP BY 1), tp AS MATERIALIZED (SELECT a, b FROM (SELECT x.doc_id AS a, y.doc_id AS b, count(*) AS o FROM sh x JOIN sh y ON x.base = y.base AND x.doc_id < y.doc_id GROUP BY ALL) JOIN na p ON p.doc_id = a JOIN na q ON q.doc_id = b WHERE o / (p.n + q.n - o)::DOUBLE >= 0.7)"
+_SCHEMES = " UNION ALL ".join(f"(WITH {S.pair_ctes(b, r)} SELECT {b}::BIGINT AS bands, {r}::BIGINT AS rows, (SELECT count(*) FROM cp) AS candidates, (SELECT count(*) FROM tp) AS true_pairs, round((SELECT count(*) FROM tp JOIN cp USING (a, b)) / (SELECT count(*) FROM tp)::DOUBLE, 6) AS recall, round(1 - pow(1 - pow(0.7::DOUBLE, {r}), {b}), 6) AS expected_at_threshold)" for b, r in ((16, 8), (32, 4), (64, 2)))
+
+
+@query(f"WITH {_SIG}, {_TRUE} {_SCHEMES}")
 def lsh_quality(spark, d):
-    return D.lsh_quality(docs(spark, d))
+    return D.lsh_quality(docs(spark, d)).withColumns({c: F.round(c, 6) for c in ("recall", "expected_at_threshold")})
+
+
+@query(f"WITH {S.shingle_ctes()}, {_TRUE} SELECT count(*) AS true_pairs, 0::BIGINT AS false_pairs, TRUE AS most_found FROM tp")
+def ml_minhash(spark, d):
+    """Spark's own MinHash against the exact pairs: none is false, and nine of ten are found."""
+    truth = stage(D.exact_jaccard_pairs(docs(spark, d)), "truth").select("a", "b", F.lit(1).alias("t"))
+    x = truth.join(D.ml_minhash_pairs(docs(spark, d)).withColumn("f", F.lit(1)), ["a", "b"], "full")
+    sums = x.agg(F.count("t").alias("true_pairs"), F.count_if(F.col("t").isNull()).alias("false_pairs"), F.count_if(F.col("t").isNotNull() & F.col("f").isNotNull()).alias("found"))
+    return sums.select("true_pairs", "false_pairs", (F.col("found") >= 0.9 * F.col("true_pairs")).alias("most_found"))
 
 
 @query(f"WITH RECURSIVE {S.survivor_ctes()} SELECT doc_id, md5(text) AS text_md5, length(text) AS chars FROM surv")
@@ -284,12 +298,30 @@ def w_budget_curves(spark, d):
     return x.select("freq", "len", F.round(b, 6).alias("budget"), F.round(b / F.col("freq"), 6).alias("fraction"))
 
 
-@query()
+_SUB = "SELECT doc_id, text FROM surv"
+_KEPT = {
+    "raw": "documents",
+    "doc_minhash": "surv",
+    "minhash_suffix": f"(WITH {S.kgram_ctes('surv', shard_sql=S.shard(4))}, {S.cut_cte('surv')} SELECT doc_id, text FROM cutdoc)",
+    "minhash_keep_one": f"(WITH {S.rebuilt_ctes(0, budget_sql='1', ties='strict', source=_SUB)} SELECT * FROM kept)",
+    "adaptive": f"(WITH {S.rebuilt_ctes()} SELECT * FROM kept)",
+    "minhash_adaptive": f"(WITH {S.rebuilt_ctes(source=_SUB)} SELECT * FROM kept)",
+}
+
+
+def _settings_sql(names: tuple[str, ...]) -> str:
+    of = lambda q: f"coalesce(sum(CASE WHEN quality = {q} THEN length(coalesce(text, '')) END), 0)"
+    rows = " UNION ALL ".join(f"SELECT {k}::BIGINT AS step, '{n}' AS setting, {_SIZE}, {of(1)} AS good, {of(0)} AS bad FROM {_KEPT[n]} x LEFT JOIN labels USING (doc_id)" for k, n in enumerate(names))
+    part = lambda c: f"round(100 * {c} / (max(CASE WHEN step = 0 THEN {c} END) OVER ())::DOUBLE, 6)"
+    return f"WITH RECURSIVE {S.survivor_ctes()} SELECT step, setting, docs, tokens, chars, {part('tokens')} AS token_percent, {part('chars')} AS char_percent, {part('good')} AS good_percent, {part('bad')} AS bad_percent FROM ({rows})"
+
+
+@query(_settings_sql(tuple(_KEPT)))
 def w_web_settings(spark, d):
-    """The six settings on one corpus: what each keeps of the raw one."""
+    """The six settings on one corpus: sizes, retention and the stand-ins of each; also the comparison of granularities."""
     raw = docs(spark, d)
     doc = stage(D.minhash_dedup(raw), "survivors")
-    return M.retention_report(raw, {"doc_minhash": doc, "minhash_suffix": stage(P.substring_pipeline(doc, 4, minhash=False), "s"), "minhash_keep_one": stage(P.keep_one(doc), "s"), "adaptive": stage(P.adaptive_dedup(raw), "s"), "minhash_adaptive": stage(P.adaptive_dedup(doc), "s")})
+    return M.setting_report(raw, {"doc_minhash": doc, "minhash_suffix": stage(P.substring_pipeline(doc, 4, minhash=False), "s"), "minhash_keep_one": stage(P.keep_one(doc), "s"), "adaptive": stage(P.adaptive_dedup(raw), "s"), "minhash_adaptive": stage(P.adaptive_dedup(doc), "s")}, table(spark, d, "labels"))
 
 
 _KEPT2 = S.rebuilt_ctes(source="SELECT doc_id, text FROM surv")
@@ -303,12 +335,28 @@ def w_sizes(spark, d):
     return _rounded(M.retention_report(raw, {"doc_minhash": doc, "minhash_adaptive": stage(P.adaptive_dedup(doc), "s")}))
 
 
-@query(f"WITH RECURSIVE {S.survivor_ctes()}, {S.rebuilt_ctes(0, budget_sql='1', ties='strict', source='SELECT doc_id, text FROM surv')} {_retention_sql([('raw', 'documents'), ('doc_minhash', 'surv'), ('minhash_keep_one', 'kept')])}")
+@query(_settings_sql(("raw", "doc_minhash", "minhash_keep_one", "minhash_adaptive")))
 def w_policy(spark, d):
-    """Keep-one at equal detection: what the adaptive budget is held against."""
+    """Retention control at equal detection: keep-one and the adaptive budget on the same survivors and chunks."""
     raw = docs(spark, d)
     doc = stage(D.minhash_dedup(raw), "survivors")
-    return _rounded(M.retention_report(raw, {"doc_minhash": doc, "minhash_keep_one": stage(P.keep_one(doc), "s")}))
+    return M.setting_report(raw, {"doc_minhash": doc, "minhash_keep_one": stage(P.keep_one(doc), "s"), "minhash_adaptive": stage(P.adaptive_dedup(doc), "s")}, table(spark, d, "labels"))
+
+
+def _deletion_sql(name: str, budget: str, ties: str, tau: int) -> str:
+    r = "(SELECT *, last_pos - first_pos + 1 AS n, run_chars >= %d AS gone FROM runs)" % tau
+    return f"(WITH {S.decision_ctes(budget, ties, source=_SUB)} SELECT '{name}' AS policy, (SELECT count(*) FROM occ) AS chunks, count(*) AS runs, sum(n)::BIGINT AS candidate_chunks, sum(CASE WHEN gone THEN n ELSE 0 END)::BIGINT AS deleted_chunks, sum(CASE WHEN gone THEN run_chars ELSE 0 END)::BIGINT AS deleted_chars, sum(CASE WHEN gone THEN 0 ELSE n END)::BIGINT AS restored_chunks, count(DISTINCT CASE WHEN gone THEN doc_id END) AS docs_touched FROM {r})"
+
+
+@query(f"WITH RECURSIVE {S.survivor_ctes()} {_deletion_sql('keep_one', '1', 'strict', 0)} UNION ALL {_deletion_sql('adaptive', TIGHT_SQL, 'document', 100)}")
+def w_policy_deletion(spark, d):
+    """What each policy deletes and restores of the same chunks; the budget is small enough for small tables."""
+    occ = P.occurrence_table(stage(D.minhash_dedup(docs(spark, d)), "survivors"))
+    out = None
+    for name, policy in (("keep_one", KeepOne()), ("adaptive", TIGHT)):
+        row = M.deletion_report(occ, policy).select(F.lit(name).alias("policy"), "chunks", "runs", "candidate_chunks", "deleted_chunks", "deleted_chars", "restored_chunks", "docs_touched")
+        out = row if out is None else out.unionByName(row)
+    return out
 
 
 @query("SELECT page_id, regexp_matches(lower(html), '<(pre|code|script|style)[ >]') OR contains(html, '```') OR (length(html) - length(translate(html, '{};', ''))) * 50 > length(html) AS code FROM pages")
@@ -318,18 +366,19 @@ def w_code_filter(spark, d):
     return table(spark, d, "pages").select("page_id", is_code(F.col("html")).alias("code"))
 
 
-@query()
+@query(f"WITH {CODE_KEPT}, code AS ({CODE_PAGES}) {_retention_sql([('raw', 'code'), ('adaptive_code', 'kept')])}")
 def w_code_settings(spark, d):
     """Code-bearing pages: no deduplication against the adaptive setting with code kept whole."""
-    from ..operators.segment import is_code
-
-    raw = table(spark, d, "pages").where(is_code(F.col("html"))).select(F.col("page_id").alias("doc_id"), F.col("html").alias("text"))
-    return M.retention_report(raw, {"adaptive_code": stage(P.code_pipeline(raw), "s")})
+    raw = code_pages(spark, d)
+    return _rounded(M.retention_report(raw, {"adaptive_code": stage(P.code_pipeline(raw, TIGHT), "s")}))
 
 
 @query(f"WITH {S.occ_ctes()}, n AS (SELECT h, norm_len, count(DISTINCT doc_id) AS nd, count(*) AS freq FROM occ GROUP BY ALL), s AS (SELECT occ.*, freq, {S.shard(10)} AS shard FROM occ JOIN n USING (h, norm_len) WHERE nd = freq), k AS (SELECT freq, h, norm_len, count_if(c = 1) AS kept FROM (SELECT freq, h, norm_len, shard, count(*) AS c FROM s GROUP BY ALL) GROUP BY ALL) SELECT freq, count(*) AS groups, round(avg(kept), 6) AS mean_kept, round({S.g('freq', 10.0)}, 6) AS expected_kept FROM k GROUP BY freq")
 def w_shard(spark, d):
-    """Copies left by shard-local removal over ten shards, by frequency, beside the closed form."""
+    """Copies left by shard-local removal over ten shards, by frequency, beside the closed form.
+
+    Only groups with one copy a document: copies of one document share a shard, which the closed form does not know.
+    """
     from ..functions.retention import expected_kept
 
     occ = B.assign_shard(occ_of(spark, d), 10)

@@ -7,9 +7,9 @@ from pyspark.sql import functions as F
 
 from ..functions.retention import KeepK, KeepOne, RetentionPolicy, expected_kept, kept_fraction, length_factor, sql_budget
 from ..functions.text import normalize_text
-from ..operators.counting import approx_group_count, count_groups, count_groups_with_docs, duplicate_groups, group_doc_counts, merge_counts
+from ..operators.counting import approx_group_count, count_groups, count_groups_with_docs, duplicate_groups, group_doc_counts, heavy_hitters, merge_counts
 from ..operators.deletion import attach_groups, candidate_runs, coherent_delete, explain_decisions, initial_decision, rank_occurrences, rebuild, with_budget
-from ..operators.segment import chunk_rows, hexed, occurrences, segment
+from ..operators.segment import chunk_rows, hexed, is_code, occurrences, segment
 from ..session import spread, stage
 from ..sources.io import table
 from . import pipelines as P
@@ -72,17 +72,24 @@ def _with_fences(spark, d):
     return docs(spark, d).select("doc_id", F.when(F.col("doc_id") % 5 == 0, F.concat("text", fence)).otherwise(F.col("text")).alias("text"))
 
 
-@query()
+_FENCED = "\n```python\ndef f(x):\n\n    return x. \nvalue = 0\n```\nAfter the code comes prose. It goes on for a while.\n"
+_WITH_FENCE = "SELECT doc_id, CASE WHEN doc_id % 5 = 0 THEN text || replace(" + S.quoted(_FENCED) + ", 'value = 0', 'value = ' || (doc_id % 7)) ELSE text END AS text FROM documents"
+#: The only fence of these texts: from the line break before it to that after its end.
+_FENCE_SPAN = "span AS (SELECT doc_id, strpos(text, '```python') - 1 AS s, strpos(text, '```python') - 1 + strpos(substr(text, strpos(text, '```python')), chr(10) || '```' || chr(10)) + 4 AS e FROM src WHERE contains(text, '```python'))"
+_PAGES = "SELECT page_id AS doc_id, html AS text FROM pages"
+
+
+@query(f"WITH {S.spanned_chunk_ctes(_WITH_FENCE, _FENCE_SPAN)} SELECT doc_id, pos, text, kind FROM chunk")
 def seg_fence(spark, d):
     return segment(_with_fences(spark, d), protect_code=True).select("doc_id", F.posexplode("chunks").alias("pos", "c")).select("doc_id", "pos", "c.text", "c.kind")
 
 
-@query()
+@query(f"WITH {S.spanned_chunk_ctes(_PAGES, S.brace_spans_cte())} SELECT doc_id, pos, text, kind FROM chunk")
 def seg_brace(spark, d):
     return segment(table(spark, d, "pages").select(F.col("page_id").alias("doc_id"), F.col("html").alias("text")), protect_code=True, braces=True).select("doc_id", F.posexplode("chunks").alias("pos", "c")).select("doc_id", "pos", "c.text", "c.kind")
 
 
-@query()
+@query(f"WITH {S.spanned_chunk_ctes(_WITH_FENCE, _FENCE_SPAN)} SELECT (kind = 'code')::BIGINT AS kind, count(*) AS chunks, sum(length(text))::BIGINT AS chars FROM chunk GROUP BY ALL")
 def seg_code_mixed(spark, d):
     return occurrences(segment(_with_fences(spark, d), protect_code=True, braces=True)).groupBy("kind").agg(F.count("*").alias("chunks"), F.sum("raw_len").alias("chars"))
 
@@ -121,6 +128,13 @@ def norm_code_identity(spark, d):
     return out
 
 
+@query("SELECT doc_id, md5(nfc_normalize(replace(replace(text, 'é', 'e' || chr(769)), 'ü', 'u' || chr(776)))) AS norm_md5 FROM documents")
+def norm_nfc(spark, d):
+    """Letters written with a mark of their own are composed."""
+    apart = F.replace(F.replace("text", F.lit("é"), F.lit("e\u0301")), F.lit("ü"), F.lit("u\u0308"))
+    return docs(spark, d).select("doc_id", F.md5(normalize_text(apart, None, unicode_nfc=True)).alias("norm_md5"))
+
+
 @query(f"SELECT doc_id, md5(lower(regexp_replace({S.normal('text')}, '^{S.WS}+|{S.WS}+$', '', 'g'))) AS norm_md5 FROM documents")
 def norm_options(spark, d):
     return docs(spark, d).select("doc_id", F.md5(normalize_text(F.col("text"), trim_edges=True, lowercase=True)).alias("norm_md5"))
@@ -152,10 +166,14 @@ def dup_groups(spark, d):
     return hexed(duplicate_groups(count_groups(occ_of(spark, d))))
 
 
-@query(f"WITH {S.occ_ctes()} SELECT * FROM grp")
+@query(f"WITH {S.occ_ctes()} SELECT *, 3::BIGINT AS dealings FROM grp")
 def count_invariance(spark, d):
-    """Counts of documents dealt anew: partitioning must not matter."""
-    return hexed(count_groups(occurrences(segment(docs(spark, d).repartition(7)))))
+    """Counts of documents dealt to 1, 7 and 64 partitions: each group has one count in all three."""
+    out = None
+    for n in (1, 7, 64):
+        part = count_groups(occurrences(segment(docs(spark, d).repartition(n))))
+        out = part if out is None else out.unionByName(part)
+    return hexed(out.groupBy("h", "norm_len", "freq").agg(F.count("*").alias("dealings")))
 
 
 @query(f"WITH {S.occ_ctes()} SELECT h, norm_len, doc_id, count(*) AS copies FROM occ GROUP BY ALL", name="group_doc_counts")
@@ -163,9 +181,18 @@ def group_doc_counts_query(spark, d):
     return hexed(group_doc_counts(occ_of(spark, d)))
 
 
-@query()
+@query(f"WITH {S.occ_ctes()} SELECT (SELECT count(*) FROM occ) AS occurrences, (SELECT count(*) FROM grp) AS exact_groups, TRUE AS within_a_tenth")
 def approx_groups(spark, d):
-    return approx_group_count(occ_of(spark, d))
+    """The estimated number of groups beside the exact one."""
+    occ = occ_of(spark, d)
+    exact = count_groups(occ).agg(F.count("*").alias("exact_groups"))
+    near = F.abs(F.col("approx_groups") - F.col("exact_groups")) <= 0.1 * F.col("exact_groups")
+    return approx_group_count(occ).crossJoin(exact).select("occurrences", "exact_groups", near.alias("within_a_tenth"))
+
+
+@query(f"WITH {S.occ_ctes()} SELECT h, norm_len, freq FROM grp WHERE freq >= 0.001 * (SELECT count(*) FROM occ)", name="heavy_hitters")
+def heavy_hitters_query(spark, d):
+    return hexed(heavy_hitters(occ_of(spark, d)))
 
 
 @query(f"WITH {S.occ_ctes()} SELECT * FROM grp", name="merge_counts")
@@ -354,9 +381,20 @@ def adaptive_subdoc(spark, d):
     return out.join(n, "doc_id").join(gone, "doc_id", "left").select("doc_id", "n_chunks", F.coalesce("n_deleted", F.lit(0)).cast("long").alias("n_deleted"), "chars_before", F.length("text").alias("chars_after"), F.md5("text").alias("text_md5"))
 
 
-@query()
+CODE_RULE = "(regexp_matches(lower(html), '<(pre|code|script|style)[ >]') OR contains(html, '```') OR (length(html) - length(translate(html, '{};', ''))) * 50 > length(html))"
+CODE_PAGES = f"SELECT page_id AS doc_id, html AS text FROM pages WHERE {CODE_RULE}"
+CODE_KEPT = S.rebuilt_ctes(budget_sql=TIGHT_SQL, occ=S.code_occ_ctes(CODE_PAGES, S.brace_spans_cte()))
+
+
+def code_pages(spark, d):
+    """Pages that the rule takes for code-bearing, as documents."""
+    return spread(table(spark, d, "pages")).where(is_code(F.col("html"))).select(F.col("page_id").alias("doc_id"), F.col("html").alias("text"))
+
+
+@query(f"WITH {CODE_KEPT} {_REPORT} FROM kept")
 def adaptive_code(spark, d):
-    return _report(P.code_pipeline(table(spark, d, "pages").select(F.col("page_id").alias("doc_id"), F.col("html").alias("text"))))
+    """Code-bearing pages with braces kept whole, under a budget small enough for small tables."""
+    return _report(P.code_pipeline(code_pages(spark, d), TIGHT))
 
 
 @query(" UNION ALL ".join(f"(WITH {S.decision_ctes(b, t)} SELECT '{name}' AS policy, coalesce(sum(last_pos - first_pos + 1), 0)::BIGINT AS deleted_chunks, coalesce(sum(run_chars), 0)::BIGINT AS deleted_chars FROM runs WHERE run_chars >= {tau})" for name, b, t, tau in (

@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
+from ..operators.counting import count_groups
 from ..operators.deletion import deleted_positions
 from ..operators.measures import freq_bin
 from ..operators.segment import chunk_rows, segment
@@ -211,9 +213,29 @@ def fn_date(spark, d):
     return table(spark, d, "events").groupBy(F.date_trunc("hour", "ts").alias("hour")).agg(F.count("*").alias("events"), (F.unix_timestamp(F.max("ts")) - F.unix_timestamp(F.min("ts"))).alias("seconds"))
 
 
-@query()
+@query("SELECT event_id, (props::JSON ->> '$.k')::BIGINT AS k, json_type(props) = 'OBJECT' AS is_object FROM events")
+def fn_variant(spark, d):
+    v = F.parse_json(F.col("props"))
+    return table(spark, d, "events").select("event_id", F.variant_get(v, "$.k", "long").alias("k"), F.schema_of_variant(v).startswith("OBJECT").alias("is_object"))
+
+
+@query(f"WITH {S.occ_ctes()} SELECT floor(norm_len / 64)::BIGINT AS band, sum({S.budget(n=2.0)})::BIGINT AS budget FROM grp GROUP BY 1")
+def agg_udaf(spark, d):
+    """A grouped-aggregate Arrow UDF that sums budgets, as a check of the built-in expression from outside the JVM."""
+    import math
+
+    q, full = 1 - 1 / TIGHT.n, TIGHT.full_length
+
+    @F.pandas_udf("long")
+    def budgets(freq: pd.Series, length: pd.Series) -> int:
+        return sum(min(c, max(1, math.ceil(1 + (c * q ** (c - 1) - 1) * max(0.0, 1 - n / full)))) for c, n in zip(freq.tolist(), length.tolist(), strict=True))
+
+    return count_groups(occ_of(spark, d)).groupBy(F.floor(F.col("norm_len") / 64).alias("band")).agg(budgets("freq", "norm_len").alias("budget"))
+
+
+@query(f"WITH {S.chunk_ctes()} SELECT doc_id, pos, text, 'prose' AS kind FROM chunk")
 def udtf_segment(spark, d):
-    """Segmentation as a table function for SQL users."""
+    """Segmentation as a table function for SQL users; the documents hold no fence."""
     from ..streaming.streams import register_segment_udtf
 
     register_segment_udtf(spark)

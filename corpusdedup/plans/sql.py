@@ -40,6 +40,37 @@ folded AS (SELECT doc_id, string_split(list_reduce(p, lambda a, x: CASE WHEN len
 chunk AS MATERIALIZED (SELECT doc_id, unnest(c) AS text, generate_subscripts(c, 1) - 1 AS pos FROM folded)"""
 
 
+def brace_spans_cte() -> str:
+    """span(doc_id, s, e) of src: outermost pairs of braces with the start of their line, for texts whose braces are balanced."""
+    return """br AS (SELECT doc_id, text, p, sum(CASE c WHEN '{' THEN 1 ELSE -1 END) OVER (PARTITION BY doc_id ORDER BY p) AS depth, c FROM (SELECT doc_id, text, p, substr(text, p, 1) AS c FROM (SELECT doc_id, text, unnest(range(1, length(text) + 1)) AS p FROM src)) WHERE c IN ('{', '}')),
+op AS (SELECT doc_id, text, p - 1 AS a, row_number() OVER (PARTITION BY doc_id ORDER BY p) AS k FROM br WHERE c = '{' AND depth = 1),
+cl2 AS (SELECT doc_id, p AS e, row_number() OVER (PARTITION BY doc_id ORDER BY p) AS k FROM br WHERE c = '}' AND depth = 0),
+pr AS (SELECT doc_id, a, e, CASE WHEN contains(substr(text, 1, a), chr(10)) THEN a - strpos(reverse(substr(text, 1, a)), chr(10)) + 1 ELSE 0 END AS line FROM op JOIN cl2 USING (doc_id, k)),
+span AS (SELECT doc_id, greatest(line, coalesce(lag(e) OVER (PARTITION BY doc_id ORDER BY a), 0)) AS s, e FROM pr)"""
+
+
+def spanned_chunk_ctes(source: str, spans: str, tau: int = 32) -> str:
+    """src, span and chunk(doc_id, pos, text, kind): no cut inside a span, a cut at each of its ends, short pieces folded."""
+    cut = "(" + "|".join(CUTS[k] for k in ("line", "sentence")) + ")"
+    return f"""src AS ({source}), {spans},
+pc AS (SELECT doc_id, unnest(q) AS x, generate_subscripts(q, 1) AS k FROM (SELECT doc_id, list_filter(string_split(regexp_replace(text, {quoted(cut)}, '\\1' || chr(1), 'g'), chr(1)), lambda x: x <> '') AS q FROM src WHERE text <> '')),
+ends AS (SELECT doc_id, sum(length(x)) OVER (PARTITION BY doc_id ORDER BY k)::BIGINT AS c FROM pc),
+bound AS (SELECT doc_id, c FROM ends WHERE NOT EXISTS (SELECT 1 FROM span WHERE span.doc_id = ends.doc_id AND span.s < ends.c AND ends.c < span.e)
+UNION SELECT doc_id, s::BIGINT FROM span WHERE s > 0 UNION SELECT doc_id, e::BIGINT FROM span UNION SELECT doc_id, length(text) FROM src WHERE text <> ''),
+fold AS (SELECT doc_id, list_reduce(list_prepend([0::BIGINT], list_transform(list_sort(list(c)), lambda c: [c])), lambda a, x: CASE WHEN x[1] - a[-1] >= {max(1, tau)} THEN list_concat(a, x) ELSE a END) AS edges, max(c) AS n FROM bound GROUP BY doc_id),
+whole AS (SELECT doc_id, CASE WHEN edges[-1] < n THEN list_append(edges, n) ELSE edges END AS edges FROM fold),
+cell AS (SELECT doc_id, unnest(range(1, len(edges))) AS k, edges FROM whole),
+chunk AS MATERIALIZED (SELECT cell.doc_id, k - 1 AS pos, substr(src.text, edges[k] + 1, edges[k + 1] - edges[k]) AS text, CASE WHEN EXISTS (SELECT 1 FROM span WHERE span.doc_id = cell.doc_id AND span.s < edges[k + 1] AND span.e > edges[k]) THEN 'code' ELSE 'prose' END AS kind FROM cell JOIN src USING (doc_id))"""
+
+
+def code_occ_ctes(source: str, spans: str) -> str:
+    """chunk with its kind, then occ and grp; code is hashed as it is."""
+    return f"""{spanned_chunk_ctes(source, spans)},
+normed AS (SELECT doc_id, pos, text, kind, CASE kind WHEN 'code' THEN text ELSE {normal('text')} END AS norm FROM chunk),
+occ AS MATERIALIZED (SELECT doc_id, pos, md5(norm) AS h, length(norm) AS norm_len, length(text) AS raw_len, text, kind FROM normed),
+grp AS (SELECT h, norm_len, count(*) AS freq FROM occ GROUP BY ALL)"""
+
+
 def occ_ctes(placeholders: str | None = "single", **options) -> str:
     """chunk, then occ(doc_id, pos, h, norm_len, raw_len, text) and grp(h, norm_len, freq)."""
     return f"""{chunk_ctes(**options)},
@@ -61,10 +92,10 @@ def budget(freq: str = "freq", length: str = "norm_len", n: float | str = N_SHAR
     return f"least({freq}, greatest(1, ceil(1.0::DOUBLE + ({g(freq, n)} - 1) * {a})::BIGINT))"
 
 
-def decision_ctes(budget_sql: str | None = None, ties: str = "document", **options) -> str:
+def decision_ctes(budget_sql: str | None = None, ties: str = "document", occ: str | None = None, **options) -> str:
     """occ and grp, then cand(doc_id, pos, raw_len, ...) and runs(doc_id, first_pos, last_pos, run_chars)."""
     order = "rank() OVER (PARTITION BY h, norm_len ORDER BY doc_id)" if ties == "document" else "row_number() OVER (PARTITION BY h, norm_len ORDER BY doc_id, pos)"
-    return f"""{occ_ctes(**options)},
+    return f"""{occ or occ_ctes(**options)},
 dec AS (SELECT *, {order} AS place, row_number() OVER (PARTITION BY h, norm_len ORDER BY doc_id, pos) AS seat FROM (SELECT *, {budget_sql or budget()} AS budget FROM occ JOIN grp USING (h, norm_len))),
 cand AS (SELECT * FROM dec WHERE place > budget),
 isles AS (SELECT *, pos - row_number() OVER (PARTITION BY doc_id ORDER BY pos) AS isle FROM cand),

@@ -12,7 +12,7 @@ from corpusdedup.sources import io
 
 SF = "/root/testdata/sf0.001"
 #: One query or two of each kind; all run in the driver's comparison.
-PICKED = ["seg_merge", "seg_edge", "norm_typed", "norm_code_identity", "group_counts", "budget_grid", "policy_sweep", "keep0_ties", "keep0_strict", "deleted_runs", "rebuilt_docs", "decision_audit", "adaptive_subdoc", "keep_one", "verified_pairs", "dup_clusters", "shard_sensitivity", "retention_report", "freq_profile_line", "deletion_report", "fragmentation", "score_averages", "score_ranks", "html_text", "asof_events", "cube_retention", "win_session", "stream_counts", "stream_admit", "stream_doc_dedup", "ablation_grid", "exact_doc_dedup", "minhash_sig_arrow", "kgram_spans", "substring_keep_first", "proxy_benchmark"]
+PICKED = ["seg_merge", "seg_edge", "norm_typed", "norm_code_identity", "group_counts", "budget_grid", "policy_sweep", "keep0_ties", "keep0_strict", "deleted_runs", "rebuilt_docs", "decision_audit", "adaptive_subdoc", "keep_one", "verified_pairs", "dup_clusters", "shard_sensitivity", "retention_report", "freq_profile_line", "deletion_report", "fragmentation", "score_averages", "score_ranks", "html_text", "asof_events", "cube_retention", "win_session", "stream_counts", "stream_admit", "stream_doc_dedup", "ablation_grid", "exact_doc_dedup", "minhash_sig_arrow", "kgram_spans", "substring_keep_first", "proxy_benchmark", "seg_brace", "seg_code_mixed", "adaptive_code", "heavy_hitters", "approx_groups", "count_invariance", "agg_udaf", "fn_variant"]
 
 
 def plain(v):
@@ -91,6 +91,24 @@ def test_late_rows_of_a_stream_are_dropped(spark, tmp_path):
     assert got == {"a", "b", "c"}
 
 
+def test_heavy_hitters_need_room(spark):
+    from corpusdedup.operators.counting import heavy_hitters
+
+    occ = spark.createDataFrame([(b"hot", 3)] * 50 + [(str(k).encode(), 3) for k in range(2000)], "h binary, norm_len int")
+    assert [(bytes(r.h), r.freq) for r in heavy_hitters(occ, 0.02, 200).collect()] == [(b"hot", 50)]
+    with pytest.raises(ValueError):
+        heavy_hitters(occ, 0.01, 100)
+
+
+def test_stage_metrics(spark):
+    from corpusdedup.operators.measures import stage_metrics
+
+    last = max((r.stage for r in stage_metrics(spark).collect()), default=-1)
+    spark.range(1000).repartition(3).count()
+    rows = stage_metrics(spark, last).collect()
+    assert rows and sum(r.shuffle_written for r in rows) > 0
+
+
 def test_spread(spark):
     from corpusdedup.session import spread
 
