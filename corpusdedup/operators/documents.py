@@ -95,9 +95,9 @@ def minhash_signature_numpy(docs: DataFrame, n: int = 5, perms: int = 128, seed:
             x = np.frombuffer(b"".join(base), ">u8").astype(np.uint64) >> np.uint64(drop)
             x = (x % np.uint64(PRIME)).astype(np.int64)
             of = np.repeat(np.arange(len(sizes)), sizes)
-            for k in range(0, len(x), 4096):
-                part = _modulo(x[k : k + 4096, None] * a + b)
-                starts = np.flatnonzero(np.diff(of[k : k + 4096], prepend=-1))
+            for k in range(0, len(x), 512):  # a piece of the matrix that stays in the core's cache
+                part = _modulo(x[k : k + 512, None] * a + b)
+                starts = np.flatnonzero(np.diff(of[k : k + 512], prepend=-1))
                 rows = of[k + starts]
                 low[rows] = np.minimum(low[rows], np.minimum.reduceat(part, starts, axis=0))
             for row, place in zip(low, at, strict=True):
@@ -120,7 +120,8 @@ def minhash_signature_numpy(docs: DataFrame, n: int = 5, perms: int = 128, seed:
 
     # only the white space of words() may cut
     text = F.regexp_replace(F.lower("text"), rf"[{WS}]+", " ")
-    return docs.select("doc_id", sign(text).alias("sig")).where("sig is not null")
+    # said to be nondeterministic, or the filter would run it a second time
+    return docs.select("doc_id", sign.asNondeterministic()(text).alias("sig")).where("sig is not null")
 
 
 def choose_bands(perms: int = 128, threshold: float = 0.7, verified: bool = True) -> tuple[int, int]:
