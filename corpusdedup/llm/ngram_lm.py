@@ -63,10 +63,10 @@ def _role(doc_id, held_fold: int) -> int:
     return 2 if crc % 5 == held_fold else int(crc // 5 % 10 == 0)
 
 
-def _levels(ids: np.ndarray, starts: np.ndarray, order: int, size: int) -> list[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
+def _levels(ids: np.ndarray, starts: np.ndarray, order: int, size: int, top: int | None = None) -> list[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
     """For each order: distinct n-grams as (prefix of one order less, last word) and, by position, which one ends there (-1: none).
 
-    ``starts`` is each position's place in its document. Grams end at the last start
+    ``starts`` is each position's place in its document; ``top`` ends the list at a lower order. Grams end at the last start
     symbol or later, so that a context's count is the number of tokens after it.
     """
     out = []
@@ -76,7 +76,7 @@ def _levels(ids: np.ndarray, starts: np.ndarray, order: int, size: int) -> list[
     where[ends] = inv
     out.append((np.full(len(uniq), -1, np.int64), uniq.astype(np.int64), where, uniq))
     prev = ids.astype(np.int64)
-    for k in range(2, order + 1):
+    for k in range(2, (top or order) + 1):
         ok = starts >= k - 1
         code = np.full(len(ids), -1, np.int64)
         pos = np.flatnonzero(ok)
@@ -109,11 +109,11 @@ def _counts(where: np.ndarray, size: int, role: np.ndarray) -> list[np.ndarray]:
     return [a, a + np.bincount(where[(where >= 0) & (role == 1)], minlength=size)]
 
 
-def _unpack(docs: bytes, seq: bytes, vocab: bytes, order: int):
+def _unpack(docs: bytes, seq: bytes, vocab: bytes, order: int, top: int | None = None):
     ids = expand(seq, np.int32)
     doc_ids, roles, lengths = docs_of(docs)
     places = places_of(lengths)
-    levels = _levels(ids, places, order, len(expand(vocab, np.uint64)))
+    levels = _levels(ids, places, order, len(expand(vocab, np.uint64)), top)
     return doc_ids, roles, lengths, places, levels
 
 
@@ -123,7 +123,7 @@ def _ask(blocks: DataFrame, order: int, which: list[int], buckets: int) -> DataF
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for r in batch.to_pylist():
-                _, roles, lengths, _, levels = _unpack(r["docs"], r["seq"], r["vocab"], order)
+                _, roles, lengths, _, levels = _unpack(r["docs"], r["seq"], r["vocab"], order, max(which))
                 role = np.repeat(roles, lengths)
                 keys = _hashes(levels, expand(r["vocab"], np.uint64))
                 key = np.concatenate([keys[k - 1] for k in which])
@@ -285,7 +285,7 @@ def fit_and_score(docs: DataFrame, order: int = 2, held_fold: int = 1) -> tuple[
         raise ValueError("order must be 2 or more")
     spark: SparkSession = docs.sparkSession
     blocks = stage(word_blocks(docs, order - 1, 1, lambda d: _role(d, held_fold)), "lm-blocks")
-    which = [[1], list(range(2, order + 1))]
+    which = [[k] for k in range(1, order + 1)]  # one order at a time is on its way to the buckets
     words = stage(count_in_buckets(_ask(blocks, order, which[0], bucket_count(blocks, "n_vocab")), 2), "lm-words")
     # of each bucket of words: distinct under deletion and in all training rows, and the totals
     told = [0, 0, 0, 0]
@@ -295,11 +295,14 @@ def fit_and_score(docs: DataFrame, order: int = 2, held_fold: int = 1) -> tuple[
     distinct_a, distinct_t = told[0] - (starts[0] > 0), told[1] - (starts[1] > 0)
     total_a, total_t = told[2] - starts[0], told[3] - starts[1]
     release(spark)
-    grams = stage(count_in_buckets(_ask(blocks, order, which[1], bucket_count(blocks, "n_grams")), 2), "lm-grams")
-    release(spark)
-    replies = words.withColumn("part", F.lit(0)).unionByName(grams.withColumn("part", F.lit(1)))
+    replies, done = words.withColumn("part", F.lit(0)), [blocks, words]
+    for part in range(1, order):
+        grams = stage(count_in_buckets(_ask(blocks, order, which[part], bucket_count(blocks, "n_grams")), 2), "lm-grams")
+        release(spark)
+        replies = replies.unionByName(grams.withColumn("part", F.lit(part)))
+        done.append(grams)
     joined = stage(_join(blocks, replies, order, (total_a, distinct_a), which), "lm-joined")
-    for used in (blocks, words, grams):
+    for used in done:
         drop_stage(used)
     release(spark)
     cells, numbers = _gather_cells(joined, order)

@@ -29,7 +29,7 @@ def texts(spark: SparkSession, sf_dir: str, name: str = "documents") -> DataFram
 
 
 def op1_deleted_interpolation(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return fit_and_score(texts(spark, sf_dir).select("doc_id", "text"))[0]
+    return fit_and_score(texts(spark, sf_dir).select("doc_id", "text"), order=3)[0]
 
 
 def op2_perspective_rotation(spark: SparkSession, sf_dir: str) -> DataFrame:
