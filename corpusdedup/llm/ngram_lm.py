@@ -10,7 +10,8 @@ texts then use all training rows.
 Counting and look-up run through :mod:`.blocks`: nothing that grows with the corpus
 is collected or broadcast. EM needs only the ratios of the estimates to the uniform
 share, so held-out tokens are counted in cells of an eighth of an octave of these
-ratios; there is a bounded number of cells whatever the corpus.
+ratios; there is a bounded number of cells whatever the corpus. Each bucket's weights
+are learned in a task, and only they come to the driver.
 
 Null or empty texts score as a lone end token. Rows may repeat; each is scored.
 Other columns of the input are ignored, whatever their names.
@@ -205,36 +206,44 @@ def _join(blocks: DataFrame, replies: DataFrame, order: int, first: tuple[int, i
     return asked.unionByName(own).groupBy("block").applyInArrow(run, JOINED)
 
 
-def learn_weights(cells: np.ndarray, numbers: np.ndarray, order: int, rounds: int = 200, tolerance: float = 1e-7) -> np.ndarray:
-    """EM for each context bucket; ``cells``: (bucket, quantised ratios to the uniform share).
+def fit_weights(quantised: np.ndarray, numbers: np.ndarray, rounds: int = 200, tolerance: float = 1e-7) -> np.ndarray:
+    """EM over cells: a column of quantised ratios to the uniform share for each order.
 
-    A pseudo-token for each component keeps every weight above zero; buckets without
-    held-out tokens take the weights of all tokens together.
+    A pseudo-token for each component keeps every weight above zero.
     """
-    top = int(cells[:, 0].max()) if len(cells) else 0
-    like = np.ones((len(cells), order + 1))
-    for k in range(1, order + 1):
-        q = cells[:, k].astype(np.float64)
-        like[:, k] = np.where(q <= NEVER, 0, np.exp2(np.maximum(q, NEVER + 1) / STEPS))
-
-    def fit(x: np.ndarray, n: np.ndarray) -> np.ndarray:
-        w = np.full(order + 1, 1 / (order + 1))
-        for _ in range(rounds):
-            share = x * w
-            share *= (n / share.sum(axis=1))[:, None]
-            new = share.sum(axis=0) + 1
-            new /= new.sum()
-            if np.abs(new - w).max() < tolerance:
-                return new
-            w = new
-        return w
-
-    pooled = fit(like, numbers.astype(np.float64))
-    out = np.tile(pooled, (max(top + 1, 64), 1))
-    for b in range(top + 1):
-        if (own := cells[:, 0] == b).any():
-            out[b] = fit(like[own], numbers[own].astype(np.float64))
-    return out
+    parts = quantised.shape[1] + 1
+    like = np.ones((len(quantised), parts))
+    q = np.maximum(quantised.astype(np.float64), NEVER + 1)
+    like[:, 1:] = np.where(quantised <= NEVER, 0, np.exp2(q / STEPS))
+    w = np.full(parts, 1 / parts)
+    for _ in range(rounds):
+        share = like * w
+        share *= (numbers / share.sum(axis=1))[:, None]
+        new = share.sum(axis=0) + 1
+        new /= new.sum()
+        if np.abs(new - w).max() < tolerance:
+            return new
+        w = new
+    return w
+
+
+def _learn(joined: DataFrame, order: int) -> np.ndarray:
+    """Weights by context bucket, each bucket's learned in a task of its own.
+
+    Only the weights come to the driver. Buckets without held-out tokens take the
+    weights of all tokens together, bucket -1 here.
+    """
+    ratios = [f"q{k}" for k in range(1, order + 1)]
+    cells = stage(_cell_table(joined, order), "lm-cells")
+    pooled = cells.groupBy(*ratios).agg(F.sum("n").alias("n")).select(F.lit(-1).alias("bucket"), *ratios, "n")
+
+    def fit(table: pa.Table) -> pa.Table:
+        w = fit_weights(np.stack([table[q].to_numpy() for q in ratios], axis=1), table["n"].to_numpy().astype(np.float64))
+        return pa.table({"bucket": table["bucket"].slice(0, 1), "weights": pa.array([w.tolist()], pa.list_(pa.float64()))})
+
+    learned = dict(cells.unionByName(pooled).groupBy("bucket").applyInArrow(fit, "bucket int, weights array<double>").collect())
+    rest = learned.pop(-1, np.full(order + 1, 1 / (order + 1)))
+    return np.array([learned.get(b, rest) for b in range(max(64, 1 + max(learned, default=0)))])
 
 
 def token_log10(f: list[np.ndarray], bucket: np.ndarray, model: Mixture) -> np.ndarray:
@@ -305,8 +314,7 @@ def fit_and_score(docs: DataFrame, order: int = 2, held_fold: int = 1) -> tuple[
     for used in done:
         drop_stage(used)
     release(spark)
-    cells, numbers = _gather_cells(joined, order)
-    model = Mixture(order, learn_weights(cells, numbers, order), total_t, distinct_t)
+    model = Mixture(order, _learn(joined, order), total_t, distinct_t)
     return _score(joined, model), model
 
 
@@ -317,16 +325,15 @@ def _start_counts(docs: DataFrame, held_fold: int) -> tuple[int, int]:
     return int(r[0]), int(r[1])
 
 
-def _gather_cells(joined: DataFrame, order: int) -> tuple[np.ndarray, np.ndarray]:
-    """Sum the EM cells of all blocks; their number is bounded by the buckets and steps."""
-    width = order + 2
+def _cell_table(joined: DataFrame, order: int) -> DataFrame:
+    """(bucket, q1, ..., n): the EM cells of all blocks together."""
+    names = ["bucket", *(f"q{k}" for k in range(1, order + 1))]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for data in batch.column(0).to_pylist():
-                x = np.frombuffer(data, np.int64).reshape(-1, width)
-                yield pa.RecordBatch.from_arrays([pa.array([row.tobytes() for row in np.ascontiguousarray(x[:, :-1])], pa.binary()), pa.array(x[:, -1], pa.int64())], names=["cell", "n"])
+                x = np.frombuffer(data, np.int64).reshape(-1, order + 2)
+                yield pa.RecordBatch.from_arrays([*(pa.array(c.astype(np.int32)) for c in x[:, :-1].T), pa.array(x[:, -1])], names=[*names, "n"])
 
-    rows = joined.select("cells").mapInArrow(run, "cell binary, n long").groupBy("cell").agg(F.sum("n").alias("n")).collect()
-    cells = np.array([np.frombuffer(r[0], np.int64) for r in rows], np.int64).reshape(-1, width - 1)
-    return cells, np.array([r[1] for r in rows], np.int64)
+    schema = ", ".join(f"{c} int" for c in names) + ", n long"
+    return joined.select("cells").mapInArrow(run, schema).groupBy(*names).agg(F.sum("n").alias("n"))

@@ -71,9 +71,9 @@ def test_scores_equal_brute_force(spark, order):
 def test_held_out_cells_equal_brute_force(spark, monkeypatch, order):
     """What expectation-maximisation sees: the deleted rows' tokens under counts without them."""
     rows = [(r.doc_id, r.text) for r in spark.read.parquet(f"{SF}/documents.parquet").select("doc_id", "text").collect()][:120] + AWKWARD[:-1]
-    seen, own = [], ngram_lm._gather_cells
-    monkeypatch.setattr(ngram_lm, "_gather_cells", lambda *a: seen.append(own(*a)) or seen[0])
-    ngram_lm.fit_and_score(docs(spark, rows), order)
+    seen, own = [], ngram_lm._cell_table
+    monkeypatch.setattr(ngram_lm, "_cell_table", lambda *a: seen.append(own(*a)) or seen[0])
+    _, model = ngram_lm.fit_and_score(docs(spark, rows), order)
     seqs = [(ngram_lm._role(i, 1), [0] * (order - 1) + blocks.words_of(blocks.lowered((t or "").encode())) + [1]) for i, t in rows]
     grams, contexts = [Counter() for _ in range(order + 1)], Counter()
     for role, s in seqs:
@@ -91,22 +91,25 @@ def test_held_out_cells_equal_brute_force(spark, monkeypatch, order):
                 x, y = contexts[tuple(s[p - k + 1 : p])], grams[k][tuple(s[p - k + 1 : p + 1])]
                 cell.append(int(np.rint(ngram_lm.STEPS * np.log2(y / x / uniform))) if y else ngram_lm.NEVER)
             want[tuple(cell)] += 1
-    cells, n = seen[0]
-    got = Counter({tuple(c): int(k) for c, k in zip(cells.tolist(), n, strict=True)})
+    got = Counter({tuple(c[:-1]): c[-1] for c in map(tuple, seen[0].collect())})
     assert got == want and len(want) > 20
+    x, n = np.array(list(want)), np.array(list(want.values()), float)
+    for b in range(len(model.weights)):
+        own = x[:, 0] == b if (x[:, 0] == b).any() else x[:, 0] >= 0
+        assert np.allclose(model.weights[b], ngram_lm.fit_weights(x[own, 1:], n[own]), atol=1e-6)
 
 
 def test_weights_equal_unquantised_em():
     rng = np.random.default_rng(1)
     ratios = np.exp2(rng.uniform(0, 12, (4000, 2)))
-    cells = np.concatenate([np.zeros((4000, 1), np.int64), np.rint(ngram_lm.STEPS * np.log2(ratios)).astype(np.int64)], axis=1)
+    cells = np.rint(ngram_lm.STEPS * np.log2(ratios)).astype(np.int64)
     w = np.full(3, 1 / 3)
     x = np.concatenate([np.ones((4000, 1)), ratios], axis=1)
     for _ in range(200):
         share = x * w
         share /= share.sum(axis=1)[:, None]
         w = (share.sum(axis=0) + 1) / (4000 + 3)
-    assert np.abs(ngram_lm.learn_weights(cells, np.ones(4000, np.int64), 2)[0] - w).max() < 0.01
+    assert np.abs(ngram_lm.fit_weights(cells, np.ones(4000)) - w).max() < 0.01
 
 
 def test_scores_of_nothing(spark):
