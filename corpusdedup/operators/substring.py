@@ -14,6 +14,7 @@ from ..session import stage
 from .counting import KEY
 
 SPANS = "doc_id long, start int, stop int"
+KGRAMS = "shard int, doc_id long, pos int, g long, g2 long"
 
 
 def assign_shard(df: DataFrame, n: int, by: str = "hash", seed: int = 0, id_col: str = "doc_id", out: str = "shard") -> DataFrame:
@@ -69,9 +70,14 @@ def kgram_rows(docs: DataFrame, k: int = 50, shard_col: str | None = None) -> Da
                     g, g2 = rolling_hashes(text, k, lo, hi)
                     yield pa.RecordBatch.from_arrays([pa.array(np.full(hi - lo, shard, np.int32)), pa.array(np.full(hi - lo, doc, np.int64)), pa.array(np.arange(lo, hi, dtype=np.int32)), pa.array(g), pa.array(g2)], names=["shard", "doc_id", "pos", "g", "g2"])
 
+    return _long_texts(docs, k, shard_col).mapInArrow(run, KGRAMS)
+
+
+def _long_texts(docs: DataFrame, k: int, shard_col: str | None) -> DataFrame:
+    """(shard, doc_id, text) of the documents that hold a k-gram."""
     shard = F.col(shard_col) if shard_col else F.lit(0)
     long = docs.where((F.length("text") >= k) & F.col("doc_id").isNotNull())
-    return long.select(shard.cast("int").alias("shard"), F.col("doc_id").cast("long"), F.make_valid_utf8("text").alias("text")).mapInArrow(run, "shard int, doc_id long, pos int, g long, g2 long")
+    return long.select(shard.cast("int").alias("shard"), F.col("doc_id").cast("long"), F.make_valid_utf8("text").alias("text"))
 
 
 def kgram_spans(docs: DataFrame, k: int = 50, shard_col: str | None = None, keep_first: bool = False) -> DataFrame:
@@ -82,7 +88,10 @@ def kgram_spans(docs: DataFrame, k: int = 50, shard_col: str | None = None, keep
     suffix array of the shard gives on one. ``keep_first``: the first place of a k-gram,
     in order of document and position, does not count. Rows without id or text have no spans.
     """
-    g = kgram_rows(docs, k, shard_col)
+    return _repeated(kgram_rows(docs, k, shard_col), k, keep_first)
+
+
+def _repeated(g: DataFrame, k: int, keep_first: bool) -> DataFrame:
     n = g.groupBy("shard", "g", "g2").agg(F.count("*").alias("n"), F.min(F.struct("doc_id", "pos")).alias("first")).where("n > 1")
     hit = g.join(n, ["shard", "g", "g2"])
     if keep_first:
@@ -90,6 +99,65 @@ def kgram_spans(docs: DataFrame, k: int = 50, shard_col: str | None = None, keep
     return merge_spans(hit.select("doc_id", F.col("pos").alias("start"), (F.col("pos") + k).alias("stop")))
 
 
+def selected(text: str, min_len: int, k: int, start: int, stop: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Winnowed fingerprints: (hash, first, last), where the substrings of ``min_len`` characters at first to last choose that k-gram.
+
+    A substring chooses the least hash among its own k-grams, of equal ones the last, so
+    equal substrings choose equal fingerprints wherever they stand.
+    """
+    window = min_len - k + 1
+    h = rolling_hashes(text, k, start, stop + window - 1)[0].view(np.uint64)
+    views = np.lib.stride_tricks.sliding_window_view(h, window)
+    at = np.arange(stop - start) + window - 1 - views[:, ::-1].argmin(axis=1)
+    first = np.flatnonzero(np.diff(at, prepend=-1))
+    return h[at[first]].view(np.int64), start + first, start + np.append(first[1:], len(at)) - 1
+
+
+def winnowed_rows(docs: DataFrame, min_len: int = 50, k: int = 32, shard_col: str | None = None) -> DataFrame:
+    """(shard, doc_id, g, first, last) for each fingerprint: about two rows in ``min_len - k + 2`` characters."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for shard, doc, text in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                n = len(text) - min_len + 1
+                for lo in range(0, n, PLACES):
+                    g, first, last = selected(text, min_len, k, lo, min(n, lo + PLACES))
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(g), shard, np.int32)), pa.array(np.full(len(g), doc, np.int64)), pa.array(g), pa.array(first.astype(np.int32)), pa.array(last.astype(np.int32))], names=["shard", "doc_id", "g", "first", "last"])
+
+    return _long_texts(docs, min_len, shard_col).mapInArrow(run, "shard int, doc_id long, g long, first int, last int")
+
+
+def winnowed_spans(docs: DataFrame, min_len: int = 50, k: int = 32, shard_col: str | None = None, keep_first: bool = False) -> DataFrame:
+    """The spans of :func:`kgram_spans` without a row for each character.
+
+    Equal substrings choose equal fingerprints, so a substring of ``min_len`` characters
+    can only repeat where its fingerprint does. Fingerprints are counted first; only the
+    places whose fingerprint repeats in the shard send k-grams to the exact count. Text
+    without repeats costs its fingerprints alone. Ids must be unique.
+    """
+    if not 1 <= k <= min_len:
+        raise ValueError("k must be between 1 and min_len")
+    marks = stage(winnowed_rows(docs, min_len, k, shard_col), "fingerprints")
+    twice = marks.groupBy("shard", "g").agg(F.count("*").alias("n")).where("n > 1").drop("n")
+    places = marks.join(twice, ["shard", "g"], "left_semi").groupBy(F.col("doc_id").alias("__doc")).agg(F.collect_list(F.struct("first", "last")).alias("__places"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for shard, doc, text, _, spots in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                edges = np.array([(x["first"], x["last"] + 1) for x in spots], np.int64)
+                edges = edges[np.argsort(edges[:, 0])]
+                apart = edges[1:, 0] > edges[:-1, 1]
+                for lo, hi in zip(edges[np.append(True, apart), 0].tolist(), edges[np.append(apart, True), 1].tolist(), strict=True):
+                    for a in range(lo, hi, PLACES):
+                        b = min(hi, a + PLACES)
+                        g, g2 = rolling_hashes(text, min_len, a, b)
+                        yield pa.RecordBatch.from_arrays([pa.array(np.full(b - a, shard, np.int32)), pa.array(np.full(b - a, doc, np.int64)), pa.array(np.arange(a, b, dtype=np.int32)), pa.array(g), pa.array(g2)], names=["shard", "doc_id", "pos", "g", "g2"])
+
+    texts = _long_texts(docs, min_len, shard_col)
+    rows = texts.join(places, texts["doc_id"] == places["__doc"]).mapInArrow(run, KGRAMS)
+    return _repeated(stage(rows, "candidates"), min_len, keep_first)
+
+
 def merge_spans(spans: DataFrame) -> DataFrame:
     """Union of overlapping or touching spans of each document."""
     w = Window.partitionBy("doc_id").orderBy("start", "stop")

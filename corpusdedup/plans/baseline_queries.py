@@ -109,6 +109,12 @@ def kgram_spans(spark, d):
     return B.kgram_spans(B.assign_shard(docs(spark, d), 4), 50, "shard")
 
 
+@query(f"WITH {S.kgram_ctes(shard_sql=S.shard(4))} SELECT doc_id, start, stop FROM sp")
+def winnowed_spans(spark, d):
+    """Only places whose winnowed fingerprint repeats are counted; the spans are those of all k-grams."""
+    return B.winnowed_spans(B.assign_shard(docs(spark, d), 4), 50, shard_col="shard")
+
+
 @query(f"WITH {S.kgram_ctes(shard_sql=S.shard(64))} SELECT doc_id, start, stop FROM sp")
 def suffix_spans(spark, d):
     """The suffix array of each of 64 shards must cover just what repeated k-grams cover."""

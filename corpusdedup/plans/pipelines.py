@@ -13,7 +13,7 @@ from ..operators.counting import KEY, count_groups
 from ..operators.deletion import candidate_runs, coherent_delete, first_places, initial_decision, past, rebuild
 from ..operators.documents import minhash_dedup
 from ..operators.segment import occurrences, segment
-from ..operators.substring import assign_shard, kgram_spans, remove_spans, suffix_array_spans
+from ..operators.substring import assign_shard, remove_spans, suffix_array_spans, winnowed_spans
 from ..session import stage
 from ..sources.io import assert_unique_ids
 
@@ -67,9 +67,10 @@ def keep_one_pipeline(docs: DataFrame, **minhash) -> DataFrame:
 
 def substring_pipeline(docs: DataFrame, shards: int = 4, min_len: int = 50, by: str = "hash", keep_first: bool = False, suffix_array: bool = False, minhash: bool = True, **options) -> DataFrame:
     """Near-duplicate documents first, then removal of exact substrings repeated in a shard."""
+    assert_unique_ids(docs)
     d = stage(minhash_dedup(docs, **options), "survivors") if minhash else docs
     sharded = assign_shard(d.select("doc_id", "text", *(["source"] if by == "source" else [])), shards, by)
-    spans = suffix_array_spans(sharded, min_len) if suffix_array else kgram_spans(sharded, min_len, "shard", keep_first)
+    spans = suffix_array_spans(sharded, min_len) if suffix_array else winnowed_spans(sharded, min_len, min(32, min_len), "shard", keep_first)
     return remove_spans(d, spans)
 
 

@@ -3,6 +3,7 @@
 import random
 
 import numpy as np
+import pytest
 from pyspark.sql import functions as F
 
 from corpusdedup.operators import documents as D
@@ -108,6 +109,27 @@ def test_spans_of_a_text_in_pieces(spark, monkeypatch):
     docs = spark.createDataFrame([(k, t) for k, t in enumerate(texts)] + [(7, None), (None, "the repeated words")], "doc_id long, text string")
     want = [(d, a, b) for d, spans in enumerate(brute_spans(texts, 6)) for a, b in spans]
     assert sorted(tuple(r) for r in B.kgram_spans(docs, 6).collect()) == want
+    for k in (1, 4, 6):
+        assert sorted(tuple(r) for r in B.winnowed_spans(docs, 6, k).collect()) == want
+
+
+def test_winnowed_spans_equal_kgram_spans(spark):
+    rng = random.Random(12)
+    phrases = ["".join(rng.choice("ab é漢") for _ in range(rng.randrange(3, 30))) for _ in range(6)]
+    texts = ["".join(rng.choice(phrases) if rng.random() < 0.3 else rng.choice("abcdefgh") for _ in range(rng.randrange(0, 60))) for _ in range(40)] + ["a" * 50, "ab" * 30]
+    docs = spark.createDataFrame([(d, t, d % 3) for d, t in enumerate(texts)], "doc_id long, text string, shard int")
+    for shard_col, keep_first in ((None, False), ("shard", False), ("shard", True)):
+        want = sorted(tuple(r) for r in B.kgram_spans(docs, 12, shard_col, keep_first).collect())
+        assert want and sorted(tuple(r) for r in B.winnowed_spans(docs, 12, 7, shard_col, keep_first).collect()) == want
+    with pytest.raises(ValueError, match="between"):
+        B.winnowed_spans(docs, 5, 6)
+
+
+def test_unique_text_sends_only_fingerprints(spark):
+    rng = random.Random(4)
+    docs = spark.createDataFrame([(1, "".join(rng.choice("abcdefghij") for _ in range(20_000)))], "doc_id long, text string")
+    rows = B.winnowed_rows(docs)
+    assert rows.count() < 0.13 * 20_000 and rows.agg(F.sum(F.col("last") - F.col("first") + 1)).first()[0] == 20_000 - 49
 
 
 def test_exact_copies_without_ids_or_texts(spark):

@@ -13,7 +13,7 @@ from corpusdedup.sources import io
 
 SF = "/root/testdata/sf0.001"
 #: One query or two of each kind; all run in the driver's comparison.
-PICKED = ["seg_merge", "seg_edge", "norm_typed", "norm_code_identity", "group_counts", "budget_grid", "policy_sweep", "keep0_ties", "keep0_strict", "deleted_runs", "rebuilt_docs", "decision_audit", "adaptive_subdoc", "keep_one", "verified_pairs", "dup_clusters", "shard_sensitivity", "retention_report", "freq_profile_line", "deletion_report", "fragmentation", "score_averages", "score_ranks", "html_text", "asof_events", "cube_retention", "win_session", "stream_counts", "stream_admit", "stream_doc_dedup", "ablation_grid", "exact_doc_dedup", "minhash_sig_arrow", "kgram_spans", "substring_keep_first", "proxy_benchmark", "seg_brace", "seg_code_mixed", "adaptive_code", "heavy_hitters", "approx_groups", "count_invariance", "agg_udaf", "fn_variant"]
+PICKED = ["seg_merge", "seg_edge", "norm_typed", "norm_code_identity", "group_counts", "budget_grid", "policy_sweep", "keep0_ties", "keep0_strict", "deleted_runs", "rebuilt_docs", "decision_audit", "adaptive_subdoc", "keep_one", "verified_pairs", "dup_clusters", "shard_sensitivity", "retention_report", "freq_profile_line", "deletion_report", "fragmentation", "score_averages", "score_ranks", "html_text", "asof_events", "cube_retention", "win_session", "stream_counts", "stream_admit", "stream_doc_dedup", "ablation_grid", "exact_doc_dedup", "minhash_sig_arrow", "kgram_spans", "winnowed_spans", "substring_keep_first", "proxy_benchmark", "seg_brace", "seg_code_mixed", "adaptive_code", "heavy_hitters", "approx_groups", "count_invariance", "agg_udaf", "fn_variant"]
 
 
 def plain(v):
