@@ -9,9 +9,11 @@ texts then use all training rows.
 
 Counting and look-up run through :mod:`.blocks`: nothing that grows with the corpus
 is collected or broadcast. EM needs only the ratios of the estimates to the uniform
-share, so held-out tokens are counted in cells of an eighth of an octave of these
-ratios; there is a bounded number of cells whatever the corpus. Each bucket's weights
-are learned in a task, and only they come to the driver.
+share, so held-out tokens are counted in cells of half an octave of these ratios, and
+each cell keeps the mean logarithm of its tokens' ratios, which EM then works with.
+With N training tokens a bucket has at most (2 log2 N + 2) ** order cells: 729 000 at
+order 3 and 2 ** 44 tokens.
+Each bucket's weights are learned in a task, and only they come to the driver.
 
 Null or empty texts score as a lone end token. Rows may repeat; each is scored.
 Other columns of the input are ignored, whatever their names.
@@ -33,7 +35,9 @@ from .blocks import REQUEST, bucket_count, count_in_buckets, docs_of, expand, mi
 from .blocks import places as places_of
 
 #: Steps for each power of two in which EM distinguishes estimates.
-STEPS = 8
+STEPS = 2
+#: A cell's logarithms are summed as whole multiples of 1 / FINE, so that sums do not depend on their order.
+FINE = 1024
 NEVER = -30_000  # the cell of an estimate of zero
 
 
@@ -141,19 +145,21 @@ def _ask(blocks: DataFrame, order: int, which: list[int], buckets: int) -> DataF
 JOINED = "docs binary, seq binary, n_vocab long, counts binary, cells binary"
 
 
-def _cells(order: int, levels, role, places, a_counts, total_a: int, distinct_a: int) -> tuple[np.ndarray, np.ndarray]:
-    """The held-out tokens' (bucket, quantised ratio of each order) with their numbers."""
+def _cells(order: int, levels, role, places, a_counts, total_a: int, distinct_a: int) -> np.ndarray:
+    """The held-out tokens' (bucket, quantised ratio of each order, number, sum of each order's fine logarithms)."""
     at = np.flatnonzero((role == 1) & (places >= order - 1))
     if not len(at) or not total_a:
-        return np.zeros((0, order + 1), np.int64), np.zeros(0, np.int64)
+        return np.zeros((0, 2 * order + 2), np.int64)
     f, bucket = _estimates(order, levels, at, a_counts, total_a)
     uniform = 1.0 / (distinct_a + 1)
-    cols = [bucket]
+    cols, fine = [bucket], []
     for x in f:
-        with np.errstate(divide="ignore"):
-            cols.append(np.where(x > 0, np.rint(STEPS * np.log2(np.maximum(x, 1e-300) / uniform)), NEVER).astype(np.int64))
-    cell, n = np.unique(np.stack(cols, axis=1), axis=0, return_counts=True)
-    return cell, n
+        octaves = np.log2(np.maximum(x, 1e-300) / uniform)
+        cols.append(np.where(x > 0, np.rint(STEPS * octaves), NEVER).astype(np.int64))
+        fine.append(np.where(x > 0, np.rint(FINE * octaves), 0))
+    cell, which, n = np.unique(np.stack(cols, axis=1), axis=0, return_inverse=True, return_counts=True)
+    sums = [np.bincount(which.ravel(), weights=x, minlength=len(cell)).astype(np.int64) for x in fine]
+    return np.concatenate([cell, n[:, None], np.stack(sums, axis=1)], axis=1).astype(np.int64)
 
 
 def _estimates(order: int, levels, at: np.ndarray, counts: list[np.ndarray], total: int) -> tuple[list[np.ndarray], np.ndarray]:
@@ -193,8 +199,7 @@ def _join(blocks: DataFrame, replies: DataFrame, order: int, first: tuple[int, i
                 n = len(keys[k - 1])
                 a_counts[k - 1], t_counts[k - 1] = flat[0, lo : lo + n], flat[1, lo : lo + n]
                 lo += n
-        cell, n = _cells(order, levels, np.repeat(roles, lengths), places, a_counts, total_a, distinct_a)
-        packed = np.concatenate([cell, n[:, None]], axis=1).astype(np.int64)
+        packed = _cells(order, levels, np.repeat(roles, lengths), places, a_counts, total_a, distinct_a)
         flat_counts = squeeze(np.concatenate(t_counts))
         del levels, keys, a_counts, t_counts, flat, got, key, by, rows
         trim()
@@ -206,15 +211,14 @@ def _join(blocks: DataFrame, replies: DataFrame, order: int, first: tuple[int, i
     return asked.unionByName(own).groupBy("block").applyInArrow(run, JOINED)
 
 
-def fit_weights(quantised: np.ndarray, numbers: np.ndarray, rounds: int = 200, tolerance: float = 1e-7) -> np.ndarray:
-    """EM over cells: a column of quantised ratios to the uniform share for each order.
+def fit_weights(ratios: np.ndarray, numbers: np.ndarray, rounds: int = 200, tolerance: float = 1e-7) -> np.ndarray:
+    """EM over cells: a column of ratios to the uniform share for each order, and the tokens of each cell.
 
     A pseudo-token for each component keeps every weight above zero.
     """
-    parts = quantised.shape[1] + 1
-    like = np.ones((len(quantised), parts))
-    q = np.maximum(quantised.astype(np.float64), NEVER + 1)
-    like[:, 1:] = np.where(quantised <= NEVER, 0, np.exp2(q / STEPS))
+    parts = ratios.shape[1] + 1
+    like = np.ones((len(ratios), parts))
+    like[:, 1:] = ratios
     w = np.full(parts, 1 / parts)
     for _ in range(rounds):
         share = like * w
@@ -227,18 +231,25 @@ def fit_weights(quantised: np.ndarray, numbers: np.ndarray, rounds: int = 200, t
     return w
 
 
+def cell_ratios(quantised: np.ndarray, numbers: np.ndarray, sums: np.ndarray) -> np.ndarray:
+    """Each cell's mean ratio to the uniform share, by order; 0 where the estimate is."""
+    return np.where(quantised == NEVER, 0, np.exp2(sums / np.maximum(numbers, 1)[:, None] / FINE))
+
+
 def _learn(joined: DataFrame, order: int) -> np.ndarray:
     """Weights by context bucket, each bucket's learned in a task of its own.
 
     Only the weights come to the driver. Buckets without held-out tokens take the
     weights of all tokens together, bucket -1 here.
     """
-    ratios = [f"q{k}" for k in range(1, order + 1)]
+    keys, sums = [f"q{k}" for k in range(1, order + 1)], [f"s{k}" for k in range(1, order + 1)]
     cells = stage(_cell_table(joined, order), "lm-cells")
-    pooled = cells.groupBy(*ratios).agg(F.sum("n").alias("n")).select(F.lit(-1).alias("bucket"), *ratios, "n")
+    pooled = cells.groupBy(*keys).agg(*(F.sum(c).alias(c) for c in ("n", *sums))).select(F.lit(-1).alias("bucket"), *keys, "n", *sums)
 
     def fit(table: pa.Table) -> pa.Table:
-        w = fit_weights(np.stack([table[q].to_numpy() for q in ratios], axis=1), table["n"].to_numpy().astype(np.float64))
+        q, s = (np.stack([table[c].to_numpy() for c in names], axis=1) for names in (keys, sums))
+        n = table["n"].to_numpy().astype(np.float64)
+        w = fit_weights(cell_ratios(q, n, s), n)
         return pa.table({"bucket": table["bucket"].slice(0, 1), "weights": pa.array([w.tolist()], pa.list_(pa.float64()))})
 
     learned = dict(cells.unionByName(pooled).groupBy("bucket").applyInArrow(fit, "bucket int, weights array<double>").collect())
@@ -326,14 +337,14 @@ def _start_counts(docs: DataFrame, held_fold: int) -> tuple[int, int]:
 
 
 def _cell_table(joined: DataFrame, order: int) -> DataFrame:
-    """(bucket, q1, ..., n): the EM cells of all blocks together."""
-    names = ["bucket", *(f"q{k}" for k in range(1, order + 1))]
+    """(bucket, q1, ..., n, s1, ...): the EM cells of all blocks together."""
+    keys, sums = ["bucket", *(f"q{k}" for k in range(1, order + 1))], ["n", *(f"s{k}" for k in range(1, order + 1))]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for data in batch.column(0).to_pylist():
-                x = np.frombuffer(data, np.int64).reshape(-1, order + 2)
-                yield pa.RecordBatch.from_arrays([*(pa.array(c.astype(np.int32)) for c in x[:, :-1].T), pa.array(x[:, -1])], names=[*names, "n"])
+                x = np.frombuffer(data, np.int64).reshape(-1, 2 * order + 2).T
+                yield pa.RecordBatch.from_arrays([*(pa.array(c.astype(np.int32)) for c in x[: order + 1]), *(pa.array(c) for c in x[order + 1 :])], names=[*keys, *sums])
 
-    schema = ", ".join(f"{c} int" for c in names) + ", n long"
-    return joined.select("cells").mapInArrow(run, schema).groupBy(*names).agg(F.sum("n").alias("n"))
+    schema = ", ".join([*(f"{c} int" for c in keys), *(f"{c} long" for c in sums)])
+    return joined.select("cells").mapInArrow(run, schema).groupBy(*keys).agg(*(F.sum(c).alias(c) for c in sums))

@@ -82,34 +82,51 @@ def test_held_out_cells_equal_brute_force(spark, monkeypatch, order):
                 for k in range(1, order + 1):
                     grams[k][tuple(s[p - k + 1 : p + 1])] += 1
                     contexts[tuple(s[p - k + 1 : p])] += 1
-    uniform, want = 1 / (len(grams[1]) + 1), Counter()
+    uniform, want, tokens = 1 / (len(grams[1]) + 1), {}, {}
     for role, s in seqs:
         for p in range(order - 1, len(s)) if role == 1 else ():
             n = contexts[tuple(s[p - order + 1 : p])]
-            cell = [0 if n == 0 else 1 + int(math.log2(n))]
+            cell, fine, exact = [0 if n == 0 else 1 + int(math.log2(n))], [], []
             for k in range(1, order + 1):
                 x, y = contexts[tuple(s[p - k + 1 : p])], grams[k][tuple(s[p - k + 1 : p + 1])]
                 cell.append(int(np.rint(ngram_lm.STEPS * np.log2(y / x / uniform))) if y else ngram_lm.NEVER)
-            want[tuple(cell)] += 1
-    got = Counter({tuple(c[:-1]): c[-1] for c in map(tuple, seen[0].collect())})
+                fine.append(int(np.rint(ngram_lm.FINE * np.log2(y / x / uniform))) if y else 0)
+                exact.append(y / x / uniform if y else 0)
+            tokens.setdefault(cell[0], []).append(exact)
+            want[tuple(cell)] = [a + b for a, b in zip(want.get(tuple(cell), [0] * (order + 1)), [1, *fine])]
+    got = {tuple(c[: order + 1]): list(c[order + 1 :]) for c in map(tuple, seen[0].collect())}
     assert got == want and len(want) > 20
-    x, n = np.array(list(want)), np.array(list(want.values()), float)
+    everything = [t for of in tokens.values() for t in of]
     for b in range(len(model.weights)):
-        own = x[:, 0] == b if (x[:, 0] == b).any() else x[:, 0] >= 0
-        assert np.allclose(model.weights[b], ngram_lm.fit_weights(x[own, 1:], n[own]), atol=1e-6)
+        own = {}  # cells of the bucket, or of all buckets together
+        for (bucket, *q), v in want.items():
+            if bucket == b or b not in tokens:
+                own[tuple(q)] = [x + y for x, y in zip(own.get(tuple(q), [0] * (order + 1)), v)]
+        x, n = np.array(list(own)), np.array(list(own.values()), float)
+        assert np.allclose(model.weights[b], ngram_lm.fit_weights(ngram_lm.cell_ratios(x, n[:, 0], n[:, 1:]), n[:, 0]), atol=1e-6)
+        assert np.abs(model.weights[b] - token_em(np.array(tokens.get(b, everything)))).max() < 0.01
+
+
+def token_em(ratios):
+    """Expectation-maximisation over single tokens, no cells."""
+    x = np.concatenate([np.ones((len(ratios), 1)), ratios], axis=1)
+    w = np.full(x.shape[1], 1 / x.shape[1])
+    for _ in range(200):
+        share = x * w
+        share /= share.sum(axis=1)[:, None]
+        w = (share.sum(axis=0) + 1) / (len(x) + x.shape[1])
+    return w
 
 
 def test_weights_equal_unquantised_em():
     rng = np.random.default_rng(1)
     ratios = np.exp2(rng.uniform(0, 12, (4000, 2)))
-    cells = np.rint(ngram_lm.STEPS * np.log2(ratios)).astype(np.int64)
-    w = np.full(3, 1 / 3)
-    x = np.concatenate([np.ones((4000, 1)), ratios], axis=1)
-    for _ in range(200):
-        share = x * w
-        share /= share.sum(axis=1)[:, None]
-        w = (share.sum(axis=0) + 1) / (4000 + 3)
-    assert np.abs(ngram_lm.fit_weights(cells, np.ones(4000)) - w).max() < 0.01
+    octaves = np.log2(ratios)
+    cells, which = np.unique(np.rint(ngram_lm.STEPS * octaves).astype(np.int64), axis=0, return_inverse=True)
+    n = np.bincount(which.ravel())
+    sums = np.stack([np.bincount(which.ravel(), weights=np.rint(ngram_lm.FINE * o)) for o in octaves.T], axis=1)
+    assert len(cells) < 700
+    assert np.abs(ngram_lm.fit_weights(ngram_lm.cell_ratios(cells, n, sums), n) - token_em(ratios)).max() < 0.01
 
 
 def test_scores_of_nothing(spark):
