@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import atexit
 import gc
+import shutil
 import tempfile
 import time
 import uuid
@@ -13,8 +15,9 @@ from pyspark.sql import DataFrame, SparkSession
 def shared_dir(spark: SparkSession) -> str:
     """The folder all executors see: ``spark.checkpoint.dir`` of the session.
 
-    Where it is unset, a local session gets a temporary folder; a session with
-    remote executors is refused, because their folders are not shared.
+    Where it is unset, a local session gets a temporary folder, which goes when the
+    process ends; a session with remote executors is refused, because their folders
+    are not shared.
     """
     sc = spark.sparkContext
     where = sc.getConf().get("spark.checkpoint.dir", None)
@@ -27,7 +30,9 @@ def shared_dir(spark: SparkSession) -> str:
         return str(known.get()).rstrip("/")
     if not sc.master.startswith("local[") and sc.master != "local":
         raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
-    where = "file://" + tempfile.mkdtemp(prefix="corpusdedup-")
+    folder = tempfile.mkdtemp(prefix="corpusdedup-")
+    atexit.register(shutil.rmtree, folder, ignore_errors=True)
+    where = "file://" + folder
     sc.setCheckpointDir(where)
     return where
 
