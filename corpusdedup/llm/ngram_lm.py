@@ -74,29 +74,45 @@ def _levels(ids: np.ndarray, starts: np.ndarray, order: int, size: int, top: int
     ``starts`` is each position's place in its document; ``top`` ends the list at a lower order. Grams end at the last start
     symbol or later, so that a context's count is the number of tokens after it.
     """
-    out = []
     ends = starts >= order - 2
-    uniq, inv = np.unique(ids[ends], return_inverse=True)
-    where = np.full(len(ids), -1, np.int64)
-    where[ends] = inv
-    out.append((np.full(len(uniq), -1, np.int64), uniq.astype(np.int64), where, uniq))
+    seen = np.bincount(ids[ends], minlength=size) > 0  # ids are dense: no sort
+    uniq = np.flatnonzero(seen)
+    out = [(np.full(len(uniq), -1, np.int64), uniq, np.where(ends, (np.cumsum(seen) - 1)[ids], -1), uniq)]
     prev = ids.astype(np.int64)
     for k in range(2, (top or order) + 1):
-        ok = starts >= k - 1
-        code = np.full(len(ids), -1, np.int64)
-        pos = np.flatnonzero(ok)
-        code[pos] = prev[pos - 1] * size + ids[pos]
+        pos = np.flatnonzero(starts >= k - 1)
         # prefixes are numbered over all positions, counted grams are a subset of them
-        full, finv = np.unique(code[pos], return_inverse=True)
+        full, finv = _numbered(prev[pos - 1] * size + ids[pos])
         number = np.full(len(ids), -1, np.int64)
         number[pos] = finv
-        counted = ok & (starts >= order - 2)
-        where = np.where(counted, number, -1)
-        out.append((full // size, full % size, where, full))
+        where = number if k >= order - 1 else np.where(ends, number, -1)
+        prefix = full // size
+        out.append((prefix, full - prefix * size, where, full))
         prev = number
     return out
 
 
+def _numbered(codes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The distinct ``codes``, ascending, and which of them each one is.
+
+    Codes that leave room for their positions are sorted together with them, which is
+    some three times faster than to sort positions by their codes.
+    """
+    bits = len(codes).bit_length()
+    if not len(codes) or int(codes.max()).bit_length() + bits > 63:
+        return np.unique(codes, return_inverse=True)
+    both = codes << bits
+    both |= np.arange(len(codes))
+    both.sort()
+    at = both & ((1 << bits) - 1)
+    both >>= bits
+    new = np.ones(len(codes), bool)
+    np.not_equal(both[1:], both[:-1], out=new[1:])
+    which = np.empty(len(codes), np.int64)
+    which[at] = np.cumsum(new) - 1
+    return both[new], which
+
+
 def _hashes(levels, vocab: np.ndarray) -> list[np.ndarray]:
     """The 64-bit key of each distinct n-gram of each order."""
     keys = [vocab[levels[0][1]]]
