@@ -1,6 +1,7 @@
 """Document-level and substring baselines against brute force, and components."""
 
 import random
+import time
 
 import numpy as np
 import pytest
@@ -79,6 +80,28 @@ def test_suffix_array_equals_brute_force():
         assert [merged(s) for s in B.repeated_spans(texts, k)] == [merged(s) for s in brute_spans(texts, k)], (texts, k)
 
 
+def test_suffixes_of_a_large_shard(spark):
+    # long copies cost no round of their own, text without repeats is not sorted
+    rng = random.Random(9)
+    draw = lambda n: "".join(rng.choices("abcdefghij é漢😀", k=n))
+    copy = draw(400_000)
+    texts = [draw(1_000_000), "x" + copy, copy + "y", draw(200_000), "", copy[100:160]]
+    began = time.process_time()
+    assert B.repeated_spans(texts, 50) == [[], [(1, 400_001)], [(0, 400_000)], [], [], [(0, 60)]]
+    assert time.process_time() - began < 4
+    assert B.repeated_spans([], 5) == [] and B.repeated_spans([""], 5) == [[]]
+    docs = spark.createDataFrame([(1, copy[:80], 0), (None, copy[:80], 0), (3, copy[20:90], 0), (4, None, 0)], "doc_id long, text string, shard int")
+    assert sorted(tuple(r) for r in B.suffix_array_spans(docs).collect()) == [(1, 20, 80), (3, 0, 60)]
+
+
+def test_hashes_shared_by_chance_are_sorted_apart(monkeypatch):
+    monkeypatch.setattr(B, "_rolled", lambda codes, k, m: np.zeros(len(codes) - k + 1, np.uint64))
+    rng = random.Random(10)
+    for _ in range(40):
+        texts = ["".join(rng.choices("abc", k=rng.randrange(0, 50))) for _ in range(3)]
+        assert [merged(s) for s in B.repeated_spans(texts, 5)] == [merged(s) for s in brute_spans(texts, 5)]
+
+
 def test_substring_toy(spark):
     docs = spark.createDataFrame([(1, "abcXYZWdef", 0), (2, "qqXYZWrr", 0)], "doc_id long, text string, shard int")
     text = lambda spans, d=docs: {r.doc_id: r.text for r in B.remove_spans(d, spans).collect()}
