@@ -102,6 +102,16 @@ def test_hashes_shared_by_chance_are_sorted_apart(monkeypatch):
         assert [merged(s) for s in B.repeated_spans(texts, 5)] == [merged(s) for s in brute_spans(texts, 5)]
 
 
+def test_suffixes_beside_a_repeat():
+    # what follows a repeat is not looked up beyond it
+    rng = random.Random(11)
+    for _ in range(150):
+        phrases = ["".join(rng.choices("abcd é漢", k=rng.randrange(3, 90))) for _ in range(4)]
+        texts = ["".join(rng.choice(phrases) if rng.random() < 0.2 else rng.choice("abcdefgh") for _ in range(rng.randrange(0, 60))) for _ in range(6)]
+        k = rng.randrange(4, 50)
+        assert [merged(s) for s in B.repeated_spans(texts, k)] == [merged(s) for s in brute_spans(texts, k)], (texts, k)
+
+
 def test_substring_toy(spark):
     docs = spark.createDataFrame([(1, "abcXYZWdef", 0), (2, "qqXYZWrr", 0)], "doc_id long, text string, shard int")
     text = lambda spans, d=docs: {r.doc_id: r.text for r in B.remove_spans(d, spans).collect()}
