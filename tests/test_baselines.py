@@ -229,3 +229,19 @@ def test_stars_then_the_rest_equal_all_pairs(spark, monkeypatch):
     docs = spark.createDataFrame([(k, "x") for k in range(5)], "doc_id long, text string")
     assert {tuple(r) for r in D.dup_clusters(docs).where("doc_id < 3").collect()} == {(1, 1), (2, 1)}
     assert sorted(r.doc_id for r in D.minhash_dedup(docs).collect()) == [0, 1, 3, 4]
+
+
+def test_exact_pairs_without_a_row_for_each_shared_shingle(spark, monkeypatch):
+    rng = random.Random(14)
+    draw = lambda n: [f"w{rng.randrange(10_000)}" for _ in range(n)]
+    passage, base = draw(30), draw(60)
+    texts = [base[:k] + [f"x{k}"] + base[k:] for k in range(0, 60, 4)] + [base] * 4 + [draw(8) + passage + draw(12) for _ in range(30)] + [["A", "Ä"], ["a", "ä"], [], draw(5) * 3]
+    docs = spark.createDataFrame([(7 * k, " ".join(t)) for k, t in enumerate(texts)] + [(999, None), (None, " ".join(base))], "doc_id long, text string")
+    want = sorted(tuple(r) for r in D.indexed_jaccard_pairs(docs).collect())
+    monkeypatch.setattr(D, "shingle_rows", None)
+    assert want and sorted(tuple(r) for r in D.exact_jaccard_pairs(docs).collect()) == want
+
+
+def test_exact_pairs_of_repeated_ids(spark):
+    docs = spark.createDataFrame([(1, "a b c d e"), (1, "f g h i j"), (2, "a b c d e"), (3, "f g h i j"), (4, "f g h i j")], "doc_id long, text string")
+    assert [tuple(r) for r in D.exact_jaccard_pairs(docs).collect()] == [(3, 4, 1.0)]
