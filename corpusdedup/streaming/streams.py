@@ -6,14 +6,13 @@ budget depends on the final frequency, so what a stream admits is another policy
 
 from __future__ import annotations
 
+import functools
 import math
 from collections.abc import Iterator
 
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.streaming.state import GroupStateTimeout
 
 from ..functions.retention import RetentionPolicy
 from ..functions.text import chunks_of, content_hash, normalize_text
@@ -54,9 +53,6 @@ def stream_counts(stream: DataFrame, old: DataFrame | None = None) -> DataFrame:
     return (parts if old is None else parts.unionByName(old)).groupBy("h", "norm_len").agg(F.sum("freq").alias("freq"))
 
 
-ADMITTED = "h string, seen long, admitted long"
-
-
 def admit_copies(seen: int, kept: int, copies: int, length: int, n: float, full_length: float) -> tuple[int, int]:
     """Copies seen and admitted after ``copies`` more of one group.
 
@@ -76,31 +72,43 @@ def admit_copies(seen: int, kept: int, copies: int, length: int, n: float, full_
 def stream_admit(stream: DataFrame, policy: RetentionPolicy | None = None) -> DataFrame:
     """Copies seen and admitted so far by group, with state of two numbers a key.
 
-    Copies are counted in each task before the shuffle, so a frequent text is a few rows.
+    The state is a table to which a batch appends the new numbers of the groups it holds;
+    they follow from the last ones and the batch's count, which is a partial aggregate, so a
+    frequent text is a few rows. A batch that is replayed overwrites its own part and reads
+    those before it. Rows pass through Python in batches, not a call a group.
     """
     policy = policy or RetentionPolicy()
     n, full = policy.n, policy.full_length
+    kind = "h binary, norm_len int, seen long, kept long"
 
-    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def admit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        once = functools.lru_cache(100_000)(admit_copies)  # most groups have few copies and share their numbers
         for batch in batches:
-            got = pa.Table.from_batches([batch]).group_by(["h", "norm_len"]).aggregate([([], "count_all")])
-            yield from got.select(["h", "norm_len", "count_all"]).rename_columns(["h", "norm_len", "copies"]).to_batches()
-
-    def admit(key, pdfs: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
-        seen, kept = state.get if state.exists else (0, 0)
-        for pdf in pdfs:
-            for length, copies in zip(pdf["norm_len"].tolist(), pdf["copies"].tolist(), strict=True):
-                _, kept = admit_copies(seen, kept, copies, length, n, full)
-                seen += copies
-        state.update((seen, kept))
-        yield pd.DataFrame({"h": [key[0]], "seen": [seen], "admitted": [kept]})
+            h, length, seen, kept, copies = batch.columns
+            seen, copies = seen.to_pylist(), copies.to_pylist()
+            new = [once(s, k, c, x, n, full)[1] for s, k, c, x in zip(seen, kept.to_pylist(), copies, length.to_pylist(), strict=True)]
+            yield pa.RecordBatch.from_arrays([h, length, pa.array([s + c for s, c in zip(seen, copies, strict=True)], pa.int64()), pa.array(new, pa.int64())], names=["h", "norm_len", "seen", "kept"])
 
     spark = stream.sparkSession
-    occ = occurrences_stream(stream).select(F.lower(F.hex("h")).alias("h"), "norm_len").mapInArrow(count, "h string, norm_len int, copies long")
-    out = occ.groupBy("h").applyInPandasWithState(admit, ADMITTED, "seen long, kept long", "update", GroupStateTimeout.NoTimeout)
     path = fresh_path(spark, "stream-admitted")
-    _drain(out.writeStream.outputMode("update").foreachBatch(lambda b, n: b.write.mode("overwrite").parquet(f"{path}/batch={n}")).option("checkpointLocation", fresh_path(spark, "stream-state")).trigger(availableNow=True).start())
-    return spark.read.parquet(path).groupBy("h").agg(F.max("seen").alias("seen"), F.max("admitted").alias("admitted"))
+
+    def state(before: int | None = None) -> DataFrame:
+        parts = spark.read.schema(kind + ", batch long").parquet(path)
+        parts = parts if before is None else parts.where(F.col("batch") < before)
+        return parts.groupBy("h", "norm_len").agg(F.max("seen").alias("seen"), F.max("kept").alias("kept"))
+
+    def add(batch: DataFrame, number: int) -> None:
+        counts = batch.groupBy("h", "norm_len").agg(F.count("*").alias("copies"))
+        zero = lambda c: F.coalesce(c, F.lit(0).cast("long")).alias(c)
+        if number:
+            counts = counts.join(state(number), ["h", "norm_len"], "left").select("h", "norm_len", zero("seen"), zero("kept"), "copies")
+        else:
+            counts = counts.select("h", "norm_len", F.lit(0).cast("long").alias("seen"), F.lit(0).cast("long").alias("kept"), "copies")
+        counts.mapInArrow(admit, kind).write.mode("overwrite").parquet(f"{path}/batch={number}")
+
+    spark.createDataFrame([], kind).write.parquet(f"{path}/batch=-1")  # a stream without a row has a state too
+    _drain(occurrences_stream(stream).select("h", "norm_len").writeStream.foreachBatch(add).option("checkpointLocation", fresh_path(spark, "stream-state")).trigger(availableNow=True).start())
+    return state().select(F.lower(F.hex("h")).alias("h"), "seen", F.col("kept").alias("admitted"))
 
 
 def stream_doc_dedup(stream: DataFrame, time_col: str = "arrived", within: str = "1 hour") -> DataFrame:

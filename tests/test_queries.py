@@ -79,6 +79,32 @@ def test_admission_against_one_copy_after_another():
             assert admit_copies(k // 2, half, k - k // 2, length, n, full)[1] == kept
 
 
+def test_admission_over_batches_without_a_call_for_each_group(spark, tmp_path, monkeypatch):
+    from corpusdedup.functions.retention import RetentionPolicy
+    from corpusdedup.streaming import streams
+
+    calls = [f"line number {'x' * k} that is long enough" for k in range(30)]
+    batches = [[calls[k] for k in range(30) if k % (b + 1) == 0 for _ in range(k % 4 + 1)] for b in range(3)]
+    for b, lines in enumerate(batches):
+        spark.createDataFrame([(100 * b + k, x) for k, x in enumerate(lines)], "doc_id long, text string").coalesce(1).write.mode("append").parquet(f"{tmp_path}/in")
+        time.sleep(1.1)  # files are read in order of their times
+    policy = RetentionPolicy(n=3.0, full_length=128)
+    monkeypatch.setattr("pyspark.sql.GroupedData.applyInPandasWithState", None)
+    stream = streams.read_documents(spark, f"{tmp_path}/in", "doc_id long, text string")
+    got = sorted((r.seen, r.admitted) for r in streams.stream_admit(stream, policy).collect())
+    want = []
+    for k, x in enumerate(calls):
+        seen = kept = 0
+        for b in range(3):
+            copies = batches[b].count(x)
+            kept = streams.admit_copies(seen, kept, copies, len(x), 3.0, 128)[1]
+            seen += copies
+        want.append((seen, kept))
+    assert got == sorted(want)
+    (tmp_path / "none").mkdir()
+    assert streams.stream_admit(streams.read_documents(spark, f"{tmp_path}/none", "doc_id long, text string"), policy).count() == 0
+
+
 def test_late_rows_of_a_stream_are_dropped(spark, tmp_path):
     from corpusdedup.streaming import streams
 
