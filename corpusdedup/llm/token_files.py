@@ -38,6 +38,7 @@ from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
 from ..session import fresh_path, shuffle_partitions, stage
+from .blocks import trim
 from .files import make_folder, small, write_whole
 
 MAGIC = b"PACKIDS1"
@@ -374,6 +375,9 @@ def write_ids(docs: DataFrame, path: str, end_id: int = 2, folder: str | None =
                 ids = code.encode(some.column(1))
                 part, check = ranges.part(some.column(0), ids)
                 yield pa.RecordBatch.from_arrays([pa.array(part), some.column(0), pa.array(check), ids], names=["part", "doc_id", "check", "ids"])
+                del ids, part, check, some
+            batch = None
+            trim()
 
     def write(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         state = {"part": None, "number": 0, "docs": [], "ids": [], "size": 0}
@@ -399,6 +403,7 @@ def write_ids(docs: DataFrame, path: str, end_id: int = 2, folder: str | None =
                 state["size"] += len(ids)
         if state["docs"]:
             yield close()
+        trim()
 
     text = F.make_valid_utf8(F.col("text").cast("string"))
     coded = docs.select(F.col("doc_id").cast("long"), text).mapInArrow(encode, "part int, doc_id long, check long, ids binary")
@@ -420,6 +425,9 @@ def read_ids(spark: SparkSession, folder: str, files: DataFrame) -> DataFrame:
                 n = np.diff(f.first)
                 crc = [zlib.crc32(flat[a : a + k].tobytes()) for a, k in zip(f.first.tolist(), n.tolist(), strict=False)]
                 yield pa.RecordBatch.from_arrays([pa.array([name] * len(n), pa.string()), pa.array(f.doc_ids, pa.int64()), pa.array(f.first[:-1], pa.int64()), pa.array(n, pa.int64()), pa.array(crc, pa.int64())], names=["file", "doc_id", "start_in_file", "n_tokens", "ids_crc32"])
+                del f, flat, n, crc
+            batch = data = None  # noqa: F841
+        trim()
 
     raw = spark.read.format("binaryFile").option("pathGlobFilter", "ids-*.bin").load(folder)
     name = F.element_at(F.split("path", "/"), -1)
