@@ -245,3 +245,17 @@ def test_exact_pairs_without_a_row_for_each_shared_shingle(spark, monkeypatch):
 def test_exact_pairs_of_repeated_ids(spark):
     docs = spark.createDataFrame([(1, "a b c d e"), (1, "f g h i j"), (2, "a b c d e"), (3, "f g h i j"), (4, "f g h i j")], "doc_id long, text string")
     assert [tuple(r) for r in D.exact_jaccard_pairs(docs).collect()] == [(3, 4, 1.0)]
+
+
+def test_candidates_are_counted_without_their_rows(spark, monkeypatch):
+    rng = random.Random(15)
+    sig = [[rng.randrange(3) if k % 4 else 0 for k in range(8)] for _ in range(90)] + [[7, 7, *range(100 + 6 * k, 106 + 6 * k)] for k in range(60)] + [[9] * 8] * 5
+    df = spark.createDataFrame(list(enumerate(sig)), "doc_id long, sig array<int>")
+    want = {bands: D.lsh_pairs(df, bands, 8 // bands).count() for bands in (2, 4, 8)}
+    classes = df.groupBy("sig").agg(F.count("*").alias("w")).withColumn("node", F.monotonically_increasing_id())
+    monkeypatch.setattr(D, "band_keys", None)
+    assert {bands: D.count_pairs(classes, bands, 8 // bands) for bands in (2, 4, 8)} == want
+    monkeypatch.setattr(D, "HOT", 7)
+    monkeypatch.setattr(D, "BUCKET_ROWS", 50)
+    assert D.count_pairs(classes, 4, 2) == want[4]
+    assert D.count_pairs(classes.limit(0), 4, 2) == 0
