@@ -259,3 +259,18 @@ def test_candidates_are_counted_without_their_rows(spark, monkeypatch):
     monkeypatch.setattr(D, "BUCKET_ROWS", 50)
     assert D.count_pairs(classes, 4, 2) == want[4]
     assert D.count_pairs(classes.limit(0), 4, 2) == 0
+
+
+def test_pairs_of_sparks_minhash_without_its_join(spark, monkeypatch):
+    from pyspark.ml.feature import HashingTF, MinHashLSH, MinHashLSHModel
+
+    rng = random.Random(16)
+    base = [f"w{k}" for k in range(40)]
+    texts = [base[: rng.randrange(25, 41)] + [f"x{rng.randrange(30)}" for _ in range(rng.randrange(4))] for _ in range(25)] + [base] * 2 + [["a", "b"], []]
+    docs = spark.createDataFrame([(k, " ".join(t)) for k, t in enumerate(texts)], "doc_id long, text string")
+    x = docs.select("doc_id", D.shingles(F.col("text")).alias("grams")).where(F.size("grams") > 0)
+    x = HashingTF(inputCol="grams", outputCol="features", numFeatures=1 << 20, binary=True).transform(x)
+    model = MinHashLSH(inputCol="features", outputCol="hashes", numHashTables=3, seed=42).fit(x)
+    want = sorted(tuple(r) for r in model.approxSimilarityJoin(x, x, 0.3 + 1e-9).select("datasetA.doc_id", "datasetB.doc_id").where("datasetA.doc_id < datasetB.doc_id").collect())
+    monkeypatch.setattr(MinHashLSHModel, "approxSimilarityJoin", None)
+    assert want and sorted(tuple(r) for r in D.ml_minhash_pairs(docs, tables=3).collect()) == want
