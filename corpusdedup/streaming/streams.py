@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 
 from ..functions.retention import RetentionPolicy
 from ..functions.text import chunks_of, content_hash, normalize_text
-from ..session import fresh_path
+from ..session import fresh_path, shuffle_partitions
 
 
 def occurrences_stream(stream: DataFrame, tau_seg: int = 32) -> DataFrame:
@@ -107,7 +107,9 @@ def stream_admit(stream: DataFrame, policy: RetentionPolicy | None = None) -> Da
         counts.mapInArrow(admit, kind).write.mode("overwrite").parquet(f"{path}/batch={number}")
 
     spark.createDataFrame([], kind).write.parquet(f"{path}/batch=-1")  # a stream without a row has a state too
-    _drain(occurrences_stream(stream).select("h", "norm_len").writeStream.foreachBatch(add).option("checkpointLocation", fresh_path(spark, "stream-state")).trigger(availableNow=True).start())
+    # a batch of one file would be cut into chunks by one task
+    dealt = stream.repartition(shuffle_partitions(spark))
+    _drain(occurrences_stream(dealt).select("h", "norm_len").writeStream.foreachBatch(add).option("checkpointLocation", fresh_path(spark, "stream-state")).trigger(availableNow=True).start())
     return state().select(F.lower(F.hex("h")).alias("h"), "seen", F.col("kept").alias("admitted"))
 
 
