@@ -8,6 +8,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from corpusdedup.operators import documents as D
+from corpusdedup.operators import kgrams as K
 from corpusdedup.operators import measures as M
 from corpusdedup.operators import substring as B
 from corpusdedup.operators.components import connected_components
@@ -158,6 +159,43 @@ def test_winnowed_spans_equal_kgram_spans(spark):
         B.winnowed_spans(docs, 5, 6)
 
 
+def test_kgram_spans_of_packed_blocks(spark, monkeypatch):
+    # blocks of few characters, fingerprints that are common, hashing in small steps; ids that repeat share their spans
+    rng = random.Random(13)
+    phrases = ["".join(rng.choice("ab é漢😀") for _ in range(rng.randrange(3, 40))) for _ in range(8)]
+    texts = ["".join(rng.choice(phrases) if rng.random() < 0.3 else rng.choice("abcdefgh") for _ in range(rng.randrange(0, 60))) for _ in range(60)] + ["a" * 90, "ab" * 40, "", phrases[0] * 3]
+    texts += [texts[3], "x" + texts[3], texts[5][4:]]
+    docs = spark.createDataFrame([(d, t, d % 2) for d, t in enumerate(texts)] + [(None, texts[3], 0), (70, None, 0)], "doc_id long, text string, shard int")
+    for k, most, common, step in ((13, 4_000_000, 100_000, 200_000), (13, 50, 100_000, 9), (50, 300, 3, 200_000), (1, 100, 4, 31), (4, 100, 0, 200_000)):
+        monkeypatch.setattr(K, "BLOCK_CHARS", most)
+        monkeypatch.setattr(K, "COMMON", common)
+        monkeypatch.setattr(B, "PLACES", step)
+        want = [(d, a, b) for odd in (0, 1) for d, spans in enumerate(brute_spans([t if j % 2 == odd else "" for j, t in enumerate(texts)], k)) for a, b in merged(spans)]
+        assert want and sorted(tuple(r) for r in B.kgram_spans(docs, k, "shard").collect()) == sorted(want), k
+    twice = spark.createDataFrame([(1, "abcdefgh"), (1, "xxcdefgh"), (2, "zzzabcd")], "doc_id long, text string")
+    assert sorted(tuple(r) for r in B.kgram_spans(twice, 4).collect()) == [(1, 0, 8), (2, 3, 7)]
+    assert B.kgram_spans(twice.limit(0), 4).count() == B.kgram_spans(twice, 9).count() == 0
+
+
+def test_kgram_spans_send_no_row_for_each_character(spark, monkeypatch):
+    # a row for each character was 32 bytes before compression; text without repeats asks about no k-gram at all
+    rng = random.Random(14)
+    draw = lambda n: "".join(rng.choices("abcdefghij", k=n))
+    sent = []
+    size = lambda df: df.agg(*(F.coalesce(F.sum(F.length(c)), F.lit(0)) for c, kind in df.dtypes if kind == "binary")).first()
+    for name in ("count_in_buckets", "pairs_in_buckets"):
+        monkeypatch.setattr(K, name, lambda df, *a, f=getattr(K, name): sent.append(sum(size(df))) or f(df, *a))
+    monkeypatch.setattr(B, "kgram_rows", None)
+    copy = draw(300_000)
+    docs = spark.createDataFrame([(1, draw(300_000))], "doc_id long, text string")
+    assert B.kgram_spans(docs).count() == 0 and sent[0] < 0.5 * 300_000 and sent[1] < 100 and sent[2] == 0
+    sent.clear()
+    docs = spark.createDataFrame([(d, copy[: 300_000 - d]) for d in range(5)] + [(5, draw(200) + copy[1000:2000])], "doc_id long, text string")
+    got = sorted(tuple(r) for r in B.kgram_spans(docs).collect())
+    assert [r for r in got if r[0] in (1, 4, 5)] == [(1, 0, 299_999), (4, 0, 299_996), (5, 200, 1200)]
+    assert sum(sent) < 1.3 * 1_500_000 and sent[2] < 0.02 * 1_500_000
+
+
 def test_unique_text_sends_only_fingerprints(spark):
     rng = random.Random(4)
     docs = spark.createDataFrame([(1, "".join(rng.choice("abcdefghij") for _ in range(20_000)))], "doc_id long, text string")
